@@ -70,3 +70,16 @@ component as (select node, min(other) as component_id from reach group by node)
 select d.doc_id, d.n_shingles, coalesce(k.component_id, d.doc_id) as component_id, d.doc_id = coalesce(k.component_id, d.doc_id) as kept
 from sized d left join classes c on c.h = d.h and d.n_shingles > 0 left join component k on k.node = c.rep
 """
+
+
+def leaks(shingle: int, num: int, den: int) -> str:
+    grams = f"""case when len(w) = 0 then [] when len(w) < {shingle} then [array_to_string(w, ' ')]
+    else list_distinct(list_transform(range(1, len(w) - {shingle} + 2), lambda i: array_to_string(w[i:i + {shingle - 1}], ' '))) end"""
+    return f"""
+with items as (select item_id, {grams} as s from (select item_id, {WORDS} as w from benchmark)),
+docs as (select doc_id, {grams} as s from (select doc_id, {WORDS} as w from documents)),
+item_grams as (select item_id, len(s)::bigint as n_item, unnest(s) as g from items),
+doc_grams as (select doc_id, unnest(s) as g from docs)
+select doc_id, item_id, n_item, count(*)::bigint as n_shared
+from doc_grams join item_grams using (g) group by all having {den} * count(*) >= {num} * n_item
+"""

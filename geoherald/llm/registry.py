@@ -5,8 +5,9 @@ from __future__ import annotations
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from geoherald.llm import mixing, near_dedup, oracles, url_rules
+from geoherald.llm import decontaminate, labelled, line_dedup, mixing, near_dedup, oracles, quality, toxicity, url_rules
 
 Query = Callable[[SparkSession, str], DataFrame]
 
@@ -25,6 +26,27 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def op3_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return decontaminate.find_leaks(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+
+
+def op4_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    cleaned = line_dedup.dedup_lines(table(spark, sf_dir, "documents").select("doc_id", "text"))
+    return cleaned.select("doc_id", "n_lines", "n_removed", F.length("text").alias("n_chars"), F.md5("text").alias("text_md5"))
+
+
+def toxic_lexicon(spark: SparkSession, sf_dir: str) -> toxicity.Lexicon:
+    """Learned from the tables in ``sf_dir``, never from held-out rows."""
+    return toxicity.train_lexicon(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"), labelled.remainder(F.col("doc_id"), 5) != 0)
+
+
+def op6_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    lexicon = toxic_lexicon(spark, sf_dir)
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
+    scored = docs.select("doc_id", (labelled.remainder(F.col("doc_id"), 5) == 0).alias("held_out"), toxicity.toxicity_score(lexicon, F.col("text")).alias("score"))
+    return scored.withColumn("predicted", (F.col("score") >= toxicity.ToxicParams().threshold).cast("int"))
+
+
 def op7_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     mixed = mixing.mix_sources(table(spark, sf_dir, "documents"))
     return mixed.select("doc_id", "size", "source_size", "target", "taken")
@@ -39,16 +61,28 @@ def op9_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     return judged.select("page_id", "host", "path", "rule", "verdict")
 
 
+def op10_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
+    ranker = quality.train_ranker(docs, table(spark, sf_dir, "labels"), labelled.remainder(F.col("doc_id"), 4) != 2)
+    scored = docs.select("doc_id", (labelled.remainder(F.col("doc_id"), 4) == 2).alias("held_out"), quality.quality_score(ranker, F.col("text")).alias("score"))
+    return scored.withColumn("predicted", (F.col("score") >= quality.QualityParams().threshold).cast("int"))
+
+
 def queries() -> dict[str, Query]:
     return {
+        "op3_decontaminate": op3_decontaminate,
+        "op4_line_dedup": op4_line_dedup,
+        "op6_toxicity": op6_toxicity,
         "op7_mixing": op7_mixing,
         "op8_near_dedup": op8_near_dedup,
         "op9_url_filter": op9_url_filter,
+        "op10_quality": op10_quality,
     }
 
 
 def oracle_sql() -> dict[str, str]:
     return {
+        "op3_decontaminate": oracles.leaks(5, 80, 100),
         "op7_mixing": oracles.MIXING,
         "op8_near_dedup": oracles.near_dedup(3, 85, 100),
         "op9_url_filter": oracles.URL_RULES,
