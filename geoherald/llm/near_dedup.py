@@ -3,10 +3,11 @@
 1. One Arrow pass turns a text into the hash of its shingle set, ``bands`` band keys and a sketch that
    keeps the low ``bits`` bits of every minimum, packed into words of 64 bits.
 2. Documents with equal sets form a class; the smallest id stands for it from here on.
-3. In every band bucket one member, chosen by hash, is the hub and meets the others: a bucket of n
-   gives n-1 pairs. Every band draws its own hub. Components of the confirmed links follow; buckets
-   whose members are in one component by then are settled. Pairs of the other buckets that are still
-   in different components are all looked at, which is the exact way for what hubs leave open.
+3. In every band bucket the member that shares buckets with the most documents is the hub and meets the
+   others: a bucket of n gives n-1 pairs. Components of the confirmed links follow; buckets whose
+   members are in one component by then are settled. Pairs of the other buckets that are still in
+   different components are all looked at, which is the exact way for what hubs leave open. Before
+   that, shingles that no other document there has are counted, since none of them can be shared.
 4. A pair is dropped if the set sizes rule the threshold out, or if the similarity estimated from
    the sketches (matching lanes, corrected for chance collisions) is ``margin`` standard errors below
    it. What remains is confirmed on full sets.
@@ -48,7 +49,7 @@ class NearParams:
     bands: int = 24
     rows: int = 4
     bits: int = 2
-    margin: float = 6.0
+    margin: float = 5.0
 
     @property
     def perms(self) -> int:
@@ -183,6 +184,28 @@ def _confirmed(pairs: DataFrame, docs: DataFrame, key: str, text: str, params: N
     return full.mapInArrow(run, pairs.select("a", "b").schema)
 
 
+def _own_shingles(reps: DataFrame, docs: DataFrame, key: str, text: str, params: NearParams) -> DataFrame:
+    """``rep, own``: how many shingles of each of ``reps`` no other of them has."""
+    texts = docs.select(F.col(f"`{key}`").alias("rep"), F.col(f"`{text}`").cast("string").alias("t")).join(reps, "rep", "left_semi")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        cache = WordHashes()
+        for batch in batches:
+            sets = [shingle_set(t, params.shingle, cache).view(np.int64) for t in batch.column("t").to_pylist()]
+            at = np.repeat(np.arange(len(sets)), [len(s) for s in sets])
+            for k in range(0, len(at), 200_000):
+                part = at[k : k + 200_000]
+                first, last = part[0], part[-1]
+                grams = np.concatenate(sets[first : last + 1])
+                skip = k - int(sum(len(s) for s in sets[:first]))
+                yield pa.RecordBatch.from_arrays([batch.column("rep").take(pa.array(part)), pa.array(grams[skip : skip + len(part)])], ["rep", "g"])
+
+    kind = reps.schema["rep"].dataType.simpleString()
+    grams = texts.mapInArrow(run, f"rep {kind}, g long")
+    alone = grams.groupBy("g").agg(F.count(F.lit(1)).alias("n"), F.min("rep").alias("rep")).filter("n = 1").groupBy("rep").agg(F.count(F.lit(1)).alias("own"))
+    return reps.join(alone, "rep", "left").select("rep", F.coalesce("own", F.lit(0)).alias("own"))
+
+
 def near_duplicates(docs: DataFrame, key: str = "doc_id", text: str = "text", params: NearParams = NearParams()) -> DataFrame:
     """``key, n_shingles, component_id, kept`` for every row of ``docs``."""
     spark = docs.sparkSession
@@ -198,34 +221,40 @@ def near_duplicates(docs: DataFrame, key: str = "doc_id", text: str = "text", pa
     )
 
     members = classes.select("rep", F.posexplode("bands").alias("band", "bucket"))
-    draw = F.struct(F.xxhash64("band", "rep").alias("h"), F.col("rep").alias("hub"))
-    hubs = members.groupBy("band", "bucket").agg(F.min(draw).alias("first"), F.count(F.lit(1)).alias("n")).filter("n > 1").select("band", "bucket", F.col("first.hub").alias("hub"))
-    met, met_at = stored(members.join(hubs, ["band", "bucket"]), "buckets")
+    sizes = members.groupBy("band", "bucket").agg(F.count(F.lit(1)).alias("n")).filter("n > 1")
+    met, met_at = stored(members.join(sizes, ["band", "bucket"]), "buckets")
+    # who shares buckets with the most others is nearest to what its group has in common
+    weight = met.groupBy("rep").agg(F.sum("n").alias("weight"))
+    first_of = F.max(F.struct("weight", F.xxhash64("rep").alias("h"), F.col("rep").alias("hub"))).alias("first")
+    hubs = met.join(weight, "rep").groupBy("band", "bucket").agg(first_of).select("band", "bucket", F.col("first.hub").alias("hub"))
     pair = [F.least("hub", "rep").alias("a"), F.greatest("hub", "rep").alias("b")]
-    tested, tested_at = stored(_promising(met.filter("hub <> rep").select(*pair).distinct(), classes, params), "pairs")
+    tested, tested_at = stored(_promising(met.join(hubs, ["band", "bucket"]).filter("hub <> rep").select(*pair).distinct(), classes, params), "pairs")
     links = store(_confirmed(tested, docs, key, text, params).distinct(), "links")
     labels = components(links)
 
-    # what hubs leave open: members of one bucket in different components
-    placed = met.join(labels, met["rep"] == labels["node"], "left").select("band", "bucket", "rep", F.coalesce("component", "rep").alias("component"))
-    lists = placed.groupBy("band", "bucket").agg(F.min("component").alias("low"), F.max("component").alias("high"), F.count(F.lit(1)).alias("n"))
-    # a bucket of two has been looked at in full
-    unsettled = lists.filter("low <> high and n > 2").select("band", "bucket")
-    rest, rest_at = stored(placed.join(unsettled, ["band", "bucket"]).join(classes.select("rep", "n_shingles", "sketch"), "rep"), "rest")
-    other = rest.select("band", "bucket", *[F.col(c).alias(f"{c}_b") for c in ("rep", "component", "n_shingles", "sketch")])
+    # what hubs leave open: members of one bucket in different components; a bucket of two has been looked at in full
+    placed, placed_at = stored(met.filter("n > 2").join(labels, F.col("rep") == F.col("node"), "left").select("band", "bucket", "rep", F.coalesce("component", "rep").alias("component")), "placed")
+    unsettled = placed.groupBy("band", "bucket").agg(F.min("component").alias("low"), F.max("component").alias("high")).filter("low <> high").select("band", "bucket")
+    rest = placed.join(unsettled, ["band", "bucket"])
+    own = _own_shingles(rest.select("rep").distinct(), docs, key, text, params)
+    traits = classes.select("rep", "n_shingles", "sketch").join(own, "rep").withColumn("common", F.col("n_shingles") - F.col("own"))
+    rest, rest_at = stored(rest.join(traits, "rep").select("band", "bucket", "rep", "component", "n_shingles", "common", "sketch"), "rest")
+    other = rest.select("band", "bucket", *[F.col(c).alias(f"{c}_b") for c in ("rep", "component", "n_shingles", "common", "sketch")])
+    # an intersection holds none of either side's own shingles
+    most = F.least("common", "common_b")
     apart = (
         (F.col("rep") < F.col("rep_b"))
         & (F.col("component") != F.col("component_b"))
-        & (F.least("n_shingles", "n_shingles_b") * params.den >= F.greatest("n_shingles", "n_shingles_b") * params.num)
+        & (most * params.den >= (F.col("n_shingles") + F.col("n_shingles_b") - most) * params.num)
         & (matching_lanes(F.col("sketch"), F.col("sketch_b"), params) >= params.least_matches)
     )
-    joined = rest.join(other, (rest["band"] == other["band"]) & (rest["bucket"] == other["bucket"]) & apart)
+    joined = rest.join(other, ["band", "bucket"]).filter(apart)
     open_pairs, open_at = stored(joined.select(F.col("rep").alias("a"), F.col("rep_b").alias("b")).distinct().join(tested, ["a", "b"], "left_anti"), "open")
     if not open_pairs.isEmpty():
         more = store(_confirmed(open_pairs, docs, key, text, params).distinct(), "links")
         if not more.isEmpty():
             labels = components(links.union(more))
-    discard(spark, met_at, tested_at, rest_at, open_at)
+    discard(spark, met_at, tested_at, placed_at, rest_at, open_at)
 
     # one row per class that is linked with another
     moved = classes.select("rep", "h1", "h2").join(labels, F.col("rep") == F.col("node"), "left").select(F.col("h1").alias("c1"), F.col("h2").alias("c2"), F.coalesce("component", "rep").alias("component_id"))
