@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from geoherald.llm import decontaminate, labelled, line_dedup, mixing, near_dedup, oracles, quality, toxicity, url_rules
+from geoherald.llm import decontaminate, labelled, line_dedup, mixing, near_dedup, oracles, quality, suffixes, toxicity, url_rules
 
 Query = Callable[[SparkSession, str], DataFrame]
 
@@ -26,6 +26,10 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def op2_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return suffixes.repeated_passages(table(spark, sf_dir, "documents"))
+
+
 def op3_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontaminate.find_leaks(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
 
@@ -70,6 +74,7 @@ def op10_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def queries() -> dict[str, Query]:
     return {
+        "op2_suffix_dedup": op2_suffix_dedup,
         "op3_decontaminate": op3_decontaminate,
         "op4_line_dedup": op4_line_dedup,
         "op6_toxicity": op6_toxicity,
