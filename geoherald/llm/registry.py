@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from geoherald.llm import decontaminate, html_text, labelled, line_dedup, mixing, near_dedup, oracles, quality, suffixes, toxicity, url_rules
+from geoherald.llm import decontaminate, html_text, images, labelled, line_dedup, mixing, near_dedup, oracles, quality, suffixes, toxicity, url_rules
 
 Query = Callable[[SparkSession, str], DataFrame]
 
@@ -44,6 +44,14 @@ def op4_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return cleaned.select("doc_id", "n_lines", "n_removed", F.length("text").alias("n_chars"), F.md5("text").alias("text_md5"))
 
 
+def op5_image_copies(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Pictures drawn from ``embeddings``; cropped, dimmed copies of those with an id divisible by 50 are searched in all."""
+    # a vector is a few hundred bytes and its picture takes milliseconds, so the rows are spread out first
+    vectors = table(spark, sf_dir, "embeddings").repartition(3 * spark.sparkContext.defaultParallelism)
+    media = vectors.select("vec_id", images.rendered(F.col("embedding")).alias("image"))
+    return images.find_copies(media, F.col("vec_id") % 50 == 0, key="vec_id", change=images.edited)
+
+
 def toxic_lexicon(spark: SparkSession, sf_dir: str) -> toxicity.Lexicon:
     """Learned from the tables in ``sf_dir``, never from held-out rows."""
     return toxicity.train_lexicon(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"), labelled.remainder(F.col("doc_id"), 5) != 0)
@@ -83,6 +91,7 @@ def queries() -> dict[str, Query]:
         "op2_suffix_dedup": op2_suffix_dedup,
         "op3_decontaminate": op3_decontaminate,
         "op4_line_dedup": op4_line_dedup,
+        "op5_image_copies": op5_image_copies,
         "op6_toxicity": op6_toxicity,
         "op7_mixing": op7_mixing,
         "op8_near_dedup": op8_near_dedup,
