@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
@@ -14,10 +15,11 @@ from geoherald.operators.assignment import Assignment, whole_world
 from geoherald.operators.measures import latency_bands, queued
 from geoherald.operators.sample import Sample, take_sample
 from geoherald.plans import experiments, oracles
-from geoherald.sources.shared import settle
+from geoherald.sources.shared import settle, shared_folder
 from geoherald.sources.tables import read_table
 from geoherald.sources.workload import drift, subscriptions, timed, tuple_mix
 from geoherald.sources.world import SMALL_SIDE, WIDE_SIDE, lexicon, object_source, ranked, wide_objects
+from geoherald.streaming import engine
 
 Query = Callable[[SparkSession, str], DataFrame]
 GRID = Grid(WIDE_SIDE, 6)
@@ -138,6 +140,17 @@ def match_phase_one(spark: SparkSession, folder: str) -> DataFrame:
     return matching.run(objects, subs, changed, freq)["matches"]
 
 
+def match_stream_replay(spark: SparkSession, folder: str) -> DataFrame:
+    """The timed workload as a stream of three micro-batches."""
+    objects, subs = _timed(spark, folder)
+    assignment, freq = planned("hybrid", objects, subs, GRID)
+    place = f"{shared_folder(spark)}/replay-{uuid.uuid4().hex}"
+    engine.write_slices(settle(engine.as_tuples(objects, subs), "tuples"), f"{place}/tuples", 3)
+    state = engine.Replay(spark, assignment, freq, place)
+    engine.replay(engine.source(spark, f"{place}/tuples"), state, f"{place}/checkpoint")
+    return state.matches()
+
+
 def match_lazy_deletion(spark: SparkSession, folder: str) -> DataFrame:
     """Tombstones for every third subscription, with a purge of the touched lists on the way."""
     objects, subs = workload(spark, folder, "Q1")
@@ -163,7 +176,8 @@ def simple_queries() -> dict[str, Query]:
         objects, subs = _timed(s, d)
         last = objects.agg(F.max("seq")).first()[0]
         steps = subs.select(F.col("reg_seq").alias("seq"), F.lit(1).alias("step")).union(subs.filter(F.col("cancel_seq") <= last).select("cancel_seq", F.lit(-1)))
-        return running_sum(steps, "seq", "step", "live")
+        # several cancellations can fall on one place
+        return running_sum(steps.groupBy("seq").agg(F.sum("step").alias("step")), "seq", "step", "live")
 
     def dropped(s, d):
         objects, subs = workload(s, d, "Q1")
@@ -352,6 +366,7 @@ def queries() -> dict[str, Query]:
         "match_dual_routing": match_dual_routing,
         "match_after_migration": match_after_migration,
         "match_phase_one": match_phase_one,
+        "match_stream_replay": match_stream_replay,
         "match_lazy_deletion": match_lazy_deletion,
         "select_exact_dp": select_by("exact_dp"),
         "select_ratio_greedy": select_by("ratio_greedy"),
@@ -374,6 +389,6 @@ def oracle_sql() -> dict[str, str]:
     q1 = oracles.match("Q1")
     found |= {n: q1 for n in ("match_bruteforce", "match_single", "match_fast_q1", "match_inverted_only", "match_grid_only", "match_after_migration", "match_phase_one")}
     found |= {"match_fast_q2": oracles.match("Q2"), "match_fast_q3": oracles.match("Q3"), "match_hybrid_small_q3": oracles.match("Q3", "small")}
-    found |= {n: oracles.match_timed() for n in ("match_after_cancel", "match_dual_routing")}
+    found |= {n: oracles.match_timed() for n in ("match_after_cancel", "match_dual_routing", "match_stream_replay")}
     found["match_lazy_deletion"] = q1.replace("select sub_id, obj_id from pairs", "select sub_id, obj_id from pairs where sub_id % 3 <> 0")
     return found

@@ -157,7 +157,7 @@ select reg_seq, 'reg', null, sub_id from tsubs union all
 select cancel_seq, 'cancel', null, sub_id from tsubs where cancel_seq <= (select max(seq) from tobj)""",
         "live_counts": f"""{base('Q1')}, {timed()},
 steps as (select reg_seq as seq, 1 as step from tsubs union all select cancel_seq, -1 from tsubs where cancel_seq <= (select max(seq) from tobj))
-select seq, sum(step) over (order by seq rows unbounded preceding)::bigint as live from steps""",
+select seq, sum(sum(step)) over (order by seq rows unbounded preceding)::bigint as live from steps group by seq""",
         "grid_histogram": f"with {o} select ({_AXIS.format(v='y')} * 64 + {_AXIS.format(v='x')})::int as cell, count(*) as n from obj group by 1",
         "routed_objects": routed("select obj_id, cell from sent"),
         "dropped_objects": routed("select obj_id from obj where obj_id not in (select obj_id from sent)"),

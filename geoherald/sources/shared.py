@@ -5,19 +5,20 @@ from __future__ import annotations
 import tempfile
 import uuid
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 
 
-def settle(df: DataFrame, label: str) -> DataFrame:
-    """Write ``df`` under ``spark.checkpoint.dir`` and return a DataFrame that reads it.
-
-    A folder of this machine is used only where the session names none, as in tests.
-    """
-    spark = df.sparkSession
+def shared_folder(spark: SparkSession) -> str:
+    """The session's ``spark.checkpoint.dir``; a folder of this machine only where it names none, as in tests."""
     folder = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not folder:
         folder = f"file://{tempfile.mkdtemp(prefix='geoherald-')}"
         spark.sparkContext.setCheckpointDir(folder)
-    path = f"{folder}/{label}-{uuid.uuid4().hex}"
+    return folder
+
+
+def settle(df: DataFrame, label: str) -> DataFrame:
+    """Write ``df`` in the shared folder and return a DataFrame that reads it."""
+    path = f"{shared_folder(df.sparkSession)}/{label}-{uuid.uuid4().hex}"
     df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)
