@@ -49,11 +49,9 @@ class NearParams:
     bands: int = 24
     rows: int = 4
     bits: int = 2
-    margin: float = 5.0
-
-    @property
-    def perms(self) -> int:
-        return self.bands * self.rows
+    #: minima in a sketch, of which the first ``bands * rows`` also make the bands
+    perms: int = 256
+    margin: float = 3.5
 
     @property
     def lanes(self) -> int:
@@ -71,25 +69,28 @@ class NearParams:
 class Signer:
     """Signatures of shingle sets."""
 
-    BLOCK = 4096
+    BLOCK = 1024
 
     def __init__(self, params: NearParams):
         rng = np.random.default_rng(20_240_607)
         n = params.perms
         self.params = params
-        self.mult = rng.integers(0, 2**63, n, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
-        self.flip = rng.integers(0, 2**63, n, dtype=np.uint64)
+        # 32-bit words: four to eight of them are one vector instruction
+        self.mult = rng.integers(0, 2**31, n, dtype=np.uint32)[:, None] * np.uint32(2) + np.uint32(1)
+        self.flip = rng.integers(0, 2**32, n, dtype=np.uint32)[:, None]
         self.step = rng.integers(0, 2**63, params.rows, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 
     def minima(self, shingles: np.ndarray) -> np.ndarray:
-        low = np.full(len(self.mult), 2**64 - 1, dtype=np.uint64)
-        for at in range(0, len(shingles), self.BLOCK):
-            x = shingles[at : at + self.BLOCK]
-            np.minimum(low, ((x[None, :] ^ self.flip[:, None]) * self.mult[:, None]).min(axis=1), out=low)
-        return low >> np.uint64(16)
+        words = (shingles >> np.uint64(32)).astype(np.uint32)
+        low = np.full(len(self.mult), 2**32 - 1, dtype=np.uint32)
+        for at in range(0, len(words), self.BLOCK):
+            x = words[None, at : at + self.BLOCK] ^ self.flip
+            x *= self.mult
+            np.minimum(low, x.min(axis=1), out=low)
+        return low.astype(np.uint64)
 
     def bands(self, minima: np.ndarray) -> np.ndarray:
-        grid = minima.reshape(self.params.bands, self.params.rows)
+        grid = minima[: self.params.bands * self.params.rows].reshape(self.params.bands, self.params.rows)
         return mix((mix(grid) * self.step).sum(axis=1, dtype=np.uint64)).view(np.int64)
 
     def sketch(self, minima: np.ndarray) -> np.ndarray:
@@ -164,7 +165,8 @@ def _confirmed(pairs: DataFrame, docs: DataFrame, key: str, text: str, params: N
     texts = docs.select(F.col(f"`{key}`").alias("id"), F.col(f"`{text}`").cast("string").alias("t"))
     ids = pairs.select(F.col("a").alias("id")).union(pairs.select("b")).distinct()
     texts, _ = stored(texts.join(ids, "id", "left_semi"), "texts")
-    full = pairs.join(texts.select(F.col("id").alias("a"), F.col("t").alias("ta")), "a").join(texts.select(F.col("id").alias("b"), F.col("t").alias("tb")), "b")
+    # first the side that is different in most pairs, so that the texts met often move once
+    full = pairs.join(texts.select(F.col("id").alias("b"), F.col("t").alias("tb")), "b").join(texts.select(F.col("id").alias("a"), F.col("t").alias("ta")), "a")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         cache, sets = WordHashes(), {}
@@ -237,9 +239,9 @@ def near_duplicates(docs: DataFrame, key: str = "doc_id", text: str = "text", pa
     unsettled = placed.groupBy("band", "bucket").agg(F.min("component").alias("low"), F.max("component").alias("high")).filter("low <> high").select("band", "bucket")
     rest = placed.join(unsettled, ["band", "bucket"])
     own = _own_shingles(rest.select("rep").distinct(), docs, key, text, params)
-    traits = classes.select("rep", "n_shingles", "sketch").join(own, "rep").withColumn("common", F.col("n_shingles") - F.col("own"))
-    rest, rest_at = stored(rest.join(traits, "rep").select("band", "bucket", "rep", "component", "n_shingles", "common", "sketch"), "rest")
-    other = rest.select("band", "bucket", *[F.col(c).alias(f"{c}_b") for c in ("rep", "component", "n_shingles", "common", "sketch")])
+    traits = classes.select("rep", "n_shingles", "bands", "sketch").join(own, "rep").withColumn("common", F.col("n_shingles") - F.col("own"))
+    rest, rest_at = stored(rest.join(traits, "rep").select("band", "bucket", "rep", "component", "n_shingles", "common", "bands", "sketch"), "rest")
+    other = rest.select("band", "bucket", *[F.col(c).alias(f"{c}_b") for c in ("rep", "component", "n_shingles", "common", "bands", "sketch")])
     # an intersection holds none of either side's own shingles
     most = F.least("common", "common_b")
     apart = (
@@ -248,8 +250,11 @@ def near_duplicates(docs: DataFrame, key: str = "doc_id", text: str = "text", pa
         & (most * params.den >= (F.col("n_shingles") + F.col("n_shingles_b") - most) * params.num)
         & (matching_lanes(F.col("sketch"), F.col("sketch_b"), params) >= params.least_matches)
     )
+    # a pair that shares several buckets is taken in the first; a lambda keeps this out of the generated
+    # method, which would grow too long to be compiled, and runs for pairs that pass the rest only
+    apart &= F.array_position(F.zip_with("bands", "bands_b", lambda x, y: x == y), F.lit(True)) == F.col("band") + 1
     joined = rest.join(other, ["band", "bucket"]).filter(apart)
-    open_pairs, open_at = stored(joined.select(F.col("rep").alias("a"), F.col("rep_b").alias("b")).distinct().join(tested, ["a", "b"], "left_anti"), "open")
+    open_pairs, open_at = stored(joined.select(F.col("rep").alias("a"), F.col("rep_b").alias("b")).join(tested, ["a", "b"], "left_anti"), "open")
     if not open_pairs.isEmpty():
         more = store(_confirmed(open_pairs, docs, key, text, params).distinct(), "links")
         if not more.isEmpty():
