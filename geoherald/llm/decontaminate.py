@@ -52,8 +52,9 @@ class ItemIndex:
     def __init__(self, items: list[tuple[object, np.ndarray]], params: LeakParams):
         rng = np.random.default_rng(977)
         self.params = params
-        self.mult = rng.integers(0, 2**63, params.perms, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
-        self.flip = rng.integers(0, 2**63, params.perms, dtype=np.uint64)
+        # 32-bit words: four to eight of them are one vector instruction
+        self.mult = rng.integers(0, 2**31, params.perms, dtype=np.uint32)[:, None] * np.uint32(2) + np.uint32(1)
+        self.flip = rng.integers(0, 2**32, params.perms, dtype=np.uint32)[:, None]
         self.items = items
         sized: dict[int, list[int]] = {}
         for k, (_, s) in enumerate(items):
@@ -70,19 +71,27 @@ class ItemIndex:
             self.classes.append((u, keys[order], owner[order]))
 
     def hashed(self, grams: np.ndarray) -> np.ndarray:
-        return (grams[None, :] ^ self.flip[:, None]) * self.mult[:, None]
+        x = (grams >> np.uint64(32)).astype(np.uint32)[None, :] ^ self.flip
+        x *= self.mult
+        return x
 
     def keyed(self, low: np.ndarray) -> np.ndarray:
-        """Minima (one row per set) with the number of their permutation in the lowest byte and a half."""
-        return (low & ~np.uint64(0xFFF)) | np.arange(self.params.perms, dtype=np.uint64)[None, :]
+        """Minima (one row per set) under the number of their permutation."""
+        return low.astype(np.uint64) | (np.arange(self.params.perms, dtype=np.uint64)[None, :] << np.uint64(32))
 
     def block_minima(self, grams: np.ndarray) -> np.ndarray:
-        """Minima of every block of ``smallest`` shingles; one column per block."""
+        """Minima of every block of ``smallest`` shingles; one column per block.
+
+        Blocks lie side by side, so that minima are taken over whole vectors. The last one is filled up
+        with its last shingle, which changes no minimum.
+        """
         size, out = self.params.smallest, []
-        step = size * 256
+        step = size * 64
         for at in range(0, len(grams), step):
             part = grams[at : at + step]
-            out.append(np.minimum.reduceat(self.hashed(part), np.arange(0, len(part), size), axis=1))
+            part = np.concatenate([part, np.repeat(part[-1:], -len(part) % size)])
+            turned = np.ascontiguousarray(part.reshape(-1, size).T)
+            out.append(self.hashed(turned.ravel()).reshape(self.params.perms, size, -1).min(axis=1))
         return np.concatenate(out, axis=1)
 
     def candidates(self, grams: np.ndarray) -> set[int]:
