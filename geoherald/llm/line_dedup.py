@@ -13,8 +13,9 @@ of 54 bits of the line's hash and its length modulo 1024, which is enough to che
 
 Within a bucket of rows with equal content, everything first meets the two lines of lowest id (one per
 role); what is removed then needs no further partner, so a large group of like lines costs one pair
-for each member. Pairs of the remaining ones follow, which makes the answer exact. Pairs are verified
-by a banded bit-parallel edit distance.
+for each member. Pairs of the remaining ones follow, which makes the answer exact; those of them go
+first whose pairs of neighbouring characters differ too much. Pairs are verified by a banded
+bit-parallel edit distance.
 
 Very frequent lines (1/100,000 of all, so at most 100,000 of them) send rows from their first place only;
 their list is broadcast. Texts to verify are picked by a broadcast list of places up to
@@ -70,7 +71,7 @@ def own_keys(line: Column, length: Column, edits: int) -> Column:
 
 
 def probe_keys(line: Column, length: Column, edits: int) -> Column:
-    """Hashes of the substrings that can be segments of a line up to ``edits`` shorter.
+    """Hashes of the substrings that can be segments of a line up to ``edits`` shorter; maybe a null.
 
     Segment i can be shifted by at most i places by what comes before it, and what comes after must make
     up for the rest of the difference in length.
@@ -83,7 +84,7 @@ def probe_keys(line: Column, length: Column, edits: int) -> Column:
                 at = start + shift
                 fits = (at >= 0) & (at + size <= length)
                 keys.append(F.when(fits, F.xxhash64(F.lit(i), F.substring(line, at + 1, size))))
-    return F.array_compact(F.array_distinct(F.array(*keys)))
+    return F.array_distinct(F.array(*keys))
 
 
 def within_edits(a: Column, b: Column, edits: int) -> Column:
@@ -155,6 +156,15 @@ def lines_within(x: Column, y: Column, edits: int, block: int = 16) -> Column:
     return let(core, lambda p: within_edits(letters(p["x"]), letters(p["y"]), edits))
 
 
+def bigram_parity(line: Column) -> Column:
+    """One bit for each of 64 classes of pairs of neighbouring characters: whether the line has an odd number.
+
+    An edit operation takes away at most two pairs and adds at most two, so it changes at most four bits.
+    """
+    pairs = F.transform(F.sequence(F.lit(1), F.greatest(F.length(line) - 1, F.lit(1))), lambda i: F.pmod(F.xxhash64(F.substr(line, i, F.lit(2))), F.lit(64)).cast("int"))
+    return F.aggregate(pairs, F.lit(0).cast("long"), lambda bits, k: bits.bitwiseXOR(F.call_function("shiftleft", F.lit(1).cast("long"), k)))
+
+
 def _lines(docs: DataFrame, key: str, text: str, least: int) -> DataFrame:
     rows = docs.select(F.col(f"`{key}`").alias("key"), F.col(f"`{text}`").cast("string").alias("text")).filter("key is not null")
     rows = rows.select("key", F.posexplode(F.split("text", "\n")).alias("pos", "line"))
@@ -191,11 +201,10 @@ def near_lines(docs: DataFrame, classes: DataFrame, key: str, text: str, params:
     hot = classes.filter(F.col("times") >= max(3, whole / 100_000)).select(F.col("h1").alias("g1"), F.col("h2").alias("g2"), "first")
     lines = _lines(docs, key, text, params.least).join(F.broadcast(hot), (F.col("h1") == F.col("g1")) & (F.col("h2") == F.col("g2")), "left")
     lines = lines.filter(F.col("first").isNull() | ((F.col("first.key") == F.col("key")) & (F.col("first.pos") == F.col("pos"))))
-    keys = F.concat(
-        F.transform(own_keys(F.col("line"), F.col("n"), params.edits), lambda k: F.struct(k.alias("k"), F.lit(True).alias("own"))),
-        F.transform(probe_keys(F.col("line"), F.col("n"), params.edits), lambda k: F.struct(k.alias("k"), F.lit(False).alias("own"))),
-    )
-    rows = lines.select("id", F.explode(keys).alias("x")).select("x.k", "id", "x.own")
+    # plain arrays, filled in a projection, stay inside generated code
+    keys = F.concat(own_keys(F.col("line"), F.col("n"), params.edits), probe_keys(F.col("line"), F.col("n"), params.edits))
+    rows = lines.select("id", keys.alias("keys")).select("id", F.posexplode("keys").alias("slot", "k"))
+    rows = rows.filter("k is not null").select("k", "id", (F.col("slot") <= params.edits).alias("own"))
     bucket = Window.partitionBy("k")
     rows = rows.withColumns({"low": F.min("id").over(bucket), "high": F.max("id").over(bucket)}).filter("low <> high").select("k", "id", "own").distinct()
     open_rows, at = stored(rows, "buckets")
@@ -216,9 +225,14 @@ def near_lines(docs: DataFrame, classes: DataFrame, key: str, text: str, params:
     alive = marked.filter("not removed").select("k").distinct()
     sizes = open_rows.groupBy("k").agg(F.countDistinct("id").alias("lines")).filter("lines > 2").select("k")
     marked = marked.join(alive, "k", "left_semi").join(sizes, "k", "left_semi")
-    short = marked.filter("own").select("k", F.col("id").alias("r"), F.col("removed").alias("r_removed"))
-    long = marked.filter("not own").select("k", F.col("id").alias("s"), F.col("removed").alias("s_removed"))
-    apart = (F.col("r") != F.col("s")) & longer(F.col("r"), F.col("s")) & F.when(F.col("r") < F.col("s"), ~F.col("s_removed")).otherwise(~F.col("r_removed"))
+    texts = store(_texts_of(marked.select("id").distinct(), classes, docs, key, text, params).select("id", bigram_parity(F.col("line")).alias("sig")), "parities")
+    # two lines of one id (a collision) are as good as unmarked
+    texts = texts.groupBy("id").agg(F.when(F.count(F.lit(1)) == 1, F.min("sig")).alias("sig"))
+    marked = store(marked.join(texts, "id", "left"), "marked")
+    short = marked.filter("own").select("k", F.col("id").alias("r"), F.col("removed").alias("r_removed"), F.col("sig").alias("r_sig"))
+    long = marked.filter("not own").select("k", F.col("id").alias("s"), F.col("removed").alias("s_removed"), F.col("sig").alias("s_sig"))
+    alike = F.coalesce(F.bit_count(F.col("r_sig").bitwiseXOR(F.col("s_sig"))) <= 4 * params.edits, F.lit(True))
+    apart = (F.col("r") != F.col("s")) & longer(F.col("r"), F.col("s")) & F.when(F.col("r") < F.col("s"), ~F.col("s_removed")).otherwise(~F.col("r_removed")) & alike
     more = short.join(long, "k").filter(apart).select(F.least("r", "s").alias("a"), F.greatest("r", "s").alias("b")).distinct().join(first, ["a", "b"], "left_anti")
     rest, rest_at = stored(more, "rest")
     if not rest.isEmpty():
