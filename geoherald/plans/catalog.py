@@ -10,36 +10,19 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from geoherald.functions.geometry import Grid
-from geoherald.operators import adjust, hybrid, load, matching, migrate, routing, spacesplit, textsplit
+from geoherald.operators import adjust, load, matching, migrate, routing, spacesplit
 from geoherald.operators.assignment import Assignment, whole_world
 from geoherald.operators.measures import latency_bands, queued
-from geoherald.operators.sample import Sample, take_sample
-from geoherald.plans import experiments, oracles
+from geoherald.operators.sample import take_sample
+from geoherald.plans import experiments, oracles, surface
+from geoherald.plans.settings import BY_SPACE, GRID, MU, PARTITIONERS, PLANNED, SMALL_GRID, WORKERS
 from geoherald.sources.shared import settle, shared_folder
 from geoherald.sources.tables import read_table
 from geoherald.sources.workload import drift, subscriptions, timed, tuple_mix
-from geoherald.sources.world import SMALL_SIDE, WIDE_SIDE, lexicon, object_source, ranked, wide_objects
+from geoherald.sources.world import lexicon, object_source, ranked, wide_objects
 from geoherald.streaming import engine
 
 Query = Callable[[SparkSession, str], DataFrame]
-GRID = Grid(WIDE_SIDE, 6)
-SMALL_GRID = Grid(SMALL_SIDE, 6)
-WORKERS = 8
-MU = oracles.MU
-
-PARTITIONERS: dict[str, Callable[[Sample, int], Assignment]] = {
-    "hybrid": hybrid.build,
-    "grid": spacesplit.by_grid,
-    "kdtree": spacesplit.by_kdtree,
-    "rtree": spacesplit.by_rtree,
-    "frequency": textsplit.by_frequency,
-    "hypergraph": textsplit.by_hypergraph,
-    "metric": textsplit.by_metric,
-}
-#: Rows of the planner's sample in the queries here.
-PLANNED = 4000
-
-
 def workload(spark: SparkSession, folder: str, group: str, world: str = "wide") -> tuple[DataFrame, DataFrame]:
     """Objects and subscriptions of a group, written once."""
     objects = settle(object_source(spark, folder, world), "objects")
@@ -58,7 +41,7 @@ def match_by(name: str, group: str, world: str = "wide") -> Query:
         grid = GRID if world == "wide" else SMALL_GRID
         assignment, freq = planned(name, objects, subs, grid)
         # the text baselines have no destination for terms that nobody waits for; those of space send all
-        return matching.run(objects, subs, assignment, freq, drop_unmatched=name not in ("grid", "kdtree", "rtree"))["matches"]
+        return matching.run(objects, subs, assignment, freq, drop_unmatched=name not in BY_SPACE)["matches"]
 
     return query
 
@@ -349,7 +332,7 @@ def delays(spark: SparkSession, folder: str) -> DataFrame:
 
 
 def queries() -> dict[str, Query]:
-    found: dict[str, Query] = simple_queries()
+    found: dict[str, Query] = simple_queries() | surface.queries()
     for name in PARTITIONERS:
         for group in ("Q1", "Q2", "Q3"):
             found[f"match_{name}_{group.lower()}"] = match_by(name, group)
@@ -377,12 +360,13 @@ def queries() -> dict[str, Query]:
         "loads_by_partitioner": experiments.loads_by_partitioner,
         "migration_study": experiments.migration_study,
         "drift_study": experiments.drift_study,
+        "scalability_small": experiments.scalability,
     }
     return found
 
 
 def oracle_sql() -> dict[str, str]:
-    found = oracles.simple() | oracles.selections()
+    found = oracles.simple() | oracles.selections() | surface.oracle_sql()
     for name in PARTITIONERS:
         for group in ("Q1", "Q2", "Q3"):
             found[f"match_{name}_{group.lower()}"] = oracles.match(group)

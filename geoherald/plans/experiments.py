@@ -5,30 +5,18 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from geoherald.operators import adjust, hybrid, load, matching, migrate, routing, spacesplit, textsplit
+from geoherald.operators import adjust, hybrid, load, matching, migrate, routing, spacesplit
 from geoherald.operators.assignment import Assignment
 from geoherald.operators.measures import dispatcher_bytes, timed, worker_bytes
 from geoherald.operators.sample import take_sample
+from geoherald.plans.settings import BY_SPACE, GRID, MU, PARTITIONERS, PLANNED, SMALL_GRID
+from geoherald.plans.settings import WORKERS as M
 from geoherald.sources.shared import settle
-
-BUILDERS = {
-    "hybrid": hybrid.build,
-    "grid": spacesplit.by_grid,
-    "kdtree": spacesplit.by_kdtree,
-    "rtree": spacesplit.by_rtree,
-    "frequency": textsplit.by_frequency,
-    "hypergraph": textsplit.by_hypergraph,
-    "metric": textsplit.by_metric,
-}
-BY_SPACE = ("grid", "kdtree", "rtree")
-M, PLANNED = 8, 4000
+from geoherald.sources.workload import drift, subscriptions
+from geoherald.sources.world import object_source
 
 
 def _setting(spark: SparkSession, folder: str, group: str, world: str = "wide", live: int | None = None, all_rare: bool = False):
-    from geoherald.plans.catalog import GRID, SMALL_GRID
-    from geoherald.sources.workload import subscriptions
-    from geoherald.sources.world import object_source
-
     objects = settle(object_source(spark, folder, world), "objects")
     subs = subscriptions(spark, folder, group, world, all_rare=all_rare, objects=objects)
     if live is not None:
@@ -61,7 +49,7 @@ def loads_by_partitioner(spark: SparkSession, folder: str, groups: tuple[str, ..
     rows = []
     for group in groups:
         objects, subs, grid, freq, sample = _setting(spark, folder, group, world, live, all_rare)
-        for name, builder in BUILDERS.items():
+        for name, builder in PARTITIONERS.items():
             assignment = builder(sample, m)
             for drop in (True, False) if name in BY_SPACE else (True,):
                 got = measured(objects, subs, assignment, freq, drop)
@@ -75,7 +63,7 @@ def scalability(spark: SparkSession, folder: str, group: str = "Q3", ms: tuple[i
     objects, subs, grid, freq, sample = _setting(spark, folder, group, "small")
     for m in ms:
         for name in ("hybrid", "metric", "kdtree"):
-            got = measured(objects, subs, BUILDERS[name](sample, m), freq, name != "kdtree")
+            got = measured(objects, subs, PARTITIONERS[name](sample, m), freq, name != "kdtree")
             rows.append((m, name, got["top"], got["total"]))
     return spark.createDataFrame(rows, "m int, partitioner string, top double, total double")
 
@@ -112,9 +100,6 @@ def migration_study(spark: SparkSession, folder: str, lives: tuple[int, ...] = (
 def drift_study(spark: SparkSession, folder: str, epochs: int = 3, share_of_ten: int = 3) -> DataFrame:
     """Q3 whose regions turn style epoch by epoch, with and without local adjustment: total load and the most
     loaded worker's, by the model, and the bytes moved."""
-    from geoherald.plans.catalog import MU
-    from geoherald.sources.workload import drift, subscriptions
-
     objects, _, grid, freq, sample = _setting(spark, folder, "Q3")
     all_subs = settle(subscriptions(spark, folder, "Q3", flips=drift(MU, share_of_ten), objects=objects), "drifting")
     fixed = moving = hybrid.build(sample, M)

@@ -118,7 +118,7 @@ select p.sub_id, p.obj_id from pairs p join tsubs s using (sub_id) join tobj o u
 where reg_seq < seq and (cancel_seq is null or seq < cancel_seq)"""
 
 
-_AXIS = "least(greatest(floor({v} / 65536.0)::int, 0), 63)"
+AXIS = "least(greatest(floor({v} / 65536.0)::int, 0), 63)"
 ROUTE = f"""
 freq as (select term, df from lex),
 route as (
@@ -126,10 +126,10 @@ route as (
     select sub_id, c, term, row_number() over (partition by sub_id, c order by coalesce(df, 0), term) as r
     from (select sub_id, c, unnest(words) as term from (select sub_id, generate_subscripts(dnf, 1) as c, unnest(dnf) as words from subs))
     left join freq using (term)) where r = 1),
-cols as (select sub_id, unnest(range({_AXIS.format(v="x0")}, {_AXIS.format(v="x1")} + 1)) as cx from subs),
-spots as (select sub_id, cx, unnest(range({_AXIS.format(v="y0")}, {_AXIS.format(v="y1")} + 1)) as cy from cols join subs using (sub_id)),
+cols as (select sub_id, unnest(range({AXIS.format(v="x0")}, {AXIS.format(v="x1")} + 1)) as cx from subs),
+spots as (select sub_id, cx, unnest(range({AXIS.format(v="y0")}, {AXIS.format(v="y1")} + 1)) as cy from cols join subs using (sub_id)),
 posting as (select sub_id, (cy * 64 + cx)::int as cell, term from spots join route using (sub_id)),
-probe as (select obj_id, ({_AXIS.format(v="y")} * 64 + {_AXIS.format(v="x")})::int as cell, unnest(terms) as term from obj),
+probe as (select obj_id, ({AXIS.format(v="y")} * 64 + {AXIS.format(v="x")})::int as cell, unnest(terms) as term from obj),
 sent as (select distinct obj_id, cell from probe join (select distinct cell, term from posting) using (cell, term))"""
 
 
@@ -158,7 +158,7 @@ select cancel_seq, 'cancel', null, sub_id from tsubs where cancel_seq <= (select
         "live_counts": f"""{base('Q1')}, {timed()},
 steps as (select reg_seq as seq, 1 as step from tsubs union all select cancel_seq, -1 from tsubs where cancel_seq <= (select max(seq) from tobj))
 select seq, sum(sum(step)) over (order by seq rows unbounded preceding)::bigint as live from steps group by seq""",
-        "grid_histogram": f"with {o} select ({_AXIS.format(v='y')} * 64 + {_AXIS.format(v='x')})::int as cell, count(*) as n from obj group by 1",
+        "grid_histogram": f"with {o} select ({AXIS.format(v='y')} * 64 + {AXIS.format(v='x')})::int as cell, count(*) as n from obj group by 1",
         "routed_objects": routed("select obj_id, cell from sent"),
         "dropped_objects": routed("select obj_id from obj where obj_id not in (select obj_id from sent)"),
         "postings_per_cell": routed("select cell, term, count(*) as n from posting group by all"),
@@ -190,7 +190,7 @@ select event_id, user_id, o_orderkey from e asof left join r on e.user_id = r.o_
 from pairs join subs using (sub_id) join customer on owner = c_custkey join nation on c_nationkey = n_nationkey group by rollup (n_regionkey, n_nationkey)""",
         "cube_ops": f"""{base('Q1')}, {timed()}, t as (select seq, 'obj' as op from tobj union all select reg_seq, 'reg' from tsubs union all select cancel_seq, 'cancel' from tsubs where cancel_seq <= (select max(seq) from tobj))
 select op, (seq % 12)::bigint as slot, count(*) as n from t group by cube (op, (seq % 12)::bigint)""",
-        "ntile_tiles": f"""with {o}, c as (select cx, cy, count(*) as n from (select {_AXIS.format(v='x')} as cx, {_AXIS.format(v='y')} as cy from obj) group by all),
+        "ntile_tiles": f"""with {o}, c as (select cx, cy, count(*) as n from (select {AXIS.format(v='x')} as cx, {AXIS.format(v='y')} as cy from obj) group by all),
 s as (select *, ntile(8) over (order by cx, cy) as slab from c)
 select slab, ntile(8) over (partition by slab order by cy, cx) as tile, cx, cy, n from s""",
         "json_props": "select event_type, sum((props::json->>'$.k')::bigint)::bigint as k, count(*) as n from events group by event_type",
