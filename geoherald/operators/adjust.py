@@ -120,25 +120,24 @@ def modelled(sample: Sample, assignment: Assignment) -> float:
 
 
 def modelled_loads(sample: Sample, assignment: Assignment) -> list[float]:
+    """Loads of the workers on a sample, as the routing grid would send it: cell by cell."""
     objects: list[set[int]] = [set() for _ in range(assignment.m)]
     subs: list[set[int]] = [set() for _ in range(assignment.m)]
-    root = Node.root(sample)
+    at, over = sample.by_cell()
     for leaf in assignment.leaves:
-        node = root.within(leaf.x0, leaf.y0, leaf.x1, leaf.y1)
-        if not node.subs:
-            continue
-        if not leaf.by_text:
-            subs[leaf.workers[0]].update(node.subs)
-            objects[leaf.workers[0]].update(node.reached())
-            continue
-        live = node.live()
-        owner = {t: leaf.workers[leaf.terms.get(t, sum(map(ord, t)) % len(leaf.workers))] for t in live}
-        for q in node.subs:
-            for t in sample.subs[q][4]:
-                subs[owner[t]].add(q)
-        for o in node.objects:
-            for t in sample.objects[o][2] & live:
-                objects[owner[t]].add(o)
+        parts = len(leaf.workers)
+        for cell in ((cx, cy) for cy in range(leaf.y0, leaf.y1) for cx in range(leaf.x0, leaf.x1)):
+            owner = {}
+            for q in over.get(cell, ()):
+                for t in sample.subs[q][4]:
+                    # a term without a place goes by a hash, of any kind here
+                    worker = leaf.workers[leaf.terms.get(t, sum(map(ord, t)) % parts) if parts > 1 else 0]
+                    owner[t] = worker
+                    subs[worker].add(q)
+            for o in at.get(cell, ()) if owner else ():
+                for t in sample.objects[o][2]:
+                    if t in owner:
+                        objects[owner[t]].add(o)
     return [sample.costs.load(len(o), len(q)) for o, q in zip(objects, subs, strict=True)]
 
 

@@ -50,6 +50,18 @@ class Sample:
     def df(self) -> Counter:
         return Counter(t for o in self.objects for t in o[2])
 
+    def by_cell(self) -> tuple[dict[tuple[int, int], list[int]], dict[tuple[int, int], list[int]]]:
+        """Numbers of the objects in each cell, and of the subscriptions over it."""
+        at: dict[tuple[int, int], list[int]] = {}
+        over: dict[tuple[int, int], list[int]] = {}
+        for k, o in enumerate(self.objects):
+            at.setdefault((o[0], o[1]), []).append(k)
+        for k, q in enumerate(self.subs):
+            for cx in range(q[0], q[1] + 1):
+                for cy in range(q[2], q[3] + 1):
+                    over.setdefault((cx, cy), []).append(k)
+        return at, over
+
 
 def take_sample(objects: DataFrame, subs: DataFrame, grid: Grid, freq: DataFrame | None = None, n_objects: int = OBJECTS, n_subs: int = SUBSCRIPTIONS, seed: int = 1, costs: Costs = Costs()) -> Sample:
     """The sample; ``freq`` is the routing version's frequency table."""
