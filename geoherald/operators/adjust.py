@@ -50,49 +50,59 @@ class Move:
 
 def phase_one(sample: Sample, assignment: Assignment, donor: int, receiver: int, p: int) -> tuple[Assignment, list[str]]:
     """On the ``p`` heaviest cells of the donor: cut one by text, moving the smaller half, or give a part
-    to its twin on the receiver, where that lowers the total load of the two.
+    to its twin on the receiver.
 
-    Each change is judged by itself on the sample, with what the changes before it left.
+    A change stays if it lowers the load of the two together, by the definition, on the sample; each is
+    judged with what the changes before it left.
     """
     out, steps = by_cells(assignment), []
     root = Node.root(sample)
+    at, over = sample.by_cell()
+    weight = lambda leaf: len(at.get((leaf.x0, leaf.y0), ())) * len(over.get((leaf.x0, leaf.y0), ()))
+    mine = sorted((k for k, leaf in enumerate(out.leaves) if donor in leaf.workers), key=lambda k: (-weight(out.leaves[k]), k))[:p]
 
-    def node_of(leaf: Leaf, workers: set[int]) -> Node:
-        node = root.within(leaf.x0, leaf.y0, leaf.x1, leaf.y1)
-        if leaf.by_text:
-            live = node.live()
-            node.terms = frozenset(t for t in live if leaf.workers[leaf.terms.get(t, 0)] in workers)
-            node.subs = [q for q in node.subs if not node.terms.isdisjoint(sample.subs[q][4])]
-        return node
+    def together() -> float:
+        loads = modelled_loads(sample, out)
+        return loads[donor] + loads[receiver]
 
-    mine = sorted(((node_of(leaf, {donor}).load, k) for k, leaf in enumerate(out.leaves) if donor in leaf.workers), key=lambda x: (-x[0], x[1]))[:p]
-    for load, k in mine:
+    before = together()
+    for k in mine:
         leaf = out.leaves[k]
-        if load == 0:
-            continue
+        if weight(leaf) == 0:
+            break
+        kept = Leaf(leaf.x0, leaf.y0, leaf.x1, leaf.y1, list(leaf.workers), leaf.terms, leaf.load)
         if leaf.by_text and receiver in leaf.workers:
-            together = node_of(leaf, {donor, receiver}).load
-            if together < load + node_of(leaf, {receiver}).load:
-                leaf.workers = [receiver if w == donor else w for w in leaf.workers]
-                steps.append(f"merge cell {leaf.y0 * out.grid.n + leaf.x0}")
-            continue
-        if leaf.by_text:
-            continue
-        node = node_of(leaf, {donor})
-        halves = node.text_cut(2, pack_terms)
-        if halves is None or sum(h.load for h in halves) >= load:
+            leaf.workers = [receiver if w == donor else w for w in leaf.workers]
+            step = "merge"
+        elif not leaf.by_text:
+            halves = root.within(leaf.x0, leaf.y0, leaf.x1, leaf.y1).text_cut(2, pack_terms)
+            if halves is None:
+                continue
+            size = [sum(len(t) for q in h.subs for t in sample.subs[q][5]) + 48 * len(h.subs) for h in halves]
+            small = 0 if size[0] <= size[1] else 1
+            leaf.terms = {t: int(t in halves[small].terms) for h in halves for t in h.terms}
+            leaf.workers = [donor, receiver]
+            step = "split"
+        else:
             continue
-        size = [sum(len(t) for q in h.subs for t in sample.subs[q][5]) + 48 * len(h.subs) for h in halves]
-        small = 0 if size[0] <= size[1] else 1
-        leaf.terms = {t: int(t in halves[small].terms) for h in halves for t in h.terms}
-        leaf.workers = [donor, receiver]
-        steps.append(f"split cell {leaf.y0 * out.grid.n + leaf.x0}")
+        after = together()
+        if after < before:
+            before = after
+            steps.append(f"{step} cell {leaf.y0 * out.grid.n + leaf.x0}")
+        else:
+            out.leaves[k] = kept
     return out, steps
 
 
-def phase_two(cells: DataFrame, assignment: Assignment, donor: int, receiver: int, tau: float, method: str = "ratio_greedy") -> tuple[Assignment, Choice]:
-    """Cells of the donor (``worker, cell, load, size_bytes``) chosen by a selector go to the receiver."""
-    choice = select(cells.filter(F.col("worker") == donor), tau, method)
+def phase_two(cells: DataFrame, assignment: Assignment, donor: int, receiver: int, share: float, method: str = "ratio_greedy") -> tuple[Assignment, Choice]:
+    """Cells of the donor (``worker, cell, load, size_bytes``) chosen by a selector go to the receiver.
+
+    ``share`` is the part of the donor's load to move. Loads of cells add up to less than that of their
+    worker, whose objects meet all of its subscriptions by the definition, so the part is taken of their sum.
+    """
+    mine = cells.filter(F.col("worker") == donor)
+    whole = mine.agg(F.sum("load")).first()[0] or 0.0
+    choice = select(mine, share * whole, method)
     out, chosen = by_cells(assignment), set(choice.cells)
     for leaf in out.leaves:
         if leaf.y0 * out.grid.n + leaf.x0 in chosen:

@@ -105,7 +105,7 @@ def match_after_migration(spark: SparkSession, folder: str) -> DataFrame:
         return parts["matches"]
     donor, receiver, high, low = found
     cells = load.cell_load(parts["routed_objects"], parts["index"])
-    moved, choice = adjust.phase_two(cells, assignment, donor, receiver, adjust.target(high, low, 1.05))
+    moved, choice = adjust.phase_two(cells, assignment, donor, receiver, adjust.target(high, low, 1.05) / high)
     index = settle(adjust.apply(parts["index"], choice.cells, donor, receiver), "index")
     routed = routing.route_objects(objects, routing.live_map(index), GRID)
     return matching.merge(matching.match(objects, routed, index, GRID))

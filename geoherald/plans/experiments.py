@@ -115,7 +115,7 @@ def drift_study(spark: SparkSession, folder: str, epochs: int = 3, share_of_ten:
             loads = adjust.modelled_loads(seen, moving)
             parts = matching.run(objects, now, moving, freq)
             cells = load.cell_load(parts["routed_objects"], parts["index"])
-            moving, choice = adjust.phase_two(cells, moving, donor, receiver, adjust.target(loads[donor], loads[receiver], 1.5))
+            moving, choice = adjust.phase_two(cells, moving, donor, receiver, adjust.target(loads[donor], loads[receiver], 1.5) / loads[donor])
             moved = choice.size
         for name, assignment in (("fixed", fixed), ("adjusted", moving)):
             after = adjust.modelled_loads(seen, assignment)

@@ -177,6 +177,8 @@ def test_phase_one_never_adds_load():
         loads = adjust.modelled_loads(sample, assignment)
         changed, _ = adjust.phase_one(sample, assignment, loads.index(max(loads)), loads.index(min(loads)), 5)
         changed.check()
+        after = adjust.modelled_loads(sample, changed)
+        assert sum(after) <= sum(loads) + 1e-9
 
 
 def test_target_restores_the_balance():
