@@ -37,6 +37,8 @@ from geoherald.llm.scratch import discard, store, stored
 from geoherald.llm.words import WordHashes, mix, shingle_set
 
 _LOW = 0x5555555555555555
+#: Ids up to which a choice of documents is broadcast to a scan of the texts; beyond, both are shuffled.
+BROADCAST_IDS = 2_000_000
 
 
 @dataclass(frozen=True)
@@ -160,11 +162,16 @@ def _promising(pairs: DataFrame, classes: DataFrame, params: NearParams) -> Data
     return pairs.join(left, "a").join(right, "b").filter(fit).select("a", "b")
 
 
+def _texts_of(ids: DataFrame, docs: DataFrame, key: str, text: str) -> DataFrame:
+    """``id, t`` of the documents in ``ids``, a written table of distinct ids."""
+    texts = docs.select(F.col(f"`{key}`").alias("id"), F.col(f"`{text}`").cast("string").alias("t"))
+    return texts.join(F.broadcast(ids) if ids.count() <= BROADCAST_IDS else ids, "id", "left_semi")
+
+
 def _confirmed(pairs: DataFrame, docs: DataFrame, key: str, text: str, params: NearParams) -> DataFrame:
     """Of ``a, b`` those whose full sets reach the threshold."""
-    texts = docs.select(F.col(f"`{key}`").alias("id"), F.col(f"`{text}`").cast("string").alias("t"))
-    ids = pairs.select(F.col("a").alias("id")).union(pairs.select("b")).distinct()
-    texts, _ = stored(texts.join(ids, "id", "left_semi"), "texts")
+    ids = store(pairs.select(F.col("a").alias("id")).union(pairs.select("b")).distinct(), "ids")
+    texts = store(_texts_of(ids, docs, key, text), "texts")
     # first the side that is different in most pairs, so that the texts met often move once
     full = pairs.join(texts.select(F.col("id").alias("b"), F.col("t").alias("tb")), "b").join(texts.select(F.col("id").alias("a"), F.col("t").alias("ta")), "a")
 
@@ -188,7 +195,8 @@ def _confirmed(pairs: DataFrame, docs: DataFrame, key: str, text: str, params: N
 
 def _own_shingles(reps: DataFrame, docs: DataFrame, key: str, text: str, params: NearParams) -> DataFrame:
     """``rep, own``: how many shingles of each of ``reps`` no other of them has."""
-    texts = docs.select(F.col(f"`{key}`").alias("rep"), F.col(f"`{text}`").cast("string").alias("t")).join(reps, "rep", "left_semi")
+    reps = store(reps, "reps")
+    texts = _texts_of(reps.withColumnRenamed("rep", "id"), docs, key, text).withColumnRenamed("id", "rep")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         cache = WordHashes()
@@ -240,6 +248,8 @@ def near_duplicates(docs: DataFrame, key: str = "doc_id", text: str = "text", pa
     rest = placed.join(unsettled, ["band", "bucket"])
     own = _own_shingles(rest.select("rep").distinct(), docs, key, text, params)
     traits = classes.select("rep", "n_shingles", "bands", "sketch").join(own, "rep").withColumn("common", F.col("n_shingles") - F.col("own"))
+    # with too many shingles of its own a document can reach the threshold with nobody
+    traits = traits.filter(F.col("common") * params.den >= F.col("n_shingles") * params.num)
     rest, rest_at = stored(rest.join(traits, "rep").select("band", "bucket", "rep", "component", "n_shingles", "common", "bands", "sketch"), "rest")
     other = rest.select("band", "bucket", *[F.col(c).alias(f"{c}_b") for c in ("rep", "component", "n_shingles", "common", "bands", "sketch")])
     # an intersection holds none of either side's own shingles

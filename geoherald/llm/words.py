@@ -17,7 +17,7 @@ _S33, _S29 = np.uint64(33), np.uint64(29)
 class WordHashes(dict):
     """Word to 64-bit hash, with a bound on how many words it keeps."""
 
-    LIMIT = 200_000
+    LIMIT = 100_000
 
     def __missing__(self, word: bytes) -> int:
         if len(self) >= self.LIMIT:
