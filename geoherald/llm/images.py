@@ -164,12 +164,14 @@ def find_copies(media: DataFrame, queries: Column, key: str = "id", image: str =
     rows = store(media.select(name.alias("id"), F.sha2(F.col(f"`{image}`"), 256).alias("digest"), queries.alias("asks")), "media")
     kinds = rows.filter("digest is not null and id is not null").groupBy("digest").agg(F.min("id").alias("class_id"), F.max(F.coalesce("asks", F.lit(False))).alias("asks"))
     kinds = store(kinds, "image-classes")
-    ones = media.select(name.alias("id"), F.col(f"`{image}`").alias("image")).join(kinds.select(F.col("class_id").alias("id"), "asks", "digest"), "id")
-    ones = ones.filter(F.sha2("image", 256) == F.col("digest")).dropDuplicates(["id"])
+    # pictures are large, so they don't go through an exchange while the list of classes can be broadcast
+    chosen = kinds.select(F.col("class_id").alias("id"), "asks", "digest")
+    chosen = F.broadcast(chosen) if kinds.count() <= BROADCAST_ROWS else chosen
+    ones = media.select(name.alias("id"), F.col(f"`{image}`").alias("image")).join(chosen, "id").filter(F.sha2("image", 256) == F.col("digest"))
     described = store(ones.select("id", "asks", points_column(F.col("image"), params).alias("points")), "points")
     asked = ones.filter("asks").select("id", points_column(change(F.col("image")) if change else F.col("image"), params).alias("points"))
     links = search(asked, described.select("id", "points"), params).groupBy(F.col("d").alias("found")).agg(F.array_sort(F.collect_set("q")).alias("copy_of"))
-    facts = described.select("id", F.size("points").alias("n_points")).join(links, F.col("id") == F.col("found"), "left")
+    facts = described.select("id", F.size("points").alias("n_points")).dropDuplicates(["id"]).join(links, F.col("id") == F.col("found"), "left")
     facts = facts.join(kinds.select(F.col("class_id").alias("id"), F.col("digest").alias("of")), "id").select("of", F.col("id").alias("class_id"), "n_points", "copy_of")
     none = F.array().cast(T.ArrayType(rows.schema["id"].dataType))
     out = rows.join(facts, F.col("digest") == F.col("of"), "left")
