@@ -8,10 +8,12 @@ window + gram - 1 words holds a full window, so wherever it occurs the same plac
    occurs once are done with, by a count per run.
 2. The other places are put together per document and meet its text again, which gives every suffix
    ``least - gram`` words of context on its right and on its left, as 16-bit hashes of words.
-3. Suffixes of one run with equal contexts are counted as one. The rest are sorted by right and, in a
-   second order, by left context; every suffix is compared with its neighbours, and the match extended to
-   both sides. At ``least`` words in all it counts. Runs with more than ``GROUP`` different contexts
-   are dealt to groups by document, so that no task sorts a run of any size alone.
+3. Suffixes of one run with equal contexts are counted as one kind. Two of a run share ``least`` words if
+   for some split l + r = ``least - gram`` their l words on the left and r on the right are equal; so kinds
+   are counted under one key for each split, and a kind with company under a key has its match there. The
+   least and the greatest such l give the extent to both sides, over all partners. Runs with up to
+   ``GROUP`` kinds are counted run by run in one task; those with more send a row per split, counted by
+   key, so that no task holds a run of any size alone. Both ways are exact.
 4. Matches of a document are joined to spans, which are exact to the word, but for 16-bit collisions
    (one word more with a chance of 1/65536).
 
@@ -31,12 +33,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
-from pyspark.sql.window import Window
 
 from geoherald.llm.scratch import discard, store, stored
-from geoherald.llm.words import WordHashes, gram_hashes, split_words, word_hashes
+from geoherald.llm.words import WordHashes, gram_hashes, mix, split_words, word_hashes
 
 GROUP = 4096
+_STEP = np.uint64(0x9E3779B97F4A7C15)
 
 
 @dataclass(frozen=True)
@@ -115,18 +117,69 @@ def _with_context(docs: DataFrame, params: SuffixParams) -> DataFrame:
     return docs.mapInArrow(run, f"key {docs.schema['key'].dataType.simpleString()}, at int, run long, right binary, left binary")
 
 
-@F.arrow_udf(T.IntegerType())
-def words_alike(a: pa.Array, b: pa.Array) -> pa.Array:
-    """Words that two contexts share from their start; 0 where there is no second one."""
-    out = []
-    for x, y in zip(a.to_pylist(), b.to_pylist(), strict=True):
-        if y is None:
-            out.append(0)
-            continue
-        u, v = np.frombuffer(x, ">u2"), np.frombuffer(y, ">u2")
-        unlike = np.flatnonzero((u != v) | (u == 0))
-        out.append(int(unlike[0]) if len(unlike) else len(u))
-    return pa.array(out, pa.int32())
+def _split_keys(batch: pa.RecordBatch, params: SuffixParams) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
+    """For every split: words on the left, the rows whose texts reach as far, and their keys."""
+    width = params.context
+    sides = []
+    for name in ("left", "right"):
+        words = np.frombuffer(b"".join(batch.column(name).to_pylist()), ">u2").reshape(-1, width).astype(np.uint64)
+        prefix = np.zeros((width + 1, len(words)), np.uint64)
+        for k in range(width):
+            prefix[k + 1] = mix(prefix[k] + _STEP) + words[:, k]
+        sides.append((prefix, np.where((words == 0).any(axis=1), (words == 0).argmax(axis=1), width)))
+    (left, left_words), (right, right_words) = sides
+    run = mix(batch.column("run").to_numpy().view(np.uint64))
+    for before in range(width + 1):
+        rows = np.flatnonzero((left_words >= before) & (right_words >= width - before))
+        yield before, rows, mix(mix(mix(run[rows] + np.uint64(before)) + left[before, rows]) + right[width - before, rows])
+
+
+def _small_extents(kinds: DataFrame, params: SuffixParams) -> DataFrame:
+    """``kind, before, after`` of the kinds with a match, for runs that fit a batch; run by run."""
+
+    def extents(batch: pa.RecordBatch) -> pa.RecordBatch:
+        several = batch.column("times").to_numpy() > 1
+        low, high = np.full(len(several), params.context + 1), np.full(len(several), -1)
+        for before, rows, keys in _split_keys(batch, params):
+            order = np.argsort(keys)
+            like = keys[order[1:]] == keys[order[:-1]]
+            met = several[rows]
+            met[order[1:][like]] = True
+            met[order[:-1][like]] = True
+            low[rows[met]] = np.minimum(low[rows[met]], before)
+            high[rows[met]] = before
+        found = np.flatnonzero(high >= 0)
+        return pa.RecordBatch.from_arrays([batch.column("kind").take(pa.array(found)), pa.array(high[found].astype(np.int32)), pa.array((params.context - low[found]).astype(np.int32))], ["kind", "before", "after"])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held = None
+        for batch in batches:
+            held = batch if held is None else pa.concat_batches([held, batch])
+            runs = held.column("run").to_numpy()
+            # the last run may go on in the next batch
+            done = int(np.searchsorted(runs, runs[-1])) if len(runs) else 0
+            if done >= 2 * GROUP:
+                yield extents(held.slice(0, done))
+                held = held.slice(done)
+        if held is not None and held.num_rows:
+            yield extents(held)
+
+    return kinds.repartition("run").sortWithinPartitions("run").mapInArrow(run, "kind long, before int, after int")
+
+
+def _large_extents(kinds: DataFrame, params: SuffixParams) -> DataFrame:
+    """As :func:`_small_extents`, for runs of any size."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for before, rows, keys in _split_keys(batch, params):
+                if len(rows):
+                    at = pa.array(rows)
+                    yield pa.RecordBatch.from_arrays([pa.array(keys.view(np.int64)), batch.column("kind").take(at), pa.array(np.full(len(rows), before, np.int32)), batch.column("times").take(at)], ["k", "kind", "l", "times"])
+
+    splits = kinds.select("run", "kind", "right", "left", "times").mapInArrow(run, "k long, kind long, l int, times long")
+    met = splits.groupBy("k").agg(F.sum("times").alias("n")).filter("n > 1").select("k")
+    return splits.join(met, "k", "left_semi").groupBy("kind").agg(F.max("l").alias("before"), (F.lit(params.context) - F.min("l")).alias("after"))
 
 
 @F.arrow_udf(T.ArrayType(T.StructType([T.StructField("start", T.IntegerType()), T.StructField("end", T.IntegerType())])))
@@ -156,23 +209,14 @@ def repeated_passages(docs: DataFrame, key: str = "doc_id", text: str = "text",
     suffixes, suffixes_at = stored(_with_context(rows.join(places, "key"), params), "suffixes")
     discard(docs.sparkSession, anchors_at)
 
-    kinds, kinds_at = stored(suffixes.groupBy("run", "right", "left").agg(F.count(F.lit(1)).alias("times")).withColumn("both", F.xxhash64("right", "left")), "contexts")
-    wide = kinds.groupBy("run").agg(F.count(F.lit(1)).alias("kinds")).filter("kinds > 1")
-    groups = F.ceil(F.col("kinds") / GROUP).cast("long")
-    compared = kinds.join(wide, "run").select("run", "both", "right", "left", F.pmod("both", groups).alias("group"))
-    # equal contexts match in full, up to either end of the text
-    found = kinds.filter("times > 1").select("run", "both", words_alike("left", "left").alias("before"), words_alike("right", "right").alias("after"))
-    for order in (["right", "left"], ["left", "right"]):
-        near = Window.partitionBy("run", "group").orderBy(*order)
-        beside = compared.withColumns({f"{c[0]}{n}": step(c).over(near) for n, step in enumerate((F.lag, F.lead)) for c in ("right", "left")})
-        beside = beside.withColumns({f"{c[0]}x{n}": words_alike(c, f"{c[0]}{n}") for n in (0, 1) for c in ("right", "left")})
-        matches = F.array(*[F.struct(F.col(f"lx{n}").alias("before"), F.col(f"rx{n}").alias("after")) for n in (0, 1)])
-        found = found.union(beside.select("run", "both", F.explode(matches).alias("m")).select("run", "both", "m.before", "m.after"))
-    found = found.filter(F.col("before") + F.col("after") >= params.context)
-    extents = found.groupBy("run", "both").agg(F.max("before").alias("before"), F.max("after").alias("after"))
-
-    places = suffixes.select("key", "at", "run", F.xxhash64("right", "left").alias("both"))
+    kind = F.xxhash64("run", "right", "left").alias("kind")
+    kinds, kinds_at = stored(suffixes.groupBy("run", "right", "left").agg(F.count(F.lit(1)).alias("times")).select("run", kind, "right", "left", "times"), "contexts")
+    # at most one in GROUP of the kinds
+    large = F.broadcast(kinds.groupBy("run").agg(F.count(F.lit(1)).alias("kinds")).filter(F.col("kinds") > GROUP).select("run"))
+    extents = _small_extents(kinds.join(large, "run", "left_anti"), params).union(_large_extents(kinds.join(large, "run", "left_semi"), params))
+
+    places = suffixes.select("key", "at", kind)
     hit = F.struct((F.col("at") - F.col("before")).alias("start"), (F.col("at") + params.gram + F.col("after")).alias("end"))
-    out = store(places.join(extents, ["run", "both"]).groupBy("key").agg(joined_spans(F.collect_set(hit)).alias("spans")), "spans")
+    out = store(places.join(extents, "kind").groupBy("key").agg(joined_spans(F.collect_set(hit)).alias("spans")), "spans")
     discard(docs.sparkSession, suffixes_at, kinds_at)
     return out.withColumnRenamed("key", key)

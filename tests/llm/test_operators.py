@@ -181,6 +181,26 @@ def test_passages_equal_brute_force(spark):
     assert got == want
 
 
+@pytest.mark.parametrize("group", [suffixes.GROUP, 8])
+def test_passages_among_many_contexts(spark, monkeypatch, group):
+    """Two texts share 50 words through a run that many others share with other words on one side."""
+    monkeypatch.setattr(suffixes, "GROUP", group)
+    rng = random.Random(12)
+    new = lambda n: sentence(rng, n, 10**9)
+    texts, pairs = [], []
+    for _ in range(8):
+        while True:  # until the suffixes kept of the passage start with the run
+            left, run, right = new(17), new(16), new(17)
+            words = suffixes.word_hashes(suffixes.split_words(f"{left} {run} {right}"), suffixes.WordHashes())
+            if suffixes.gram_hashes(words, 16).argmin() == 17:
+                break
+        pairs += [len(texts), len(texts) + 1]
+        texts += [f"{new(40)} {left} {run} {right} {new(40)}" for _ in range(2)]
+        texts += [f"{new(60)} {run} {right} {new(40)}" for _ in range(25)] + [f"{new(40)} {left} {run} {new(60)}" for _ in range(25)]
+    got = {r.doc_id: [tuple(s) for s in r.spans] for r in suffixes.repeated_passages(docs_of(spark, texts)).collect()}
+    assert got == {k: [(40, 90)] for k in pairs}
+
+
 def test_passages_odd_tables(spark):
     assert suffixes.repeated_passages(docs_of(spark, ["x"]).filter("doc_id < 0")).count() == 0
     text = " ".join(f"w{k}" for k in range(60))
