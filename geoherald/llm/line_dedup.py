@@ -2,8 +2,9 @@
 
 A line that equals an earlier line is removed, and so is one within ``edits`` edit operations of
 another distinct line of a lower hash; what stays is at the first place of its line. Places are ordered
-by document id and line number. Lines of fewer than ``least`` code points (white space at the ends not
-counted) are never touched.
+by document id and line number. The edit join is for lines of ``least`` code points and more (white space
+at the ends not counted), as two edits are much in a short line; exact repeats are removed from
+``exact_least`` code points on, ``least`` if it is None. Blank lines are never touched.
 
 The join: two lines at most ``edits`` apart agree in one of the ``edits + 1`` segments that the shorter
 is cut into, at a start that can be shifted by a few places only. A line therefore sends one row for
@@ -45,6 +46,16 @@ WHITE = " \t\r\f\x0b"
 class LineParams:
     edits: int = 2
     least: int = 24
+    exact_least: int | None = None
+
+    @property
+    def counted(self) -> int:
+        """Code points of the shortest lines that take part at all."""
+        return self.least if self.exact_least is None else max(1, min(self.least, self.exact_least))
+
+
+#: Exact repeats of all lines but blank ones.
+ALL_LINES = LineParams(exact_least=1)
 
 
 def let(value: Column, body) -> Column:
@@ -243,9 +254,9 @@ def near_lines(docs: DataFrame, classes: DataFrame, key: str, text: str, params:
 
 def repeated_lines(docs: DataFrame, key: str = "doc_id", text: str = "text", params: LineParams = LineParams()) -> DataFrame:
     """``key, drops``: for each document with lines to remove, their numbers from 0."""
-    occurrences = store(_lines(docs, key, text, params.least).select("key", "pos", "h1", "h2", "id"), "lines")
-    classes = store(occurrences.groupBy("h1", "h2").agg(F.min(F.struct("key", "pos")).alias("first"), F.count(F.lit(1)).alias("times"), F.min("id").alias("id")), "classes")
-    near = near_lines(docs, classes, key, text, params).select(F.col("h1").alias("g1"), F.col("h2").alias("g2"), F.lit(True).alias("near"))
+    occurrences = store(_lines(docs, key, text, params.counted).select("key", "pos", "h1", "h2", "id", "n"), "lines")
+    classes = store(occurrences.groupBy("h1", "h2").agg(F.min(F.struct("key", "pos")).alias("first"), F.count(F.lit(1)).alias("times"), F.min("id").alias("id"), F.min("n").alias("n")), "classes")
+    near = near_lines(docs, classes.filter(F.col("n") >= params.least), key, text, params).select(F.col("h1").alias("g1"), F.col("h2").alias("g2"), F.lit(True).alias("near"))
     special = classes.join(near, (F.col("h1") == F.col("g1")) & (F.col("h2") == F.col("g2")), "left").filter("times > 1 or near")
     special = special.select(F.col("h1").alias("c1"), F.col("h2").alias("c2"), "first", F.coalesce("near", F.lit(False)).alias("near"))
     hits = occurrences.join(special, (F.col("h1") == F.col("c1")) & (F.col("h2") == F.col("c2")))

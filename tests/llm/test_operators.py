@@ -156,6 +156,17 @@ def test_lines_odd_tables(spark):
     assert sorted((r.doc_id or 0, r.text) for r in line_dedup.dedup_lines(rows).collect()) == [(0, line), (1, line), (2, "")]
 
 
+def test_short_lines_of_the_query(spark, tmp_path):
+    """Exact repeats go whatever their length; short lines within two edits and blank lines stay."""
+    texts = ["Yes.\nAll rights reserved.\n\nA", "Yes.\nYes!\n\n All rights reserved. \nA\nB", "  \nB\n", None, ""]
+    docs_of(spark, texts).write.parquet(f"{tmp_path}/documents.parquet")
+    want = [texts[0], "Yes!\n\nB", "  \n", None, ""]
+    kept = {r.doc_id: r.text for r in line_dedup.dedup_lines(docs_of(spark, texts), params=line_dedup.LineParams(exact_least=1)).collect()}
+    assert [kept[k] for k in range(5)] == want
+    got = {r.doc_id: (r.n_removed, r.n_chars) for r in registry.op4_line_dedup(spark, str(tmp_path)).collect()}
+    assert [got[k] for k in range(5)] == [(0, len(want[0])), (3, len(want[1])), (1, len(want[2])), (0, None), (0, 0)]
+
+
 # ---------------------------------------------------------------- passages
 
 
