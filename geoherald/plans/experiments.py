@@ -68,14 +68,16 @@ def scalability(spark: SparkSession, folder: str, group: str = "Q3", ms: tuple[i
     return spark.createDataFrame(rows, "m int, partitioner string, top double, total double")
 
 
-def migration_study(spark: SparkSession, folder: str, lives: tuple[int, ...] = (1500,)) -> DataFrame:
+def migration_study(spark: SparkSession, folder: str, lives: tuple[int | None, ...] = (None,)) -> DataFrame:
     """Every selector on the cells of the most loaded of the grid's workers: seconds, bytes and cells moved.
 
+    A number in ``lives`` takes so many subscriptions, None all; ``live`` of the result is how many there were.
     The exact one counts sizes in KiB, rounded up, and is left out where its table would be too large.
     """
     rows = []
     for live in lives:
         objects, subs, grid, freq, sample = _setting(spark, folder, "Q1", live=live)
+        live = subs.count()
         assignment = spacesplit.by_grid(sample, M)
         parts = matching.run(objects, subs, assignment, freq)
         index, routed = settle(parts["index"], "index"), settle(parts["routed_objects"], "routed")
@@ -97,15 +99,19 @@ def migration_study(spark: SparkSession, folder: str, lives: tuple[int, ...] = (
     return spark.createDataFrame(rows, "live int, selector string, select_s double, bytes long, cells int, move_s double")
 
 
-def drift_study(spark: SparkSession, folder: str, epochs: int = 3, share_of_ten: int = 3) -> DataFrame:
+def drift_study(spark: SparkSession, folder: str, epochs: int | None = None, share_of_ten: int = 3) -> DataFrame:
     """Q3 whose regions turn style epoch by epoch, with and without local adjustment: total load and the most
-    loaded worker's, by the model, and the bytes moved."""
+    loaded worker's, counted on all rows, and the bytes moved. All epochs, or the first ``epochs`` of them.
+
+    Plans and adjustments are made on samples of ``PLANNED`` objects and subscriptions.
+    """
     objects, _, grid, freq, sample = _setting(spark, folder, "Q3")
     all_subs = settle(subscriptions(spark, folder, "Q3", flips=drift(MU, share_of_ten), objects=objects), "drifting")
     fixed = moving = hybrid.build(sample, M)
     rows = []
-    for epoch in range(1, epochs + 1):
-        now = all_subs.filter(F.floor(F.col("sub_id") / MU) == epoch)
+    number = F.floor(F.col("sub_id") / MU).cast("int")
+    for epoch in sorted(r.epoch for r in all_subs.select(number.alias("epoch")).distinct().collect())[:epochs]:
+        now = all_subs.filter(number == epoch)
         seen = take_sample(objects, now, grid, freq, PLANNED, PLANNED)
         loads = adjust.modelled_loads(seen, moving)
         donor, receiver = loads.index(max(loads)), loads.index(min(loads))
@@ -118,6 +124,7 @@ def drift_study(spark: SparkSession, folder: str, epochs: int = 3, share_of_ten:
             moving, choice = adjust.phase_two(cells, moving, donor, receiver, adjust.target(loads[donor], loads[receiver], 1.5) / loads[donor])
             moved = choice.size
         for name, assignment in (("fixed", fixed), ("adjusted", moving)):
-            after = adjust.modelled_loads(seen, assignment)
+            parts = matching.run(objects, now, assignment, freq)
+            after = [r.load for r in load.worker_load(parts["routed_objects"], parts["index"], M).collect()]
             rows.append((epoch, name, float(sum(after)), float(max(after)), moved if name == "adjusted" else 0))
     return spark.createDataFrame(rows, "epoch int, routing string, total double, top double, bytes long")

@@ -9,6 +9,7 @@ from geoherald.functions.geometry import Grid
 from geoherald.operators import adjust, matching, routing
 from geoherald.operators.assignment import Assignment, Leaf, whole_world
 from geoherald.operators.sample import Sample, take_sample
+from geoherald.plans import experiments
 from geoherald.sources.shared import settle
 from geoherald.streaming import engine
 
@@ -94,3 +95,16 @@ def test_standing_by_interval_join(spark, tmp_path):
     drained(engine.standing(regs, cancels), None, tmp_path)
     got = rows(spark.read.parquet(str(tmp_path / "out")).select("sub_id", F.col("cancel_ts").isNotNull()))
     assert (1, True) in got and (2, False) in got
+
+
+def test_drift_study_counts_all_rows(spark, monkeypatch):
+    """All epochs of the ids, and loads that do not depend on how many rows the sample has."""
+    folder = "/root/testdata/sf0.001"
+    monkeypatch.setattr(experiments, "PLANNED", 50)
+    monkeypatch.setattr(experiments, "MU", 800)
+    got = experiments.drift_study(spark, folder).collect()
+    ids = [r.sub_id for r in experiments.subscriptions(spark, folder, "Q3").select("sub_id").collect()]
+    assert sorted({r.epoch for r in got}) == sorted({k // 800 for k in ids})
+    seen = experiments.object_source(spark, folder, "wide").count()
+    # what 50 objects and 50 subscriptions can cost at most, by the model, on one worker
+    assert seen > 50 and all(r.total > 50 * 50 + 50 + 50 for r in got)
