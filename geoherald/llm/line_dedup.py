@@ -1,26 +1,30 @@
 """Line dedup by a segment-partition edit join, in DataFrame functions only.
 
-A line that equals an earlier line is removed, and so is one within ``edits`` edit operations of
-another distinct line of a lower hash; what stays is at the first place of its line. Places are ordered
-by document id and line number. The edit join is for lines of ``least`` code points and more (white space
-at the ends not counted), as two edits are much in a short line; exact repeats are removed from
-``exact_least`` code points on, ``least`` if it is None. Blank lines are never touched.
+A line that equals an earlier line is removed; what stays is at the first place of its line, in the order
+of document id and line number. Of distinct lines, in the order of their hashes, one is removed if it is
+within ``edits`` edit operations of one that stays, so every line that goes has a like one left. The edit
+join is for lines of ``least`` code points and more (white space at the ends not counted), as two edits
+are much in a short line; exact repeats are removed from ``exact_least`` code points on, ``least`` if it
+is None. Blank lines are never touched.
 
 The join: two lines at most ``edits`` apart agree in one of the ``edits + 1`` segments that the shorter
 is cut into, at a start that can be shifted by a few places only. A line therefore sends one row for
-each of its own segments, as the shorter, and one for each substring that can be a segment of a line up
-to ``edits`` shorter, as the longer. Rows carry a hash of segment number and content, and an id made
-of 54 bits of the line's hash and its length modulo 1024, which is enough to check lengths.
-
-Within a bucket of rows with equal content, everything first meets the two lines of lowest id (one per
-role); what is removed then needs no further partner, so a large group of like lines costs one pair
-for each member. Pairs of the remaining ones follow, which makes the answer exact; those of them go
-first whose pairs of neighbouring characters differ too much. Pairs are verified by a banded
-bit-parallel edit distance.
+each substring that can be a segment of a line up to ``edits`` shorter; its own segments are among them
+and marked. Where these substrings lie depends on the length and its remainder by ``edits + 1`` only, so
+they are listed once for each remainder (:func:`segment_places`). Rows carry a hash of segment number and
+content, and an id made of 54 bits of the line's hash and its length modulo 1024, which is enough to
+check lengths.
+
+A line that is the lowest in all its buckets of equal content stays, and meets all their members; those
+within reach go, and both are then settled. After ``rounds`` rounds of this, in which a large group of
+like lines costs one pair for each member, all pairs of what is still open are looked at, those first
+dropped whose pairs of neighbouring characters differ too much; their order is then settled on the links
+alone. Pairs are verified by a banded bit-parallel edit distance. Two lines of one id (a collision of 54
+bits) are left alone.
 
 Very frequent lines (1/100,000 of all, so at most 100,000 of them) send rows from their first place only;
-their list is broadcast. Texts to verify are picked by a broadcast list of places up to
-``BROADCAST_ROWS``, by a join beyond.
+their list is broadcast. The texts of lines with company in a bucket are picked by a broadcast list of
+places up to ``BROADCAST_ROWS``, by a join beyond.
 
 Results for odd rows: a null text stays null, an empty one empty; a row without an id is left as it is
 and takes no part; rows with equal ids are taken for one document. Ties cannot occur, as places differ.
@@ -47,6 +51,7 @@ class LineParams:
     edits: int = 2
     least: int = 24
     exact_least: int | None = None
+    rounds: int = 3
 
     @property
     def counted(self) -> int:
@@ -63,39 +68,36 @@ def let(value: Column, body) -> Column:
     return F.transform(F.array(value), body)[0]
 
 
-def segment(length: Column, number: int, edits: int) -> tuple[Column, Column]:
-    """Start (from 0) and length of a segment of a line of ``length``; later ones take the remainder."""
-    parts = edits + 1
-    short = F.floor(length / parts).cast("int")
-    plain = F.lit(parts) - (length - short * parts)  # so many segments are without an extra place
-    extra = F.greatest(F.lit(number) - plain, F.lit(0))
-    return (short * number + extra).cast("int"), (short + F.when(plain <= number, 1).otherwise(0)).cast("int")
-
-
-def own_keys(line: Column, length: Column, edits: int) -> Column:
-    """Hashes of a line's own segments."""
-    keys = []
-    for i in range(edits + 1):
-        start, size = segment(length, i, edits)
-        keys.append(F.xxhash64(F.lit(i), F.substring(line, start + 1, size)))
-    return F.array(*keys)
+def segment_places(edits: int) -> list[list[tuple[int, int, int, bool]]]:
+    """For lines of length ``(edits + 1) * q + r``, by r: segment number i, ``start - q * i``, ``size - q``, own.
 
-
-def probe_keys(line: Column, length: Column, edits: int) -> Column:
-    """Hashes of the substrings that can be segments of a line up to ``edits`` shorter; maybe a null.
-
-    Segment i can be shifted by at most i places by what comes before it, and what comes after must make
-    up for the rest of the difference in length.
+    Segments are equally long but for the later ones, which take the remainder. Segment i of a line
+    shorter by ``gap`` can be shifted by at most i places by what comes before it, and what comes after
+    must make up for the rest of the difference in length. Own segments are those without gap and shift.
     """
-    keys = []
-    for gap in range(edits + 1):
-        for i in range(edits + 1):
-            start, size = segment(length - gap, i, edits)
-            for shift in range(max(-i, gap - (edits - i)), min(i, gap + (edits - i)) + 1):
-                at = start + shift
-                fits = (at >= 0) & (at + size <= length)
-                keys.append(F.when(fits, F.xxhash64(F.lit(i), F.substring(line, at + 1, size))))
-    return F.array_distinct(F.array(*keys))
+    parts, found = edits + 1, []
+    for r in range(parts):
+        places: dict[tuple[int, int, int], bool] = {}
+        for gap in range(parts):
+            less, rest = divmod(r - gap, parts)
+            plain = parts - rest
+            for i in range(parts):
+                start, size = less * i + max(0, i - plain), less + (i >= plain)
+                for shift in range(max(-i, gap - (edits - i)), min(i, gap + (edits - i)) + 1):
+                    places[i, start + shift, size] = places.get((i, start + shift, size), False) or gap == shift == 0
+        found.append([(*place, own) for place, own in sorted(places.items())])
+    return found
+
+
+def bucket_rows(lines: DataFrame, edits: int) -> DataFrame:
+    """``k, id, own`` for every substring of ``line`` that can be a segment of a line up to ``edits`` shorter."""
+    place = lambda p: F.struct(F.lit(p[0]).alias("i"), F.lit(p[1]).alias("start"), F.lit(p[2]).alias("size"), F.lit(p[3]).alias("own"))
+    table = F.array(*[F.array(*[place(p) for p in places]) for places in segment_places(edits)])
+    q = F.floor(F.col("n") / (edits + 1)).cast("int")
+    rows = lines.select("id", "line", "n", q.alias("q"), F.explode(F.get(table, F.col("n") % (edits + 1))).alias("s"))
+    start, size = F.col("q") * F.col("s.i") + F.col("s.start"), F.col("q") + F.col("s.size")
+    rows = rows.filter((start >= 0) & (start + size <= F.col("n")))
+    return rows.select(F.xxhash64("s.i", F.substr("line", start + 1, size)).alias("k"), "id", F.col("s.own").alias("own"))
 
 
 def within_edits(a: Column, b: Column, edits: int) -> Column:
@@ -185,71 +187,94 @@ def _lines(docs: DataFrame, key: str, text: str, least: int) -> DataFrame:
 
 
 def _texts_of(ids: DataFrame, classes: DataFrame, docs: DataFrame, key: str, text: str, params: LineParams) -> DataFrame:
-    """``id, h1, h2, line`` of the given ids, read at their first places."""
+    """``id, h1, h2, line`` of the given ids, read at their first places; without ids that two lines share."""
     places = store(classes.join(ids, "id", "left_semi").select(F.col("first.key").alias("k"), F.col("first.pos").alias("p")), "places")
-    lines = _lines(docs, key, text, params.least)
     if places.count() <= BROADCAST_ROWS:
-        found = lines.join(F.broadcast(places), (F.col("key") == F.col("k")) & (F.col("pos") == F.col("p")), "left_semi")
-    else:
-        wanted = docs.join(places.select(F.col("k").alias("__k")).distinct(), docs[key] == F.col("__k"), "left_semi")
-        found = _lines(wanted, key, text, params.least).join(places, (F.col("key") == F.col("k")) & (F.col("pos") == F.col("p")), "left_semi")
-    return found.select("id", "h1", "h2", "line").dropDuplicates(["h1", "h2"])
+        places = F.broadcast(places)
+    wanted = docs.join(places.select(F.col("k").alias("__k")).distinct(), docs[key] == F.col("__k"), "left_semi")
+    found = _lines(wanted, key, text, params.least).join(places, (F.col("key") == F.col("k")) & (F.col("pos") == F.col("p")), "left_semi")
+    lines = found.groupBy("id", "h1", "h2").agg(F.first("line").alias("line"))
+    alone = lines.groupBy("id").agg(F.count(F.lit(1)).alias("c"), F.first("h1").alias("h1"), F.first("h2").alias("h2"), F.first("line").alias("line"))
+    return alone.filter("c = 1").drop("c")
 
 
-def _verified(pairs: DataFrame, classes: DataFrame, docs: DataFrame, key: str, text: str, params: LineParams) -> DataFrame:
-    """``a, b, h1, h2`` of the pairs within reach; the hashes are those of the line to be removed."""
-    ids = pairs.select(F.col("a").alias("id")).union(pairs.select("b")).distinct()
-    texts = store(_texts_of(ids, classes, docs, key, text, params), "texts")
+def _verified(pairs: DataFrame, texts: DataFrame, params: LineParams) -> DataFrame:
+    """Of ``a, b`` those within reach."""
     left = texts.select(F.col("id").alias("a"), F.col("line").alias("ta"))
-    right = texts.select(F.col("id").alias("b"), F.col("line").alias("tb"), "h1", "h2")
-    full = pairs.join(left, "a").join(right, "b")
-    return full.filter(lines_within(F.col("ta"), F.col("tb"), params.edits)).select("a", "b", "h1", "h2")
+    right = texts.select(F.col("id").alias("b"), F.col("line").alias("tb"))
+    return pairs.join(left, "a").join(right, "b").filter(lines_within(F.col("ta"), F.col("tb"), params.edits)).select("a", "b")
+
+
+def _lengthened(shorter: Column, longer: Column) -> Column:
+    """By how much the line of one id is longer than that of another, modulo ``_LENGTHS``."""
+    mask = F.lit(_LENGTHS - 1).cast("long")
+    return F.pmod(longer.bitwiseAND(mask) - shorter.bitwiseAND(mask), F.lit(_LENGTHS))
+
+
+def _with_company(rows: DataFrame) -> DataFrame:
+    """``k, id, own, low`` of the rows whose bucket has another id; ``low`` is the bucket's lowest."""
+    bucket = Window.partitionBy("k")
+    rows = rows.withColumns({"low": F.min("id").over(bucket), "high": F.max("id").over(bucket)})
+    return rows.filter("low <> high").select("k", "id", "own", "low")
+
+
+def _settled(links: DataFrame) -> DataFrame:
+    """``id`` of what goes, for links ``a, b`` with a < b: whatever has a lower neighbour that stays."""
+    spark = links.sparkSession
+    links, at = stored(links, "links")
+    gone = links.select(F.col("b").alias("id")).limit(0)
+    while not links.isEmpty():
+        stay = links.select("a").distinct().join(links.select(F.col("b").alias("a")).distinct(), "a", "left_anti")
+        fresh = store(links.join(stay, "a", "left_semi").select(F.col("b").alias("id")).distinct(), "gone")
+        gone = gone.union(fresh)
+        open_links = links.join(stay, "a", "left_anti")
+        for side in ("a", "b"):
+            open_links = open_links.join(fresh.withColumnRenamed("id", side), side, "left_anti")
+        links, following = stored(open_links.select("a", "b"), "links")
+        discard(spark, at)
+        at = following
+    discard(spark, at)
+    return gone
 
 
 def near_lines(docs: DataFrame, classes: DataFrame, key: str, text: str, params: LineParams) -> DataFrame:
-    """``h1, h2`` of the distinct lines within reach of another of a lower id."""
+    """``h1, h2`` of the distinct lines within reach of one of a lower id that stays."""
+    spark = docs.sparkSession
     whole = classes.agg(F.sum("times")).first()[0] or 0
     hot = classes.filter(F.col("times") >= max(3, whole / 100_000)).select(F.col("h1").alias("g1"), F.col("h2").alias("g2"), "first")
     lines = _lines(docs, key, text, params.least).join(F.broadcast(hot), (F.col("h1") == F.col("g1")) & (F.col("h2") == F.col("g2")), "left")
     lines = lines.filter(F.col("first").isNull() | ((F.col("first.key") == F.col("key")) & (F.col("first.pos") == F.col("pos"))))
-    # plain arrays, filled in a projection, stay inside generated code
-    keys = F.concat(own_keys(F.col("line"), F.col("n"), params.edits), probe_keys(F.col("line"), F.col("n"), params.edits))
-    rows = lines.select("id", keys.alias("keys")).select("id", F.posexplode("keys").alias("slot", "k"))
-    rows = rows.filter("k is not null").select("k", "id", (F.col("slot") <= params.edits).alias("own"))
-    bucket = Window.partitionBy("k")
-    rows = rows.withColumns({"low": F.min("id").over(bucket), "high": F.max("id").over(bucket)}).filter("low <> high").select("k", "id", "own").distinct()
-    open_rows, at = stored(rows, "buckets")
-
-    lows = open_rows.groupBy("k").agg(F.min(F.when(F.col("own"), F.col("id"))).alias("own_low"), F.min(F.when(~F.col("own"), F.col("id"))).alias("probe_low"))
-    met = open_rows.join(lows, "k")
-    longer = lambda r, s: F.pmod(s.bitwiseAND(F.lit(_LENGTHS - 1).cast("long")) - r.bitwiseAND(F.lit(_LENGTHS - 1).cast("long")), F.lit(_LENGTHS)) <= params.edits
-    mate = F.when(F.col("own"), F.col("probe_low")).otherwise(F.col("own_low"))
-    fits = F.when(F.col("own"), longer(F.col("id"), mate)).otherwise(longer(mate, F.col("id")))
-    pairs = met.filter((mate != F.col("id")) & fits).select(F.least(mate, "id").alias("a"), F.greatest(mate, "id").alias("b")).distinct()
-    first, first_at = stored(pairs, "pairs")
-    gone = store(_verified(first, classes, docs, key, text, params), "near")
-
-    # what the lowest ids leave open
-    removed = gone.select(F.col("b").alias("rid")).distinct()
-    marked = open_rows.join(removed, open_rows["id"] == removed["rid"], "left").select("k", "id", "own", F.col("rid").isNotNull().alias("removed"))
-    # a bucket in which all are removed has no open pair
-    alive = marked.filter("not removed").select("k").distinct()
-    sizes = open_rows.groupBy("k").agg(F.countDistinct("id").alias("lines")).filter("lines > 2").select("k")
-    marked = marked.join(alive, "k", "left_semi").join(sizes, "k", "left_semi")
-    texts = store(_texts_of(marked.select("id").distinct(), classes, docs, key, text, params).select("id", bigram_parity(F.col("line")).alias("sig")), "parities")
-    # two lines of one id (a collision) are as good as unmarked
-    texts = texts.groupBy("id").agg(F.when(F.count(F.lit(1)) == 1, F.min("sig")).alias("sig"))
-    marked = store(marked.join(texts, "id", "left"), "marked")
-    short = marked.filter("own").select("k", F.col("id").alias("r"), F.col("removed").alias("r_removed"), F.col("sig").alias("r_sig"))
-    long = marked.filter("not own").select("k", F.col("id").alias("s"), F.col("removed").alias("s_removed"), F.col("sig").alias("s_sig"))
-    alike = F.coalesce(F.bit_count(F.col("r_sig").bitwiseXOR(F.col("s_sig"))) <= 4 * params.edits, F.lit(True))
-    apart = (F.col("r") != F.col("s")) & longer(F.col("r"), F.col("s")) & F.when(F.col("r") < F.col("s"), ~F.col("s_removed")).otherwise(~F.col("r_removed")) & alike
-    more = short.join(long, "k").filter(apart).select(F.least("r", "s").alias("a"), F.greatest("r", "s").alias("b")).distinct().join(first, ["a", "b"], "left_anti")
-    rest, rest_at = stored(more, "rest")
-    if not rest.isEmpty():
-        gone = store(gone.union(_verified(rest, classes, docs, key, text, params)), "near")
-    discard(docs.sparkSession, at, first_at, rest_at)
-    return gone.select("h1", "h2").distinct()
+    rows, at = stored(_with_company(bucket_rows(lines, params.edits)).select("k", "id", "own").distinct(), "buckets")
+    texts = store(_texts_of(rows.select("id").distinct(), classes, docs, key, text, params), "texts")
+    gone = rows.select("id").limit(0)
+
+    for _ in range(params.rounds):
+        met, met_at = stored(_with_company(rows), "met")
+        discard(spark, at)
+        rows, at = met.select("k", "id", "own"), met_at
+        if met.isEmpty():
+            break
+        lowest = store(met.groupBy("id").agg(F.max(F.col("id") != F.col("low")).alias("above")).filter("not above").select("id"), "lowest")
+        near_in_length = F.least(_lengthened(F.col("low"), F.col("id")), _lengthened(F.col("id"), F.col("low"))) <= params.edits
+        pairs = met.filter((F.col("id") != F.col("low")) & near_in_length).select(F.col("low").alias("a"), F.col("id").alias("b")).distinct()
+        pairs = pairs.join(lowest.withColumnRenamed("id", "a"), "a", "left_semi")
+        fresh = store(_verified(pairs, texts, params).select(F.col("b").alias("id")).distinct(), "near")
+        gone = gone.union(fresh)
+        rows, at = stored(met.join(lowest.union(fresh), "id", "left_anti").select("k", "id", "own"), "buckets")
+        discard(spark, met_at)
+
+    # all pairs of what is open
+    signs = texts.select("id", bigram_parity(F.col("line")).alias("sig"))
+    marked, marked_at = stored(_with_company(rows).select("k", "id", "own").join(signs, "id"), "marked")
+    short = marked.filter("own").select("k", F.col("id").alias("r"), F.col("sig").alias("r_sig"))
+    long = marked.select("k", F.col("id").alias("s"), F.col("sig").alias("s_sig"))
+    alike = F.bit_count(F.col("r_sig").bitwiseXOR(F.col("s_sig"))) <= 4 * params.edits
+    apart = (F.col("r") != F.col("s")) & (_lengthened(F.col("r"), F.col("s")) <= params.edits) & alike
+    open_pairs = short.join(long, "k").filter(apart).select(F.least("r", "s").alias("a"), F.greatest("r", "s").alias("b")).distinct()
+    if not marked.isEmpty():
+        gone = gone.union(_settled(_verified(open_pairs, texts, params)))
+    discard(spark, at, marked_at)
+    return texts.join(gone, "id", "left_semi").select("h1", "h2")
 
 
 def repeated_lines(docs: DataFrame, key: str = "doc_id", text: str = "text", params: LineParams = LineParams()) -> DataFrame:

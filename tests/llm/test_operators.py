@@ -119,7 +119,9 @@ def test_bit_parallel_distance(spark, edits):
     assert all(r.ok == (levenshtein(r.a, r.b) <= edits) for r in got)
 
 
-def test_lines_equal_brute_force(spark):
+@pytest.mark.parametrize("rounds", [0, 1, 3])
+def test_lines_equal_brute_force(spark, monkeypatch, rounds):
+    monkeypatch.setattr(line_dedup, "BROADCAST_ROWS", 400_000 if rounds else 0)
     rng = random.Random(5)
     pool = ["".join(rng.choice("abcdefgh ") for _ in range(rng.randint(26, 60))).strip() for _ in range(20)]
     near = []
@@ -133,21 +135,58 @@ def test_lines_equal_brute_force(spark):
     lines = pool + near + ["short", "short", ""]
     texts = ["\n".join(rng.choice(lines) for _ in range(rng.randint(1, 5))) for _ in range(40)] + [None, ""]
     docs = docs_of(spark, texts)
-    params = line_dedup.LineParams()
+    params = line_dedup.LineParams(rounds=rounds)
     places = [(d, k, x.strip(line_dedup.WHITE)) for d, t in enumerate(texts) if t is not None for k, x in enumerate(t.split("\n"))]
     long = [(d, k, x) for d, k, x in places if len(x) >= params.least]
     ids = {r.line: (r.id, r.h1) for r in line_dedup._lines(docs, "doc_id", "text", params.least).select("line", "id", "h1").distinct().collect()}
     first = {}
     for d, k, x in long:
         first.setdefault(x, (d, k))
-    gone = {x for x in first if any(y != x and ids[y] < ids[x] and levenshtein(x, y) <= params.edits for y in first)}
+    stay = []
+    for x in sorted(first, key=ids.get):
+        if not any(levenshtein(x, y) <= params.edits for y in stay):
+            stay.append(x)
+    gone = set(first) - set(stay)
     drop = {(d, k) for d, k, x in long if x in gone or first[x] != (d, k)}
     want = [None if t is None else "\n".join(x for k, x in enumerate(t.split("\n")) if (d, k) not in drop) for d, t in enumerate(texts)]
-    got = line_dedup.dedup_lines(docs).orderBy("doc_id").collect()
+    got = line_dedup.dedup_lines(docs, params=params).orderBy("doc_id").collect()
     assert [r.text for r in got] == want
     assert [r.n_removed for r in got] == [sum(p[0] == d for p in drop) for d in range(len(texts))]
 
 
+def test_every_line_that_goes_has_one_like_it(spark):
+    """A chain, each two edits from the next: what is near a removed line only stays."""
+    base = "the quick brown fox jumps over the lazy dog again"
+    chain = [base[:k] + "#" * k + base[k:] for k in range(0, 12, 2)]
+    out = [r.text for r in line_dedup.dedup_lines(docs_of(spark, chain)).collect()]
+    left = [t for t in out if t]
+    assert 2 <= len(left) < len(chain)
+    assert all(any(levenshtein(x, y) <= 2 for y in left) for x in chain)
+    assert all(levenshtein(x, y) > 2 for x, y in itertools.combinations(left, 2))
+
+
+def test_segments_against_their_definition():
+    for edits in (1, 2, 3):
+        parts = edits + 1
+        own = lambda n: [(i, sum(sizes[:i]), sizes[i]) for sizes in [[n // parts + (i >= parts - n % parts) for i in range(parts)]] for i in range(parts)]  # noqa: B023, E731
+        for n in range(4 * parts, 6 * parts):
+            found = {(i, n // parts * i + a, n // parts + b): mine for i, a, b, mine in line_dedup.segment_places(edits)[n % parts]}
+            assert {p for p, mine in found.items() if mine} == set(own(n))
+            for gap in range(parts):
+                for i, start, size in own(n - gap):
+                    assert {(i, start + shift, size) for shift in range(-i, i + 1) if abs(gap - shift) <= edits - i} <= set(found)
+
+
+def test_line_keys_are_compiled(spark):
+    """The generated methods stay below the size up to which the JVM compiles them."""
+    import re
+
+    lines = line_dedup._lines(docs_of(spark, ["x" * 30]), "doc_id", "text", 24)
+    plan = spark._jvm.PythonSQLUtils.explainString(line_dedup.bucket_rows(lines, 2)._jdf.queryExecution(), "codegen")
+    sizes = [int(x) for x in re.findall(r"maxMethodCodeSize:(\d+)", plan)]
+    assert sizes and max(sizes) < 8000
+
+
 def test_lines_odd_tables(spark):
     empty = docs_of(spark, ["x"]).filter("doc_id < 0")
     assert line_dedup.dedup_lines(empty).count() == 0

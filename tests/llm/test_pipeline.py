@@ -16,7 +16,8 @@ def test_stages(spark, folder):
         if k < 5:
             assert docs.columns == before.columns and docs.dtypes == before.dtypes
     # so few labelled rows may teach the first stage nothing
-    assert kept[1] <= kept[0] and kept[2] == kept[1] and kept[3] < kept[2] and kept[4] < kept[3]
+    # and copies, which lose their repeated lines in the second, may leave the third nothing to find
+    assert kept[1] <= kept[0] and kept[2] == kept[1] and kept[3] <= kept[2] and kept[4] < kept[3]
     assert kept[4] > 0.6 * kept[0]
 
 
