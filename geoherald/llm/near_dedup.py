@@ -5,12 +5,14 @@
 2. Documents with equal sets form a class; the smallest id stands for it from here on.
 3. In every band bucket the member that shares buckets with the most documents is the hub and meets the
    others: a bucket of n gives n-1 pairs. Components of the confirmed links follow; buckets whose
-   members are in one component by then are settled. Pairs of the other buckets that are still in
-   different components are all looked at, which is the exact way for what hubs leave open. Before
-   that, shingles that no other document there has are counted, since none of them can be shared.
+   members are in one component by then are settled. In the others the next ``hubs - 1`` most central
+   members meet those of other components in the same way. Pairs that are still in different components
+   are all looked at, which is the exact way for what hubs leave open. Before that, shingles that no
+   other document there has are counted, since none of them can be shared.
 4. A pair is dropped if the set sizes rule the threshold out, or if the similarity estimated from
    the sketches (matching lanes, corrected for chance collisions) is ``margin`` standard errors below
-   it. What remains is confirmed on full sets.
+   it. Of the pairs that hubs leave open those are dropped too whose sets differ in too many shingles by
+   a parity sketch, which never shows more differences than there are. What remains is confirmed on full sets.
 
 With the default 24 bands of 4 rows a pair at similarity 0.8 has no band in common with probability
 0.59^24 = 3e-6, at 0.85 with 2e-8.
@@ -31,6 +33,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
 from geoherald.llm.components import components
 from geoherald.llm.scratch import discard, store, stored
@@ -54,6 +57,8 @@ class NearParams:
     #: minima in a sketch, of which the first ``bands * rows`` also make the bands
     perms: int = 256
     margin: float = 3.5
+    #: members of an unsettled bucket that meet all others of other components
+    hubs: int = 6
 
     @property
     def lanes(self) -> int:
@@ -103,11 +108,17 @@ class Signer:
         return (lanes << (np.arange(per, dtype=np.uint64) * np.uint64(b))).sum(axis=1, dtype=np.uint64).view(np.int64)
 
 
-SIGNED = "key {key}, n_shingles long, h1 long, h2 long, bands array<long>, sketch array<long>"
+    def parities(self, shingles: np.ndarray) -> np.ndarray:
+        """For each of 1024 classes of shingles whether the set has an odd number of them, packed."""
+        odd = np.bincount((shingles & np.uint64(1023)).astype(np.int64), minlength=1024) & 1
+        return np.packbits(odd.astype(np.uint8)).view(np.int64)
+
+
+SIGNED = "key {key}, n_shingles long, h1 long, h2 long, bands array<long>, sketch array<long>, odd array<long>"
 
 
 def sign(docs: DataFrame, key: str, text: str, params: NearParams) -> DataFrame:
-    """One row per document: set size, 128-bit hash of the set, band keys and sketch (null for an empty set)."""
+    """One row per document: set size, 128-bit hash of the set, band keys and sketches (null for an empty set)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         signer, cache = Signer(params), WordHashes()
@@ -116,17 +127,17 @@ def sign(docs: DataFrame, key: str, text: str, params: NearParams) -> DataFrame:
             for t in batch.column(1).to_pylist():
                 s = shingle_set(t, params.shingle, cache)
                 if not len(s):
-                    out.append((0, None, None, None, None))
+                    out.append((0, None, None, None, None, None))
                     continue
                 low = signer.minima(s)
                 # two sums over a set of well mixed hashes: equal sets and no others, but for 2^-128
                 h = np.array([mix(s).sum(dtype=np.uint64), mix(s ^ np.uint64(_LOW)).sum(dtype=np.uint64)]).view(np.int64)
-                out.append((len(s), int(h[0]), int(h[1]), signer.bands(low), signer.sketch(low)))
-            n, h1, h2, bands, sketch = zip(*out, strict=True) if out else ((),) * 5
+                out.append((len(s), int(h[0]), int(h[1]), signer.bands(low), signer.sketch(low), signer.parities(s)))
+            n, h1, h2, bands, sketch, odd = zip(*out, strict=True) if out else ((),) * 6
             longs = pa.list_(pa.int64())
             yield pa.RecordBatch.from_arrays(
-                [batch.column(0), pa.array(n, pa.int64()), pa.array(h1, pa.int64()), pa.array(h2, pa.int64()), pa.array(bands, longs), pa.array(sketch, longs)],
-                ["key", "n_shingles", "h1", "h2", "bands", "sketch"],
+                [batch.column(0), pa.array(n, pa.int64()), pa.array(h1, pa.int64()), pa.array(h2, pa.int64()), pa.array(bands, longs), pa.array(sketch, longs), pa.array(odd, longs)],
+                ["key", "n_shingles", "h1", "h2", "bands", "sketch", "odd"],
             )
 
     rows = docs.select(F.col(f"`{key}`").alias("key"), F.col(f"`{text}`").cast("string").alias("text"))
@@ -154,6 +165,11 @@ def estimated_similarity(a: Column, b: Column, params: NearParams) -> Column:
     return F.greatest(F.lit(0.0), (matching_lanes(a, b, params) / F.lit(params.perms) - F.lit(chance)) / F.lit(1 - chance))
 
 
+def least_differences(a: Column, b: Column) -> Column:
+    """Shingles that only one of two sets has, at least: classes whose parities differ."""
+    return F.aggregate(F.zip_with(a, b, lambda x, y: F.bit_count(x.bitwiseXOR(y))), F.lit(0), lambda n, k: n + k)
+
+
 def _promising(pairs: DataFrame, classes: DataFrame, params: NearParams) -> DataFrame:
     """Of ``a, b`` those whose sizes and sketches allow the threshold."""
     left = classes.select(F.col("rep").alias("a"), F.col("n_shingles").alias("na"), F.col("sketch").alias("sa"))
@@ -216,6 +232,29 @@ def _own_shingles(reps: DataFrame, docs: DataFrame, key: str, text: str, params:
     return reps.join(alone, "rep", "left").select("rep", F.coalesce("own", F.lit(0)).alias("own"))
 
 
+def _unsettled(met: DataFrame, labels: DataFrame) -> DataFrame:
+    """The members, with their ``component``, of the buckets whose members are in different components."""
+    placed = met.join(labels, F.col("rep") == F.col("node"), "left").withColumn("component", F.coalesce("component", "rep")).drop("node")
+    mixed = placed.groupBy("band", "bucket").agg(F.min("component").alias("low"), F.max("component").alias("high")).filter("low <> high").select("band", "bucket")
+    return placed.join(mixed, ["band", "bucket"])
+
+
+_FACTS = ("n_shingles", "common", "bands", "sketch", "odd")
+
+
+def _possible(params: NearParams) -> Column:
+    """Whether two members of different components, the second's columns ending in ``_b``, can be linked."""
+    # an intersection holds none of either side's own shingles
+    most = F.least("common", "common_b")
+    sizes = F.col("n_shingles") + F.col("n_shingles_b")
+    return (
+        (F.col("component") != F.col("component_b"))
+        & (most * params.den >= (sizes - most) * params.num)
+        & (matching_lanes(F.col("sketch"), F.col("sketch_b"), params) >= params.least_matches)
+        & (least_differences(F.col("odd"), F.col("odd_b")) * (params.den + params.num) <= sizes * (params.den - params.num))
+    )
+
+
 def near_duplicates(docs: DataFrame, key: str = "doc_id", text: str = "text", params: NearParams = NearParams()) -> DataFrame:
     """``key, n_shingles, component_id, kept`` for every row of ``docs``."""
     spark = docs.sparkSession
@@ -226,7 +265,7 @@ def near_duplicates(docs: DataFrame, key: str = "doc_id", text: str = "text", pa
     classes = store(
         full.join(first.withColumnRenamed("h1", "g1").withColumnRenamed("h2", "g2"), (F.col("key") == F.col("rep")) & (F.col("h1") == F.col("g1")) & (F.col("h2") == F.col("g2")))
         .dropDuplicates(["rep", "h1", "h2"])
-        .select("rep", "h1", "h2", "n_shingles", "bands", "sketch"),
+        .select("rep", "h1", "h2", "n_shingles", "bands", "sketch", "odd"),
         "classes",
     )
 
@@ -243,33 +282,35 @@ def near_duplicates(docs: DataFrame, key: str = "doc_id", text: str = "text", pa
     labels = components(links)
 
     # what hubs leave open: members of one bucket in different components; a bucket of two has been looked at in full
-    placed, placed_at = stored(met.filter("n > 2").join(labels, F.col("rep") == F.col("node"), "left").select("band", "bucket", "rep", F.coalesce("component", "rep").alias("component")), "placed")
-    unsettled = placed.groupBy("band", "bucket").agg(F.min("component").alias("low"), F.max("component").alias("high")).filter("low <> high").select("band", "bucket")
-    rest = placed.join(unsettled, ["band", "bucket"])
+    rest = _unsettled(met.filter("n > 2").select("band", "bucket", "rep"), labels)
     own = _own_shingles(rest.select("rep").distinct(), docs, key, text, params)
-    traits = classes.select("rep", "n_shingles", "bands", "sketch").join(own, "rep").withColumn("common", F.col("n_shingles") - F.col("own"))
+    traits = classes.select("rep", "n_shingles", "bands", "sketch", "odd").join(own, "rep").withColumn("common", F.col("n_shingles") - F.col("own"))
     # with too many shingles of its own a document can reach the threshold with nobody
-    traits = traits.filter(F.col("common") * params.den >= F.col("n_shingles") * params.num)
-    rest, rest_at = stored(rest.join(traits, "rep").select("band", "bucket", "rep", "component", "n_shingles", "common", "bands", "sketch"), "rest")
-    other = rest.select("band", "bucket", *[F.col(c).alias(f"{c}_b") for c in ("rep", "component", "n_shingles", "common", "bands", "sketch")])
-    # an intersection holds none of either side's own shingles
-    most = F.least("common", "common_b")
-    apart = (
-        (F.col("rep") < F.col("rep_b"))
-        & (F.col("component") != F.col("component_b"))
-        & (most * params.den >= (F.col("n_shingles") + F.col("n_shingles_b") - most) * params.num)
-        & (matching_lanes(F.col("sketch"), F.col("sketch_b"), params) >= params.least_matches)
-    )
-    # a pair that shares several buckets is taken in the first; a lambda keeps this out of the generated
-    # method, which would grow too long to be compiled, and runs for pairs that pass the rest only
-    apart &= F.array_position(F.zip_with("bands", "bands_b", lambda x, y: x == y), F.lit(True)) == F.col("band") + 1
-    joined = rest.join(other, ["band", "bucket"]).filter(apart)
-    open_pairs, open_at = stored(joined.select(F.col("rep").alias("a"), F.col("rep_b").alias("b")).join(tested, ["a", "b"], "left_anti"), "open")
+    traits = traits.filter(F.col("common") * params.den >= F.col("n_shingles") * params.num).join(weight, "rep")
+    rest, rest_at = stored(rest.join(traits, "rep").select("band", "bucket", "rep", "component", "weight", *_FACTS), "rest")
+    other = rest.select("band", "bucket", "weight", *[F.col(c).alias(f"{c}_b") for c in ("rep", "component", *_FACTS)])
+
+    order = Window.partitionBy("band", "bucket").orderBy(F.desc("weight"), F.xxhash64("rep_b"), "rep_b")
+    central = other.withColumn("place", F.row_number().over(order)).filter(F.col("place") <= params.hubs).drop("weight", "place")
+    pair = [F.least("rep", "rep_b").alias("a"), F.greatest("rep", "rep_b").alias("b")]
+    again = rest.join(central, ["band", "bucket"]).filter(_possible(params)).select(*pair).distinct().join(tested, ["a", "b"], "left_anti")
+    again, again_at = stored(again, "pairs")
+    if not again.isEmpty():
+        links = store(links.union(_confirmed(again, docs, key, text, params)).distinct(), "links")
+        labels = components(links)
+
+    # a pair that shares several buckets is taken in the first; lambdas keep this out of the generated
+    # method, which would grow too long to be compiled, and run for pairs that pass the rest only
+    first = F.array_position(F.zip_with("bands", "bands_b", lambda x, y: x == y), F.lit(True)) == F.col("band") + 1
+    rest, open_at = stored(_unsettled(rest.drop("component", "weight"), labels), "open")
+    other = rest.select("band", "bucket", *[F.col(c).alias(f"{c}_b") for c in ("rep", "component", *_FACTS)])
+    joined = rest.join(other, ["band", "bucket"]).filter((F.col("rep") < F.col("rep_b")) & _possible(params) & first)
+    open_pairs, pairs_at = stored(joined.select(F.col("rep").alias("a"), F.col("rep_b").alias("b")).join(tested.union(again), ["a", "b"], "left_anti"), "pairs")
     if not open_pairs.isEmpty():
         more = store(_confirmed(open_pairs, docs, key, text, params).distinct(), "links")
         if not more.isEmpty():
             labels = components(links.union(more))
-    discard(spark, met_at, tested_at, placed_at, rest_at, open_at)
+    discard(spark, met_at, tested_at, rest_at, again_at, open_at, pairs_at)
 
     # one row per class that is linked with another
     moved = classes.select("rep", "h1", "h2").join(labels, F.col("rep") == F.col("node"), "left").select(F.col("h1").alias("c1"), F.col("h2").alias("c2"), F.coalesce("component", "rep").alias("component_id"))

@@ -65,6 +65,31 @@ def test_near_duplicates_equal_brute_force(spark):
     assert all(got[k].kept == (want[k] == k) for k in got)
 
 
+@pytest.mark.parametrize("hubs", [1, 6])
+def test_groups_around_the_threshold(spark, monkeypatch, hubs):
+    """Many copies of which a third are linked pair by pair, and documents that share a passage only."""
+    monkeypatch.setattr(near_dedup, "BROADCAST_IDS", 0 if hubs == 1 else 100)
+    rng = random.Random(4)
+    base, passage = sentence(rng, 120), sentence(rng, 60)
+    texts = [edited(rng, base, rng.randint(1, 7)) for _ in range(120)] + [f"{passage} {sentence(rng, rng.randint(5, 30))}" for _ in range(40)]
+    rng.shuffle(texts)
+    want, _ = brute_components(texts, 3, 85, 100)
+    params = near_dedup.NearParams(shingle=3, num=85, den=100, hubs=hubs)
+    got = {r.doc_id: r.component_id for r in near_dedup.near_duplicates(docs_of(spark, texts), params=params).collect()}
+    assert [got[k] for k in range(len(texts))] == want and 10 < len(set(want)) < 150
+
+
+def test_parities_never_show_too_many_differences(spark):
+    import numpy as np
+
+    rng, signer = np.random.default_rng(2), near_dedup.Signer(near_dedup.NearParams())
+    for n in (1, 30, 5000):
+        a = np.unique(rng.integers(0, 2**63, n, dtype=np.uint64))
+        b = np.unique(np.concatenate([a[n // 10 :], rng.integers(0, 2**63, n // 8 + 1, dtype=np.uint64)]))
+        shown = sum(bin(int(x)).count("1") for x in (signer.parities(a) ^ signer.parities(b)).view(np.uint64))
+        assert shown <= len(np.setxor1d(a, b)) and (n > 100 or shown > 0)
+
+
 def test_near_duplicates_odd_tables(spark):
     empty = docs_of(spark, ["x"]).filter("doc_id < 0")
     assert near_dedup.near_duplicates(empty).count() == 0
