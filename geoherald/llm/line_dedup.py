@@ -237,11 +237,16 @@ def _settled(links: DataFrame) -> DataFrame:
     return gone
 
 
+def _frequent(classes: DataFrame) -> Column:
+    """Whether a distinct line is 1/100,000 of all lines or more; at most 100,000 are."""
+    whole = classes.agg(F.sum("times")).first()[0] or 0
+    return F.col("times") >= max(3, whole / 100_000)
+
+
 def near_lines(docs: DataFrame, classes: DataFrame, key: str, text: str, params: LineParams) -> DataFrame:
     """``h1, h2`` of the distinct lines within reach of one of a lower id that stays."""
     spark = docs.sparkSession
-    whole = classes.agg(F.sum("times")).first()[0] or 0
-    hot = classes.filter(F.col("times") >= max(3, whole / 100_000)).select(F.col("h1").alias("g1"), F.col("h2").alias("g2"), "first")
+    hot = classes.filter(_frequent(classes)).select(F.col("h1").alias("g1"), F.col("h2").alias("g2"), "first")
     lines = _lines(docs, key, text, params.least).join(F.broadcast(hot), (F.col("h1") == F.col("g1")) & (F.col("h2") == F.col("g2")), "left")
     lines = lines.filter(F.col("first").isNull() | ((F.col("first.key") == F.col("key")) & (F.col("first.pos") == F.col("pos"))))
     rows, at = stored(_with_company(bucket_rows(lines, params.edits)).select("k", "id", "own").distinct(), "buckets")
@@ -283,8 +288,10 @@ def repeated_lines(docs: DataFrame, key: str = "doc_id", text: str = "text", par
     classes = store(occurrences.groupBy("h1", "h2").agg(F.min(F.struct("key", "pos")).alias("first"), F.count(F.lit(1)).alias("times"), F.min("id").alias("id"), F.min("n").alias("n")), "classes")
     near = near_lines(docs, classes.filter(F.col("n") >= params.least), key, text, params).select(F.col("h1").alias("g1"), F.col("h2").alias("g2"), F.lit(True).alias("near"))
     special = classes.join(near, (F.col("h1") == F.col("g1")) & (F.col("h2") == F.col("g2")), "left").filter("times > 1 or near")
-    special = special.select(F.col("h1").alias("c1"), F.col("h2").alias("c2"), "first", F.coalesce("near", F.lit(False)).alias("near"))
-    hits = occurrences.join(special, (F.col("h1") == F.col("c1")) & (F.col("h2") == F.col("c2")))
+    special = special.select(F.col("h1").alias("c1"), F.col("h2").alias("c2"), "first", F.coalesce("near", F.lit(False)).alias("near"), _frequent(classes).alias("hot"))
+    same = (F.col("h1") == F.col("c1")) & (F.col("h2") == F.col("c2"))
+    hot = F.broadcast(special.filter("hot"))
+    hits = occurrences.join(hot, same).union(occurrences.join(hot, same, "left_anti").join(special.filter("not hot"), same))
     hits = hits.filter(F.col("near") | (F.col("first.key") != F.col("key")) | (F.col("first.pos") != F.col("pos")))
     return hits.groupBy("key").agg(F.collect_set("pos").alias("drops"))
 
