@@ -30,9 +30,13 @@ from pyspark.sql import types as T
 TAG = re.compile(
     r"<!--.*?(?:-->|\Z)|<!\[CDATA\[.*?(?:\]\]>|\Z)|<[!?][^>]*(?:>|\Z)"
     r"|<(?P<close>/?)(?P<name>[a-zA-Z][^\s/>]*)(?P<rest>(?:\"[^\"]*\"|'[^']*'|[^>\"'])*)(?:>|\Z)"
+    # a quote that never closes: up to the next >
+    r"|<(?P<close2>/?)(?P<name2>[a-zA-Z][^\s/>]*)(?P<rest2>[^>]*)>"
     r"|</?[a-zA-Z][^>]*\Z",
     re.S,
 )
+#: A slash that ends an element at once, not the last character of an unquoted value.
+SLASH = re.compile(r"(?:^|[\s\"'])/$")
 ATTRIBUTE = re.compile(r"(?:class|id|role)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>\"']+))", re.I)
 # Element names.
 RAW = frozenset("script style textarea title noscript template iframe noembed xmp".split())
@@ -98,10 +102,11 @@ def blocks_of(page: str | None) -> list[Block]:
             break
         add(page[at : m.start()])
         at = m.end()
-        if m["name"] is None:
+        name, rest = m["name"] or m["name2"], m["rest"] or m["rest2"] or ""
+        if name is None:
             continue
-        name = m["name"].lower()
-        if m["close"]:
+        name = name.lower()
+        if m["close"] or m["close2"]:
             if name not in INLINE:
                 flush()
             if any(n == name for n, _ in stack):
@@ -121,9 +126,9 @@ def blocks_of(page: str | None) -> list[Block]:
             ends = ENDS_ITSELF.get(name, "p" if stack and stack[-1][0] == "p" else "").split()
             if stack and stack[-1][0] in ends:
                 pop()
-        if name in VOID or m["rest"].endswith("/"):
+        if name in VOID or SLASH.search(rest):
             continue
-        words = tuple(w for a in ATTRIBUTE.finditer(m["rest"]) for w in PARTS.findall(next(x for x in a.groups() if x is not None).lower()))
+        words = tuple(w for a in ATTRIBUTE.finditer(rest) for w in PARTS.findall(next(x for x in a.groups() if x is not None).lower()))
         stack.append((name, words))
         hidden += name in UNSEEN
         links += name == "a"
