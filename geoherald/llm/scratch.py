@@ -10,7 +10,8 @@ import atexit
 import tempfile
 import uuid
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 _written: list[tuple[SparkSession, str]] = []
 
@@ -59,3 +60,10 @@ def discard(spark: SparkSession, *paths: str) -> None:
     for path in paths:
         _remove(spark, path)
         _written[:] = [x for x in _written if x[1] != path]
+
+
+def join_frequent(rows: DataFrame, table: DataFrame, key: str, frequent: Column) -> DataFrame:
+    """``rows`` joined with ``table``, which has one row per key; the rows of ``table`` that are ``frequent``, of
+    which there must be a bounded number, are broadcast, so that a hot key's rows stay where they are."""
+    hot = F.broadcast(table.filter(frequent))
+    return rows.join(hot, key).union(rows.join(hot, key, "left_anti").join(table.filter(~frequent), key))
