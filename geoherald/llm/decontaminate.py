@@ -8,7 +8,8 @@ minima are computed once, for blocks of the smallest u, and merged for the large
 
 A segment is a candidate for an item if they agree in one of ``perms`` minima. For an item at its
 class's lower end, with the least containment 0.8, the similarity is at least 0.19: the chance to
-miss it is 0.81^96 = 2e-9. Each candidate is verified by the exact share of the item's shingles that
+miss it is 0.81^96 = 2e-9. Items of at most half the smallest class's size are below that, so they are
+looked up by their shingles instead, as many of them as leave too few for the containment. Each candidate is verified by the exact share of the item's shingles that
 the whole document has.
 
 The items are one side of a search: they are taken in blocks of at most ``ITEMS_AT_ONCE``, each
@@ -57,11 +58,18 @@ class ItemIndex:
         self.flip = rng.integers(0, 2**32, params.perms, dtype=np.uint32)[:, None]
         self.items = items
         sized: dict[int, list[int]] = {}
+        short: list[tuple[int, int]] = []
         for k, (_, s) in enumerate(items):
+            if len(s) <= params.smallest // 2:
+                need = -(-params.num * len(s) // params.den)
+                short += [(int(g), k) for g in s[: len(s) - need + 1]]
+                continue
             u = params.smallest
             while u < len(s):
                 u *= 2
             sized.setdefault(u, []).append(k)
+        self.short = np.array([g for g, _ in sorted(short)], np.uint64)
+        self.short_owner = np.array([k for _, k in sorted(short)], np.int64)
         self.classes: list[tuple[int, np.ndarray, np.ndarray]] = []
         for u, members in sorted(sized.items()):
             low = np.stack([self.hashed(items[k][1]).min(axis=1) for k in members])
@@ -96,7 +104,15 @@ class ItemIndex:
 
     def candidates(self, grams: np.ndarray) -> set[int]:
         found: set[int] = set()
-        if not len(grams) or not self.classes:
+        if not len(grams):
+            return found
+        if len(self.short):
+            own = np.unique(grams)
+            at = np.searchsorted(self.short, own)
+            met = own[self.short[np.minimum(at, len(self.short) - 1)] == own]
+            for first, last in zip(np.searchsorted(self.short, met), np.searchsorted(self.short, met, side="right")):
+                found.update(self.short_owner[first:last].tolist())
+        if not self.classes:
             return found
         low, size = self.block_minima(grams), self.params.smallest
         for u, keys, owner in self.classes:
