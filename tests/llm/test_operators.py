@@ -256,10 +256,19 @@ def test_passages_equal_brute_force(spark):
     assert got == want
 
 
-@pytest.mark.parametrize("group", [suffixes.GROUP, 8])
-def test_passages_among_many_contexts(spark, monkeypatch, group):
+@pytest.fixture
+def arrow_rows(spark, request):
+    """Rows of an Arrow batch."""
+    name = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    before = spark.conf.get(name)
+    spark.conf.set(name, request.param)
+    yield
+    spark.conf.set(name, before)
+
+
+@pytest.mark.parametrize("arrow_rows", [10_000, 7], indirect=True)
+def test_passages_among_many_contexts(spark, arrow_rows):
     """Two texts share 50 words through a run that many others share with other words on one side."""
-    monkeypatch.setattr(suffixes, "GROUP", group)
     rng = random.Random(12)
     new = lambda n: sentence(rng, n, 10**9)
     texts, pairs = [], []
@@ -311,6 +320,22 @@ def test_leaks_equal_brute_force(spark):
     assert decontaminate.drop_leaking(docs, bench.filter("item_id < 0")).count() == len(texts)
 
 
+def test_items_of_every_length_are_found():
+    """Items of one to twenty shingles inside long texts, whole and with a fifth of their shingles changed."""
+    import numpy as np
+
+    rng, params = random.Random(21), decontaminate.LeakParams()
+    cache = decontaminate.WordHashes()
+    grams = lambda t: decontaminate.gram_hashes(decontaminate.word_hashes(decontaminate.split_words(t), cache), 5)
+    items = [sentence(rng, n, 10**6) for n in range(5, 25) for _ in range(15)]
+    index = decontaminate.ItemIndex([(k, np.unique(grams(t))) for k, t in enumerate(items)], params)
+    for k, item in enumerate(items):
+        inside = f"{sentence(rng, 300, 10**6)} {item} {sentence(rng, 300, 10**6)}"
+        assert [x[0] for x in index.verified(grams(inside))] == [k]
+        cut = " ".join(item.split()[: -max(0, (len(item.split()) - 4) // 5) or None])
+        assert [x[0] for x in index.verified(grams(f"{sentence(rng, 90, 10**6)} {cut} {sentence(rng, 90, 10**6)}"))] == [k]
+
+
 # ---------------------------------------------------------------- mixing
 
 
@@ -413,6 +438,8 @@ def test_html_blocks():
     blocks = html_text.blocks_of(page)
     assert [b.text for b in blocks] == ["Home", "One & two three four", "Five"]
     assert blocks[0].linked == 4
+    assert [b.text for b in html_text.blocks_of('<p>One <a title="abc>link text</a> two</p><p>Three</p>')] == ["One link text two", "Three"]
+    assert [(b.text, b.linked) for b in html_text.blocks_of("<p><a href=/x/>linked</a> plain</p><div class='a'/>x")][0] == ("linked plain", 6)
     assert html_text.blocks_of(None) == html_text.blocks_of("") == html_text.blocks_of("<div class='x") == []
 
 
@@ -453,11 +480,17 @@ def test_viterbi_against_all_labellings():
 # ---------------------------------------------------------------- images
 
 
-def test_copies_are_found(spark):
+def drawn(n, seed=5):
     import numpy as np
 
-    rng = np.random.default_rng(5)
-    vectors = [(k, [float(x) for x in rng.normal(0, 0.2, 64)]) for k in range(30)]
+    rng = np.random.default_rng(seed)
+    return [[float(x) for x in rng.normal(0, 0.2, 64)] for _ in range(n)]
+
+
+@pytest.mark.parametrize("bound", [images.BROADCAST_POINTS, 0])
+def test_copies_are_found(spark, monkeypatch, bound):
+    monkeypatch.setattr(images, "BROADCAST_POINTS", bound)
+    vectors = list(enumerate(drawn(30)))
     vectors += [(30, vectors[0][1]), (31, None), (32, [])]
     rows = spark.createDataFrame(vectors, "id long, v array<float>").select("id", images.rendered(F.col("v")).alias("image"))
     got = {r.id: r for r in images.find_copies(rows, F.col("id") % 3 == 0, change=images.edited).collect()}
@@ -467,6 +500,56 @@ def test_copies_are_found(spark):
     assert sum(len(r.copy_of) for r in got.values()) <= len(found) + 4
 
 
+def test_both_searches_give_the_same_links(spark, monkeypatch):
+    vectors = spark.createDataFrame(list(enumerate(drawn(12, 6))), "id long, v array<float>")
+    points = vectors.select("id", images.points_column(images.rendered(F.col("v")), images.ImageParams()).alias("points"))
+    asked = vectors.filter("id < 6").select("id", images.points_column(images.edited(images.rendered(F.col("v"))), images.ImageParams()).alias("points"))
+    links = lambda: sorted(map(tuple, images.search(asked, points).select("q", "d", "votes").collect()))
+    here = links()
+    monkeypatch.setattr(images, "BROADCAST_POINTS", 0)
+    assert here == links() and len(here) >= 6
+    none = asked.filter("id < 0")
+    assert images.search(none, points).count() == images.search(points, none).count() == 0
+
+
+def turned(grid, degrees):
+    """About the centre, bilinear, the border repeated."""
+    import numpy as np
+
+    h, w = grid.shape
+    y, x = np.mgrid[:h, :w] - np.array([(h - 1) / 2, (w - 1) / 2])[:, None, None]
+    c, s = np.cos(np.deg2rad(degrees)), np.sin(np.deg2rad(degrees))
+    y, x = np.clip(c * y + s * x + (h - 1) / 2, 0, h - 1.01), np.clip(c * x - s * y + (w - 1) / 2, 0, w - 1.01)
+    b, a = y.astype(int), x.astype(int)
+    return (grid[b, a] * (1 - x + a) + grid[b, a + 1] * (x - a)) * (1 - y + b) + (grid[b + 1, a] * (1 - x + a) + grid[b + 1, a + 1] * (x - a)) * (y - b)
+
+
+EDITS = {
+    "crop": lambda g: g[18:76, 20:78],
+    "smaller": lambda g: images.resized(g, 77, 77),
+    "larger": lambda g: images.resized(g, 125, 125),
+    "quarter turn": lambda g: images.np.rot90(g),
+    "turn": lambda g: turned(g, 20),
+    "darker": lambda g: g * 0.5 + 10,
+    "noise": lambda g: g + images.np.random.default_rng(1).normal(0, 4, g.shape),
+    "crop and smaller": lambda g: images.resized(g[10:, :84], 70, 68),
+}
+
+
+@pytest.mark.parametrize("edit", EDITS)
+def test_recall_of_edited_copies(edit):
+    import pyarrow as pa
+
+    params = images.ImageParams()
+    pictures = [images.picture(v) for v in drawn(40, 7)]
+    column = lambda all_points: pa.array([[dict(zip((*images._NAMES, "bits"), p)) for p in points] for points in all_points], images._POINT)
+    tables = images.QueryTables(list(range(40)), column([images.describe(images.encode(EDITS[edit](images.decode(p))), params) for p in pictures]), params)
+    starts, numbers, bits = images._columns(column([images.describe(p, params) for p in pictures]))
+    links = [(d, q) for d in range(40) for q, _ in tables.linked(numbers[starts[d] : starts[d + 1]], bits[starts[d] : starts[d + 1]])]
+    assert sum(d == q for d, q in links) >= 36
+    assert sum(d != q for d, q in links) <= 2
+
+
 def test_decode_refuses_broken_images():
     assert images.decode(None) is None and images.decode(b"") is None and images.decode(b"P5 9 9 255\nxx") is None
     assert images.decode(images.encode(images.np.full((3, 4), 7.0))).shape == (3, 4)
