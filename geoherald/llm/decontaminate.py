@@ -55,7 +55,6 @@ class ItemIndex:
         self.params = params
         # 32-bit words: four to eight of them are one vector instruction
         self.mult = rng.integers(0, 2**31, params.perms, dtype=np.uint32)[:, None] * np.uint32(2) + np.uint32(1)
-        self.flip = rng.integers(0, 2**32, params.perms, dtype=np.uint32)[:, None]
         self.items = items
         sized: dict[int, list[int]] = {}
         short: list[tuple[int, int]] = []
@@ -79,9 +78,8 @@ class ItemIndex:
             self.classes.append((u, keys[order], owner[order]))
 
     def hashed(self, grams: np.ndarray) -> np.ndarray:
-        x = (grams >> np.uint64(32)).astype(np.uint32)[None, :] ^ self.flip
-        x *= self.mult
-        return x
+        """One row per permutation: an odd multiple of each hash, which is well mixed itself."""
+        return (grams >> np.uint64(32)).astype(np.uint32)[None, :] * self.mult
 
     def keyed(self, low: np.ndarray) -> np.ndarray:
         """Minima (one row per set) under the number of their permutation."""
