@@ -31,6 +31,18 @@ def matches(terms: Column, dnf: Column) -> Column:
     return F.exists(dnf, lambda clause: F.forall(clause, lambda t: F.array_contains(terms, t)))
 
 
+def signature(terms: Column) -> Column:
+    """64 bits, one set for each term by its hash: small enough to travel where terms are too long."""
+    bit = lambda t: F.call_function("shiftleft", F.lit(1).cast("long"), F.pmod(F.xxhash64(t), F.lit(64)).cast("int"))
+    return F.aggregate(terms, F.lit(0).cast("long"), lambda bits, t: bits.bitwiseOR(bit(t)))
+
+
+def can_match(bits: Column, masks: Column) -> Column:
+    """Whether terms with the signature ``bits`` can satisfy an expression whose clauses have ``masks``; never false
+    where they do."""
+    return F.exists(masks, lambda m: m.bitwiseAND(bits) == m)
+
+
 def alive(reg_seq: Column, cancel_seq: Column, seq: Column) -> Column:
     """Whether a subscription is registered, and not cancelled, when the tuple ``seq`` comes."""
     return (reg_seq < seq) & (cancel_seq.isNull() | (seq < cancel_seq))

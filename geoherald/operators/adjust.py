@@ -9,12 +9,12 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from geoherald.operators import hybrid
-from geoherald.operators.assignment import Assignment, Leaf
+from geoherald.operators.assignment import Assignment, Leaf, part_of
 from geoherald.operators.matching import build_index, match, merge
 from geoherald.operators.migrate import Choice, select
 from geoherald.operators.node import Node, pack_terms
 from geoherald.operators.routing import live_map, route_objects, route_subs
-from geoherald.operators.sample import Sample
+from geoherald.operators.sample import Costs, Sample
 
 
 def detect(loads: DataFrame, sigma: float) -> tuple[int, int, float, float] | None:
@@ -31,6 +31,22 @@ def target(high: float, low: float, sigma: float, half: bool = False) -> float:
     return max(0.0, (high - low) / 2 if half else (high - sigma * low) / (1 + sigma))
 
 
+def share_to_move(loads: DataFrame, donor: int, receiver: int, sigma: float, costs: Costs = Costs()) -> float:
+    """The least part of the donor's objects and subscriptions whose move restores the balance of the two.
+
+    A worker's objects meet all of its subscriptions, so its load falls with the square of what goes. 0 if
+    no part leaves the more loaded of the two better off than the donor was.
+    """
+    rows = {r.worker: r for r in loads.filter(F.col("worker").isin(donor, receiver)).collect()}
+    high, low = rows[donor], rows[receiver]
+    after = lambda s: (costs.load((1 - s) * high.n_obj, (1 - s) * high.n_reg), costs.load(low.n_obj + s * high.n_obj, low.n_reg + s * high.n_reg))
+    for step in range(1, 101):
+        left, more = after(step / 200)
+        if left <= sigma * more:
+            return step / 200 if max(left, more) < high.load else 0.0
+    return 0.0
+
+
 def by_cells(assignment: Assignment) -> Assignment:
     """The same assignment with one leaf per cell, so that single cells can change hands."""
     out = deepcopy(assignment)
@@ -140,8 +156,7 @@ def modelled_loads(sample: Sample, assignment: Assignment) -> list[float]:
             owner = {}
             for q in over.get(cell, ()):
                 for t in sample.subs[q][4]:
-                    # a term without a place goes by a hash, of any kind here
-                    worker = leaf.workers[leaf.terms.get(t, sum(map(ord, t)) % parts) if parts > 1 else 0]
+                    worker = leaf.workers[(leaf.terms[t] if t in leaf.terms else part_of(t, parts)) if parts > 1 else 0]
                     owner[t] = worker
                     subs[worker].add(q)
             for o in at.get(cell, ()) if owner else ():

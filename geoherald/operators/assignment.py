@@ -6,6 +6,7 @@ from __future__ import annotations
 
 from dataclasses import dataclass, field
 
+import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
@@ -73,14 +74,27 @@ class Assignment:
         schema = T.StructType([T.StructField("leaf", T.IntegerType()), T.StructField("term", T.StringType()), T.StructField("part", T.IntegerType())])
         return spark.createDataFrame(rows, schema)
 
-    def place(self, df: DataFrame) -> DataFrame:
-        """Adds ``worker`` to rows with ``cell`` and ``term``.
+    def leaf_table(self, spark: SparkSession) -> DataFrame:
+        """``leaf, x0, y0, x1, y1, workers``: one row per leaf, of which there are no more than cells."""
+        return F.broadcast(spark.createDataFrame([(k, leaf.x0, leaf.y0, leaf.x1, leaf.y1, leaf.workers) for k, leaf in enumerate(self.leaves)], "leaf int, x0 int, y0 int, x1 int, y1 int, workers array<int>"))
+
+    def _leaf_of(self, df: DataFrame, by_tree: bool) -> DataFrame:
+        """Adds ``leaf`` and ``workers`` by the grid's cell, or by going through the rectangles of the leaves."""
+        if not by_tree:
+            return df.join(self.cells(df.sparkSession), "cell")
+        at = [f"__{c}" for c in ("x0", "y0", "x1", "y1")]
+        leaves = self.leaf_table(df.sparkSession).toDF("leaf", *at, "workers")
+        cx, cy = F.col("cell") % self.grid.n, F.floor(F.col("cell") / self.grid.n)
+        return df.join(leaves, (cx >= F.col("__x0")) & (cx < F.col("__x1")) & (cy >= F.col("__y0")) & (cy < F.col("__y1"))).drop(*at)
+
+    def place(self, df: DataFrame, by_tree: bool = False) -> DataFrame:
+        """Adds ``worker`` to rows with ``cell`` and ``term``; ``by_tree`` finds the leaf without the grid.
 
         A grid without text leaves is a broadcast of one row per cell; the head terms are joined as
         the optimizer sees fit.
         """
         spark = df.sparkSession
-        found = df.join(self.cells(spark), "cell")
+        found = self._leaf_of(df, by_tree)
         if not any(leaf.by_text for leaf in self.leaves):
             return found.withColumn("worker", F.col("workers")[0]).drop("leaf", "workers")
         found = found.join(self.head_terms(spark), ["leaf", "term"], "left")
@@ -97,6 +111,12 @@ def hashed_part(term: Column, parts: Column) -> Column:
     return F.pmod(F.xxhash64(term), parts.cast("long")).cast("int")
 
 
+def part_of(term: str, parts: int) -> int:
+    """As :func:`hashed_part`, for the planner."""
+    value = xxhash.xxh64_intdigest(term.encode(), seed=42)
+    return (value - (1 << 64) if value >> 63 else value) % parts
+
+
 def whole_world(grid: Grid, m: int, workers: list[int] | None = None, terms: dict[str, int] | None = None, name: str = "") -> Assignment:
     """One leaf over all cells; with several workers, a partition by text only."""
     return Assignment(grid, m, [Leaf(0, 0, grid.n, grid.n, workers or [0], terms or {})], name)

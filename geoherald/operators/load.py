@@ -66,11 +66,16 @@ def averaged_subs(index: DataFrame, start: int, end: int) -> DataFrame:
 
 
 def check_partition(spark: SparkSession, assignment: Assignment, terms: DataFrame) -> DataFrame:
-    """Pairs of cell and term that have not exactly one worker; empty for a right partition."""
-    cells = spark.range(assignment.grid.n**2).select(F.col("id").cast("int").alias("cell"))
-    few = F.broadcast(terms.select("term").distinct().orderBy("term").limit(100))
-    placed = assignment.place(cells.join(few, F.lit(True)))
-    return placed.groupBy("cell", "term").agg(F.countDistinct("worker").alias("workers"), F.count(F.lit(1)).alias("n")).filter("workers <> 1 or n <> 1")
+    """Pairs of cell and term that have not exactly one worker; empty for a right partition.
+
+    All cells of a leaf place a term alike, so its first cell stands for them; that every cell lies in one
+    leaf is checked too. The leaves, a number that the grid bounds, meet each term once.
+    """
+    assignment.check()
+    firsts = [(leaf.y0 * assignment.grid.n + leaf.x0,) for leaf in assignment.leaves]
+    cells = F.broadcast(spark.createDataFrame(firsts, "cell int").groupBy().agg(F.collect_list("cell").alias("cells")))
+    each = terms.select("term").distinct().join(cells, F.lit(True)).select("term", F.explode("cells").alias("cell"))
+    return assignment.place(each).groupBy("cell", "term").agg(F.countDistinct("worker").alias("workers"), F.count(F.lit(1)).alias("n")).filter("workers <> 1 or n <> 1")
 
 
 def cosine(object_terms: DataFrame, sub_terms: DataFrame, key: str) -> DataFrame:

@@ -1,7 +1,8 @@
 """Workers: posting lists by cell and term, lazy deletion, matching; and the merger.
 
-Postings and probes meet on (worker, cell, term), with the rectangle test before the expression test in
-the residual, as the cheaper of the two.
+Postings and probes meet on (worker, cell, term). A probe carries its place and a 64-bit signature of its
+terms, never the terms: rectangle and signature leave few pairs, and only these meet the terms, by the
+object's id, for the exact test of the expression.
 """
 
 from __future__ import annotations
@@ -9,13 +10,16 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from geoherald.functions.expr import alive, matches
+from geoherald.functions.expr import alive, can_match, matches, signature
 from geoherald.functions.geometry import Grid, inside
 from geoherald.operators.assignment import Assignment, whole_world
 from geoherald.operators.routing import live_map, object_terms, route_all_objects, route_objects, route_subs, routing_terms, subs_at_cells, term_freq
+from geoherald.sources.shared import settle
 
 POSTING = ["worker", "cell", "term", "sub_id", "dnf", "x0", "x1", "y0", "y1"]
 SALTS = 16
+#: Subscriptions that the nested loop takes, which broadcasts them and looks at every pair.
+NESTED_SUBS = 200_000
 
 
 def build_index(routed_subs: DataFrame) -> DataFrame:
@@ -47,22 +51,38 @@ def purge(index: DataFrame, tombstones: DataFrame, touched: DataFrame) -> tuple[
     return left, tombstones.join(left.select("sub_id").distinct(), "sub_id", "left_semi")
 
 
+def _within() -> Column:
+    return inside(F.col("x"), F.col("y"), F.col("x0"), F.col("y0"), F.col("x1"), F.col("y1"))
+
+
 def _fits() -> Column:
-    return inside(F.col("x"), F.col("y"), F.col("x0"), F.col("y0"), F.col("x1"), F.col("y1")) & matches(F.col("terms"), F.col("dnf"))
+    return _within() & matches(F.col("terms"), F.col("dnf"))
+
+
+def _masked(entries: DataFrame) -> DataFrame:
+    return entries.withColumn("masks", F.transform("dnf", signature))
+
+
+def _verified(pairs: DataFrame, objects: DataFrame) -> DataFrame:
+    """Of pairs that rectangle and signature leave, with ``obj_id`` and ``dnf``, those whose terms satisfy the expression."""
+    texts = objects.select("obj_id", "terms")
+    return pairs.join(texts, "obj_id").filter(matches(F.col("terms"), F.col("dnf"))).drop("terms", "dnf")
 
 
 def candidates(objects: DataFrame, routed_objects: DataFrame, index: DataFrame, grid: Grid) -> DataFrame:
-    """The checks that workers make: every entry of the lists that an object goes through."""
-    placed = objects.join(routed_objects.select("obj_id", "worker", "cell"), "obj_id")
-    return placed.withColumn("term", F.explode(F.array_distinct("terms"))).join(index, ["worker", "cell", "term"])
+    """The checks that workers make: every entry of the lists that an object goes through. Terms stay behind."""
+    seq = [c for c in ("seq",) if c in objects.columns]
+    placed = objects.select("obj_id", "x", "y", *seq, "terms").join(routed_objects.select("obj_id", "worker", "cell"), "obj_id")
+    probes = placed.select("obj_id", "x", "y", *seq, "worker", "cell", signature(F.col("terms")).alias("bits"), F.explode(F.array_distinct("terms")).alias("term"))
+    return probes.join(_masked(index), ["worker", "cell", "term"])
 
 
 def match(objects: DataFrame, routed_objects: DataFrame, index: DataFrame, grid: Grid, tombstones: DataFrame | None = None) -> DataFrame:
     """``sub_id, obj_id, worker``: what each worker finds, with its own repeats."""
-    found = candidates(objects, routed_objects, index, grid).filter(_fits())
+    found = candidates(objects, routed_objects, index, grid).filter(_within() & can_match(F.col("bits"), F.col("masks")))
     if "reg_seq" in index.columns and "seq" in objects.columns:
         found = found.filter(alive(F.col("reg_seq"), F.col("cancel_seq"), F.col("seq")))
-    found = found.select("sub_id", "obj_id", "worker")
+    found = _verified(found.select("sub_id", "obj_id", "worker", "dnf"), objects).select("sub_id", "obj_id", "worker")
     return found if tombstones is None else found.join(tombstones, "sub_id", "left_anti")
 
 
@@ -73,7 +93,9 @@ def merge(pairs: DataFrame, subs: DataFrame | None = None) -> DataFrame:
 
 
 def match_nested_loop(objects: DataFrame, subs: DataFrame) -> DataFrame:
-    """Every object against every subscription; for small inputs, as the answer to compare with."""
+    """Every object against every subscription, as the answer to compare with; refused over ``NESTED_SUBS``."""
+    if subs.limit(NESTED_SUBS + 1).count() > NESTED_SUBS:
+        raise ValueError(f"over {NESTED_SUBS} subscriptions: use run or match_fast")
     small = F.broadcast(subs.select("sub_id", "dnf", "x0", "x1", "y0", "y1"))
     return objects.join(small, _fits()).select("sub_id", "obj_id")
 
@@ -84,27 +106,31 @@ def match_single(objects: DataFrame, subs: DataFrame, grid: Grid) -> DataFrame:
 
 
 def match_fast(objects: DataFrame, subs: DataFrame, grid: Grid, salts: int = SALTS) -> DataFrame:
-    """Dispatch and matching in one join on (cell, term), without workers: for raw speed.
+    """Dispatch and matching in one join on (cell, term), without workers: for raw speed. The postings are
+    written once, as they are counted before they are joined.
 
     Long posting lists are cut into ``salts`` pieces, and the probes of their (cell, term) repeated for
     each piece, so that a hot place is many tasks' work. Which lists are long is counted first; each
     has over a ten-thousandth of all entries, so there are fewer than 10,000 to broadcast.
     """
-    postings = subs_at_cells(subs, term_freq(objects), grid).select("cell", "term", "sub_id", "dnf", "x0", "x1", "y0", "y1")
+    postings = settle(subs_at_cells(subs, term_freq(objects), grid).select("cell", "term", "sub_id", "dnf", "x0", "x1", "y0", "y1"), "postings")
     whole = postings.count()
     long = postings.groupBy("cell", "term").agg(F.count(F.lit(1)).alias("n")).filter(F.col("n") * 10_000 > max(whole, 10_000)).select("cell", "term", F.lit(salts).alias("pieces"))
     pieces = F.coalesce("pieces", F.lit(1))
-    entries = postings.join(F.broadcast(long), ["cell", "term"], "left").withColumn("salt", F.pmod(F.xxhash64("sub_id"), pieces.cast("long")).cast("int")).drop("pieces")
-    probes = object_terms(objects.select("obj_id", "x", "y", "terms"), grid).join(F.broadcast(long), ["cell", "term"], "left")
+    entries = _masked(postings).join(F.broadcast(long), ["cell", "term"], "left").withColumn("salt", F.pmod(F.xxhash64("sub_id"), pieces.cast("long")).cast("int")).drop("pieces")
+    probes = object_terms(objects.select("obj_id", "x", "y", "terms", signature(F.col("terms")).alias("bits")), grid).drop("terms")
+    probes = probes.join(F.broadcast(long), ["cell", "term"], "left")
     probes = probes.withColumn("salt", F.explode(F.sequence(F.lit(0), pieces - 1))).drop("pieces")
-    return probes.join(entries, ["cell", "term", "salt"]).filter(_fits()).select("sub_id", "obj_id").distinct()
+    pairs = probes.join(entries, ["cell", "term", "salt"]).filter(_within() & can_match(F.col("bits"), F.col("masks")))
+    return _verified(pairs.select("sub_id", "obj_id", "dnf"), objects).select("sub_id", "obj_id").distinct()
 
 
 def match_inverted_only(objects: DataFrame, subs: DataFrame) -> DataFrame:
     """An index of terms without a grid."""
     postings = subs.join(routing_terms(subs, term_freq(objects)), "sub_id").select("term", "sub_id", "dnf", "x0", "x1", "y0", "y1")
-    probes = objects.select("obj_id", "x", "y", "terms", F.explode(F.array_distinct("terms")).alias("term"))
-    return probes.join(postings, "term").filter(_fits()).select("sub_id", "obj_id").distinct()
+    probes = objects.select("obj_id", "x", "y", signature(F.col("terms")).alias("bits"), F.explode(F.array_distinct("terms")).alias("term"))
+    pairs = probes.join(_masked(postings), "term").filter(_within() & can_match(F.col("bits"), F.col("masks")))
+    return _verified(pairs.select("sub_id", "obj_id", "dnf"), objects).select("sub_id", "obj_id").distinct()
 
 
 def match_grid_only(objects: DataFrame, subs: DataFrame, grid: Grid) -> DataFrame:
