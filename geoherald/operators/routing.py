@@ -37,10 +37,10 @@ def subs_at_cells(subs: DataFrame, freq: DataFrame, grid: Grid) -> DataFrame:
     return keyed.withColumn("cell", F.explode(grid.overlapped(F.col("x0"), F.col("y0"), F.col("x1"), F.col("y1"))))
 
 
-def route_subs(subs: DataFrame, assignment: Assignment, freq: DataFrame) -> DataFrame:
+def route_subs(subs: DataFrame, assignment: Assignment, freq: DataFrame, by_tree: bool = False) -> DataFrame:
     """Registrations at their workers: ``worker, cell, term`` with the payload. Cancellations, which repeat
     the whole subscription, go through the same plan."""
-    return assignment.place(subs_at_cells(subs, freq, assignment.grid))
+    return assignment.place(subs_at_cells(subs, freq, assignment.grid), by_tree)
 
 
 route_cancels = route_subs
@@ -73,6 +73,25 @@ def route_objects(objects: DataFrame, live: DataFrame, grid: Grid) -> DataFrame:
     return probes.join(live.select("cell", "term", "worker"), ["cell", "term"]).select("obj_id", "worker", "cell").distinct()
 
 
+def dispatched(objects: DataFrame, dispatchers: int) -> DataFrame:
+    """Objects with the ``dispatcher`` that takes them; all dispatchers hold the same maps, so any share will do."""
+    return objects.withColumn("dispatcher", F.pmod(F.col("obj_id"), F.lit(dispatchers)).cast("int"))
+
+
+def sends_by_dispatcher(objects: DataFrame, routed: DataFrame, dispatchers: int) -> DataFrame:
+    """``dispatcher, n_obj, sends``: objects that each dispatcher takes, and copies that it sends to workers."""
+    sends = routed.select("obj_id", "worker").distinct().groupBy("obj_id").agg(F.count(F.lit(1)).alias("sends"))
+    rows = dispatched(objects.select("obj_id"), dispatchers).join(sends, "obj_id", "left")
+    return rows.groupBy("dispatcher").agg(F.count(F.lit(1)).alias("n_obj"), F.coalesce(F.sum("sends"), F.lit(0)).alias("sends"))
+
+
+def cell_maps(live: DataFrame) -> DataFrame:
+    """``cell, terms``: for each cell the map from its terms to the number of subscriptions that wait for them,
+    as a dispatcher holds it."""
+    entries = live.groupBy("cell", "term").agg(F.sum("n_live").alias("n"))
+    return entries.groupBy("cell").agg(F.map_from_entries(F.collect_list(F.struct("term", "n"))).alias("terms"))
+
+
 def route_all_objects(objects: DataFrame, assignment: Assignment) -> DataFrame:
     """Objects at every worker that is responsible for one of their terms, waited for or not: what a
     partitioner without a live map sends."""

@@ -19,7 +19,11 @@ _CITY = 838860
 
 
 def wide_objects(spark: SparkSession, folder: str) -> DataFrame:
-    """``obj_id, ts, x, y, terms``: events of users who live in 25 cities, with texts of documents."""
+    """``obj_id, ts, x, y, terms``: events of users who live in 25 cities.
+
+    A message is short: twelve words in a row of a document, from a place that the event decides. The other
+    sources take whole texts.
+    """
     docs = read_table(spark, folder, "documents").select("doc_id", tokens(F.col("text")).alias("toks"))
     homes = read_table(spark, folder, "customer").join(F.broadcast(read_table(spark, folder, "nation")), F.col("c_nationkey") == F.col("n_nationkey"))
     homes = homes.select("c_custkey", "c_nationkey", "n_regionkey")
@@ -54,7 +58,7 @@ def small_objects(spark: SparkSession, folder: str) -> DataFrame:
         at = F.floor((F.col(e) + 0.5) * SMALL_SIDE).cast("long") + (F.floor(F.col("doc_id") / max(count, 1)).cast("long") * prime) % 4096
         return F.least(F.greatest(at, F.lit(0)), F.lit(SMALL_SIDE - 1)).cast("long")
 
-    return rows.select(F.col("doc_id").alias("obj_id"), place("e1", 7919).alias("x"), place("e2", 104729).alias("y"), distinct(F.slice("toks", 1, 16)).alias("terms"))
+    return rows.select(F.col("doc_id").alias("obj_id"), place("e1", 7919).alias("x"), place("e2", 104729).alias("y"), distinct(F.col("toks")).alias("terms"))
 
 
 def product_objects(spark: SparkSession, folder: str) -> DataFrame:
@@ -98,7 +102,7 @@ def object_source(spark: SparkSession, folder: str, kind: str = "wide") -> DataF
     else:
         raise ValueError(kind)
     at = lambda prime: ((F.col("obj_id") * prime) % SMALL_SIDE).cast("long")
-    return rows.select("obj_id", at(48271).alias("x"), at(69621).alias("y"), distinct(F.slice(tokens(F.col("text")), 1, 16)).alias("terms"))
+    return rows.select("obj_id", at(48271).alias("x"), at(69621).alias("y"), distinct(tokens(F.col("text"))).alias("terms"))
 
 
 def lexicon(objects: DataFrame) -> DataFrame:
