@@ -8,16 +8,20 @@ without a table to rewrite.
 
 from __future__ import annotations
 
+import time
 from collections.abc import Callable, Iterator
+from dataclasses import dataclass, field
 
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle
 
+from geoherald.operators.adjust import detect, phase_two, share_to_move
 from geoherald.operators.assignment import Assignment
+from geoherald.operators.load import cell_load, worker_load
 from geoherald.operators.matching import match, merge
-from geoherald.operators.routing import live_map, route_objects, route_subs
+from geoherald.operators.routing import live_map, route_objects, subs_at_cells
 from geoherald.sources.shared import settle
 
 #: Terms whose frequencies a stateful stream takes along.
@@ -64,43 +68,113 @@ class Replay:
     """State of a replay between micro-batches: the index, the routing version, and what was delivered.
 
     A batch is entered under its number, so that one that runs again after a failure leaves what it left
-    the first time.
+    the first time. Postings are kept by cell and term and get their worker from the routing version in
+    force, so that cells can change hands between batches. Index and tombstones have generations:
+    :meth:`compact` writes the next one and a marker after it, and what has no marker is not read.
+
+    ``hook`` is called after each batch with its number and tables. Objects more than ``late_s`` seconds
+    behind the latest of earlier batches are matched like any other, and counted.
     """
 
-    def __init__(self, spark: SparkSession, assignment: Assignment, freq: DataFrame, folder: str, hook: Callable[["Replay", DataFrame, int], None] | None = None):
-        self.spark, self.assignment, self.freq, self.folder, self.hook = spark, assignment, freq, folder, hook
+    def __init__(self, spark: SparkSession, assignment: Assignment, freq: DataFrame, folder: str, hook: Callable[["Replay", int, dict[str, DataFrame]], None] | None = None, late_s: int = 3600):
+        self.spark, self.assignment, self.freq, self.folder, self.hook, self.late_s = spark, assignment, freq, folder, hook, late_s
+
+    def _path(self, name: str):
+        return self.spark._jvm.org.apache.hadoop.fs.Path(f"{self.folder}/{name}")
+
+    def _exists(self, name: str) -> bool:
+        path = self._path(name)
+        return path.getFileSystem(self.spark._jsc.hadoopConfiguration()).exists(path)
 
-    def _table(self, name: str) -> DataFrame | None:
-        path = self.spark._jvm.org.apache.hadoop.fs.Path(f"{self.folder}/{name}")
-        if not path.getFileSystem(self.spark._jsc.hadoopConfiguration()).exists(path):
+    def _generation(self) -> int:
+        found = 0
+        while self._exists(f"generations/{found + 1}"):
+            found += 1
+        return found
+
+    def table(self, name: str, number: int | None = None) -> DataFrame | None:
+        """A table as of a batch, or of the last."""
+        if not self._exists(name):
             return None
-        return self.spark.read.parquet(f"{self.folder}/{name}")
+        rows = self.spark.read.parquet(f"{self.folder}/{name}")
+        return (rows if number is None else rows.filter(F.col("batch") <= number)).drop("batch")
+
+    def _held(self, name: str) -> str:
+        return f"{name}/gen={self._generation()}"
 
     def on_batch(self, batch: DataFrame, number: int) -> None:
         batch = batch.persist()
         payload = ["sub_id", "owner", "x0", "x1", "y0", "y1", "dnf"]
         regs = batch.filter("op = 'reg'").select(*payload, F.col("seq").alias("reg_seq"))
         cancels = batch.filter("op = 'cancel'").select("sub_id", F.col("seq").alias("cancel_seq"))
-        route_subs(regs, self.assignment, self.freq).write.mode("overwrite").parquet(f"{self.folder}/index/batch={number}")
-        cancels.write.mode("overwrite").parquet(f"{self.folder}/tombstones/batch={number}")
-        index = self._table("index").filter(F.col("batch") <= number).drop("batch")
-        dead = self._table("tombstones").filter(F.col("batch") <= number).select("sub_id", "cancel_seq")
-        index = index.join(dead, "sub_id", "left")
+        subs_at_cells(regs, self.freq, self.assignment.grid).write.mode("overwrite").parquet(f"{self.folder}/{self._held('index')}/batch={number}")
+        cancels.write.mode("overwrite").parquet(f"{self.folder}/{self._held('tombstones')}/batch={number}")
+        dead = self.table(self._held("tombstones"), number).select("sub_id", "cancel_seq")
+        index = self.assignment.place(self.table(self._held("index"), number).join(dead, "sub_id", "left"))
         objects = batch.filter("op = 'obj'").select("obj_id", "seq", "x", "y", "terms")
         routed = route_objects(objects, live_map(index), self.assignment.grid)
         merge(match(objects, routed, index, self.assignment.grid)).write.mode("overwrite").parquet(f"{self.folder}/matches/batch={number}")
+        self._count_late(batch, number)
         if self.hook is not None:
-            self.hook(self, batch, number)
+            self.hook(self, number, {"batch": batch, "index": index, "routed": routed})
         batch.unpersist()
 
+    def _count_late(self, batch: DataFrame, number: int) -> None:
+        times = batch.filter("op = 'obj' and ts is not null")
+        known = self.table("clock", number - 1)
+        before = known.agg(F.max("latest")).first()[0] if known is not None else None
+        late = F.lit(0).cast("long") if before is None else F.coalesce(F.sum((F.col("ts") < F.lit(before) - F.make_dt_interval(secs=F.lit(self.late_s))).cast("long")), F.lit(0).cast("long"))
+        times.agg(F.max("ts").alias("latest"), late.alias("late"), F.count(F.lit(1)).alias("n")).write.mode("overwrite").parquet(f"{self.folder}/clock/batch={number}")
+
+    def late_objects(self) -> int:
+        return self.table("clock").agg(F.sum("late")).first()[0]
+
     def compact(self, up_to: int) -> None:
-        """Drops subscriptions that were cancelled before the tuple ``up_to`` from the index, for good."""
-        dead = self._table("tombstones").filter(F.col("cancel_seq") < up_to).select("sub_id")
-        kept = settle(self._table("index").drop("batch").join(dead, "sub_id", "left_anti"), "compacted")
-        kept.withColumn("batch", F.lit(0)).write.mode("overwrite").option("partitionOverwriteMode", "static").partitionBy("batch").parquet(f"{self.folder}/index")
+        """A next generation of the index without subscriptions that were cancelled before the tuple ``up_to``, and
+        of the tombstones without theirs."""
+        nxt = self._generation() + 1
+        dead = self.table(self._held("tombstones"))
+        gone = dead.filter(F.col("cancel_seq") < up_to).select("sub_id")
+        self.table(self._held("index")).join(gone, "sub_id", "left_anti").write.mode("overwrite").parquet(f"{self.folder}/index/gen={nxt}/batch=-1")
+        dead.filter(F.col("cancel_seq") >= up_to).write.mode("overwrite").parquet(f"{self.folder}/tombstones/gen={nxt}/batch=-1")
+        marker = self._path(f"generations/{nxt}")
+        marker.getFileSystem(self.spark._jsc.hadoopConfiguration()).create(marker, True).close()
 
     def matches(self) -> DataFrame:
-        return self._table("matches").drop("batch").distinct()
+        return self.table("matches").distinct()
+
+
+@dataclass
+class Adjuster:
+    """A hook that moves cells from the most to the least loaded worker when a batch breaks the balance.
+
+    ``moves`` lists what it did: batch, workers, cells, bytes, the load before, and seconds of the choice. The routing version
+    grows with each move. Loads are counted on all rows of the batch.
+    """
+
+    sigma: float = 1.5
+    method: str = "ratio_greedy"
+    moves: list[dict] = field(default_factory=list)
+    tops: list[dict] = field(default_factory=list)
+    active: bool = True
+
+    def __call__(self, state: Replay, number: int, parts: dict[str, DataFrame]) -> None:
+        standing = parts["index"].filter("cancel_seq is null")
+        routed, index = settle(parts["routed"], "routed"), settle(standing, "standing")
+        loads = settle(worker_load(routed, index, state.assignment.m), "loads")
+        ends = loads.agg(F.max("load").alias("top"), F.sum("load").alias("total"), F.sum("n_obj").alias("sends")).first()
+        self.tops.append({"batch": number, "top": ends["top"], "total": ends["total"], "tuples": parts["batch"].count(), "moved": 0})
+        found = detect(loads, self.sigma) if self.active else None
+        if found is None:
+            return
+        donor, receiver, high, _ = found
+        share = share_to_move(loads, donor, receiver, self.sigma)
+        if share == 0:
+            return
+        began = time.perf_counter()
+        state.assignment, choice = phase_two(cell_load(routed, index), state.assignment, donor, receiver, share, self.method)
+        self.tops[-1]["moved"] = choice.size
+        self.moves.append({"batch": number, "donor": donor, "receiver": receiver, "cells": choice.cells, "bytes": choice.size, "load": high, "seconds": time.perf_counter() - began, "version": state.assignment.version})
 
 
 def replay(stream: DataFrame, state: Replay, checkpoint: str) -> list[dict]:
