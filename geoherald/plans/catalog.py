@@ -134,6 +134,37 @@ def match_stream_replay(spark: SparkSession, folder: str) -> DataFrame:
     return state.matches()
 
 
+def match_stream_adjusted(spark: SparkSession, folder: str) -> DataFrame:
+    """The timed workload in six micro-batches; cells change hands between them, which must not change what is found."""
+    objects, subs = _timed(spark, folder)
+    assignment, freq = planned("kdtree", objects, subs, GRID)
+    place = f"{shared_folder(spark)}/adjusted-{uuid.uuid4().hex}"
+    engine.write_slices(settle(engine.as_tuples(objects, subs), "tuples"), f"{place}/tuples", 6)
+    state = engine.Replay(spark, assignment, freq, place, engine.Adjuster(1.1))
+    engine.replay(engine.source(spark, f"{place}/tuples"), state, f"{place}/checkpoint")
+    return state.matches()
+
+
+def match_tree_routing(spark: SparkSession, folder: str) -> DataFrame:
+    """Subscriptions find their workers by the leaves' rectangles instead of the routing grid."""
+    objects, subs = workload(spark, folder, "Q3")
+    assignment, freq = planned("hybrid", objects, subs, GRID)
+    index = matching.build_index(routing.route_subs(subs, assignment, freq, by_tree=True))
+    routed = routing.route_objects(objects, routing.live_map(index), GRID)
+    return matching.merge(matching.match(objects, routed, index, GRID))
+
+
+def partition_check(name: str) -> Query:
+    """Terms that a partition gives to no or several workers somewhere; there must be none."""
+
+    def query(spark: SparkSession, folder: str) -> DataFrame:
+        objects, subs = workload(spark, folder, "Q3")
+        assignment, freq = planned(name, objects, subs, GRID)
+        return load.check_partition(spark, assignment, freq).select("cell", "term")
+
+    return query
+
+
 def match_lazy_deletion(spark: SparkSession, folder: str) -> DataFrame:
     """Tombstones for every third subscription, with a purge of the touched lists on the way."""
     objects, subs = workload(spark, folder, "Q1")
@@ -234,7 +265,40 @@ def simple_queries() -> dict[str, Query]:
         kinds = rows.groupBy("user_id").pivot("event_type", ["click", "view"]).agg(F.count(F.lit(1)))
         return kinds.join(rows.groupBy("user_id").agg(F.count(F.lit(1)).alias("n")), "user_id").select("user_id", *[F.coalesce(c, F.lit(0)).alias(c) for c in ("click", "view")], "n")
 
+    def dispatchers(s, d):
+        objects, subs = workload(s, d, "Q1")
+        return routing.sends_by_dispatcher(objects, matching.run(objects, subs, whole_world(GRID, 1))["routed_objects"], 4)
+
+    def cell_maps(s, d):
+        held = routing.cell_maps(single(s, d)["live"])
+        return held.select("cell", F.size("terms").cast("long").alias("n_terms"), F.aggregate(F.map_values("terms"), F.lit(0).cast("long"), lambda a, b: a + b).alias("n_live"))
+
+    def deliveries(s, d):
+        return delivered(s, d).select(F.to_json(F.struct("owner", "sub_id", "obj_id")).alias("delivery"))
+
+    def cancelled(s, d):
+        """Where cancellations go: the cells and terms of their registrations."""
+        objects, subs = _timed(s, d)
+        last = objects.agg(F.max("seq")).first()[0]
+        return routing.route_cancels(subs.filter(F.col("cancel_seq") <= last), whole_world(GRID, 1), routing.term_freq(objects)).select("sub_id", "cell", "term")
+
+    def time_weighted(s, d):
+        """Subscriptions that stand in each cell on average over the stream, in thousandths."""
+        objects, subs = _timed(s, d)
+        parts = matching.run(objects, subs, whole_world(GRID, 1))
+        last = objects.agg(F.max("seq")).first()[0]
+        return load.averaged_subs(parts["index"], 0, last).select("cell", F.round(F.col("avg_subs") * 1000).cast("long").alias("thousandths"))
+
     return {
+        "dispatcher_sends": dispatchers,
+        "routing_cell_maps": cell_maps,
+        "owner_deliveries": deliveries,
+        "routed_cancels": cancelled,
+        "averaged_cell_subs": time_weighted,
+        "subs_small_q1": lambda s, d: subscriptions(s, d, "Q1", "small"),
+        "subs_small_q2": lambda s, d: subscriptions(s, d, "Q2", "small"),
+        "product_lexicon": lambda s, d: lexicon(object_source(s, d, "product")),
+        "conversation_terms": lambda s, d: object_source(s, d, "conversations"),
         "wide_objects": lambda s, d: wide(s, d).select("obj_id", "x", "y", "terms"),
         "small_objects": lambda s, d: object_source(s, d, "small"),
         "lexicon": lex,
@@ -292,16 +356,19 @@ def asof_join(left: DataFrame, right: DataFrame, key: str, at: str, value: str)
     return both.withColumn(value, F.last(value, ignorenulls=True).over(seen)).filter("__side = 1").drop("__side")
 
 
-def _heavy_cells(spark: SparkSession, folder: str) -> tuple[list[migrate.Cell], float]:
+def _loaded_cells(spark: SparkSession, folder: str) -> tuple[list[migrate.Cell], float]:
+    """All cells of one worker that have a load, at most one for each of the grid, and a third of their load."""
     parts = matching.run(*workload(spark, folder, "Q1"), whole_world(GRID, 1))
-    rows = load.cell_load(parts["routed_objects"], parts["index"]).filter("load > 0").orderBy(F.desc("load"), "cell").limit(oracles.GREEDY_CELLS).collect()
+    rows = load.cell_load(parts["routed_objects"], parts["index"]).filter("load > 0").collect()
     cells = [migrate.Cell(r.cell, r.load, r.size_bytes) for r in rows]
     return cells, float(sum(c.load for c in cells) // 3)
 
 
 def select_by(method: str) -> Query:
     def query(spark: SparkSession, folder: str) -> DataFrame:
-        cells, tau = _heavy_cells(spark, folder)
+        cells, tau = _loaded_cells(spark, folder)
+        if method == "exact_dp":  # its table has a column per unit of size
+            cells = [migrate.Cell(c.id, c.load, -(-c.size // 1024)) for c in cells]
         choice = migrate.SELECTORS[method](cells, tau)
         if method == "largest_first":
             return spark.createDataFrame([(c.id, c.load, c.size) for c in cells if c.id in choice.cells], "cell int, load double, size long")
@@ -311,7 +378,7 @@ def select_by(method: str) -> Query:
 
 
 def select_random(spark: SparkSession, folder: str) -> DataFrame:
-    cells, tau = _heavy_cells(spark, folder)
+    cells, tau = _loaded_cells(spark, folder)
     choice = migrate.random_pick(cells, tau)
     return spark.createDataFrame([(c,) for c in choice.cells], "cell int")
 
@@ -336,6 +403,7 @@ def queries() -> dict[str, Query]:
     for name in PARTITIONERS:
         for group in ("Q1", "Q2", "Q3"):
             found[f"match_{name}_{group.lower()}"] = match_by(name, group)
+    found |= {f"partition_check_{name}": partition_check(name) for name in PARTITIONERS}
     found |= {
         "match_hybrid_small_q3": match_by("hybrid", "Q3", "small"),
         "match_bruteforce": match_bruteforce,
@@ -351,6 +419,8 @@ def queries() -> dict[str, Query]:
         "match_phase_one": match_phase_one,
         "match_stream_replay": match_stream_replay,
         "match_lazy_deletion": match_lazy_deletion,
+        "match_stream_adjusted": match_stream_adjusted,
+        "match_tree_routing": match_tree_routing,
         "select_exact_dp": select_by("exact_dp"),
         "select_ratio_greedy": select_by("ratio_greedy"),
         "select_largest_first": select_by("largest_first"),
@@ -358,6 +428,12 @@ def queries() -> dict[str, Query]:
         "tree_hybrid": tree_hybrid,
         "delays_kdtree": delays,
         "loads_by_partitioner": experiments.loads_by_partitioner,
+        "loads_by_partitioner_q2": lambda s, d: experiments.loads_by_partitioner(s, d, ("Q2",)),
+        "loads_by_partitioner_q3": lambda s, d: experiments.loads_by_partitioner(s, d, ("Q3",)),
+        "sample_study": experiments.sample_study,
+        "latency_study": experiments.latency_study,
+        "migration_delays": experiments.migration_delays,
+        "stream_study": experiments.stream_study,
         "migration_study": experiments.migration_study,
         "drift_study": experiments.drift_study,
         "scalability_small": experiments.scalability,
@@ -373,6 +449,8 @@ def oracle_sql() -> dict[str, str]:
     q1 = oracles.match("Q1")
     found |= {n: q1 for n in ("match_bruteforce", "match_single", "match_fast_q1", "match_inverted_only", "match_grid_only", "match_after_migration", "match_phase_one")}
     found |= {"match_fast_q2": oracles.match("Q2"), "match_fast_q3": oracles.match("Q3"), "match_hybrid_small_q3": oracles.match("Q3", "small")}
-    found |= {n: oracles.match_timed() for n in ("match_after_cancel", "match_dual_routing", "match_stream_replay")}
+    found |= {n: oracles.match_timed() for n in ("match_after_cancel", "match_dual_routing", "match_stream_replay", "match_stream_adjusted")}
+    found["match_tree_routing"] = oracles.match("Q3")
+    found |= {f"partition_check_{name}": "select 0 as cell, '' as term where false" for name in PARTITIONERS}
     found["match_lazy_deletion"] = q1.replace("select sub_id, obj_id from pairs", "select sub_id, obj_id from pairs where sub_id % 3 <> 0")
     return found

@@ -2,18 +2,23 @@
 
 from __future__ import annotations
 
+import uuid
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from geoherald.operators import adjust, hybrid, load, matching, migrate, routing, spacesplit
 from geoherald.operators.assignment import Assignment
-from geoherald.operators.measures import dispatcher_bytes, timed, worker_bytes
+from geoherald.operators.measures import dispatcher_bytes, latency, latency_bands, queued, timed, worker_bytes
+from geoherald.operators.measures import model_throughput as load_rate
 from geoherald.operators.sample import take_sample
 from geoherald.plans.settings import BY_SPACE, GRID, MU, PARTITIONERS, PLANNED, SMALL_GRID
 from geoherald.plans.settings import WORKERS as M
-from geoherald.sources.shared import settle
+from geoherald.sources.shared import settle, shared_folder
 from geoherald.sources.workload import drift, subscriptions
+from geoherald.sources.workload import timed as timed_mix
 from geoherald.sources.world import object_source
+from geoherald.streaming import engine
 
 
 def _setting(spark: SparkSession, folder: str, group: str, world: str = "wide", live: int | None = None, all_rare: bool = False):
@@ -37,10 +42,11 @@ def measured(objects: DataFrame, subs: DataFrame, assignment: Assignment, freq:
     dispatcher = dispatcher_bytes(routing.live_map(index), assignment.head_terms(objects.sparkSession)).first()["bytes"]
     worker = worker_bytes(index).agg(F.sum("bytes") / assignment.m).first()[0] or 0.0
     top = loads.agg(F.max("load")).first()[0]
-    return {"total": total, "ratio": ratio, "top": top, "sends": rep["sends_per_object"], "copies": rep["copies_per_sub"], "dispatcher_bytes": float(dispatcher), "worker_bytes": float(worker)}
+    rate = load_rate(loads, objects.count() + subs.count()).first()[0]
+    return {"total": total, "ratio": ratio, "top": top, "tuples_per_load": rate, "sends": rep["sends_per_object"], "copies": rep["copies_per_sub"], "dispatcher_bytes": float(dispatcher), "worker_bytes": float(worker)}
 
 
-MEASURES = ("total", "ratio", "top", "sends", "copies", "dispatcher_bytes", "worker_bytes")
+MEASURES = ("total", "ratio", "top", "tuples_per_load", "sends", "copies", "dispatcher_bytes", "worker_bytes")
 
 
 def loads_by_partitioner(spark: SparkSession, folder: str, groups: tuple[str, ...] = ("Q1",), m: int = M, live: int | None = None, all_rare: bool = False, world: str = "wide") -> DataFrame:
@@ -53,7 +59,7 @@ def loads_by_partitioner(spark: SparkSession, folder: str, groups: tuple[str, ..
             assignment = builder(sample, m)
             for drop in (True, False) if name in BY_SPACE else (True,):
                 got = measured(objects, subs, assignment, freq, drop)
-                rows.append((group, name, drop, m, *[float(got[k]) for k in MEASURES]))
+                rows.append((group, name, drop, m, *[float(got[k] or 0.0) for k in MEASURES]))
     return spark.createDataFrame(rows, "group string, partitioner string, drop boolean, m int, " + ", ".join(f"{k} double" for k in MEASURES))
 
 
@@ -99,7 +105,7 @@ def migration_study(spark: SparkSession, folder: str, lives: tuple[int | None, .
     return spark.createDataFrame(rows, "live int, selector string, select_s double, bytes long, cells int, move_s double")
 
 
-def drift_study(spark: SparkSession, folder: str, epochs: int | None = None, share_of_ten: int = 3) -> DataFrame:
+def drift_study(spark: SparkSession, folder: str, epochs: int | None = None, share_of_ten: int = 1) -> DataFrame:
     """Q3 whose regions turn style epoch by epoch, with and without local adjustment: total load and the most
     loaded worker's, counted on all rows, and the bytes moved. All epochs, or the first ``epochs`` of them.
 
@@ -120,11 +126,95 @@ def drift_study(spark: SparkSession, folder: str, epochs: int | None = None, sha
             moving, _ = adjust.phase_one(seen, moving, donor, receiver, 8)
             loads = adjust.modelled_loads(seen, moving)
             parts = matching.run(objects, now, moving, freq)
-            cells = load.cell_load(parts["routed_objects"], parts["index"])
-            moving, choice = adjust.phase_two(cells, moving, donor, receiver, adjust.target(loads[donor], loads[receiver], 1.5) / loads[donor])
-            moved = choice.size
+            cells, counted = load.cell_load(parts["routed_objects"], parts["index"]), settle(load.worker_load(parts["routed_objects"], parts["index"], M), "loads")
+            uneven = adjust.detect(counted, 1.5)
+            share = adjust.share_to_move(counted, uneven[0], uneven[1], 1.5) if uneven else 0.0
+            if share > 0:
+                moving, choice = adjust.phase_two(cells, moving, uneven[0], uneven[1], share)
+                moved = choice.size
         for name, assignment in (("fixed", fixed), ("adjusted", moving)):
             parts = matching.run(objects, now, assignment, freq)
             after = [r.load for r in load.worker_load(parts["routed_objects"], parts["index"], M).collect()]
             rows.append((epoch, name, float(sum(after)), float(max(after)), moved if name == "adjusted" else 0))
     return spark.createDataFrame(rows, "epoch int, routing string, total double, top double, bytes long")
+
+
+def sample_study(spark: SparkSession, folder: str, group: str = "Q3", sizes: tuple[int, ...] = (500, PLANNED)) -> DataFrame:
+    """The hybrid partition planned on samples of growing size, its loads counted on all rows: what planning on a
+    sample costs."""
+    objects, subs, grid, freq, _ = _setting(spark, folder, group)
+    rows = []
+    for size in sizes:
+        got = measured(objects, subs, hybrid.build(take_sample(objects, subs, grid, freq, size, size), M), freq, True)
+        rows.append((size, got["total"], got["top"], got["ratio"]))
+    return spark.createDataFrame(rows, "sample int, total double, top double, ratio double")
+
+
+def served(objects: DataFrame, subs: DataFrame, assignment: Assignment, freq: DataFrame, drop_unmatched: bool, check_ms: float, object_ms: float) -> DataFrame:
+    """``worker, seq, service``: what each tuple costs its workers, by the entries of the lists that it goes through."""
+    parts = matching.run(objects, subs, assignment, freq, drop_unmatched)
+    checks = matching.candidates(objects, parts["routed_objects"], parts["index"], assignment.grid).groupBy("worker", "obj_id").agg(F.count(F.lit(1)).alias("checks"))
+    sent = parts["routed_objects"].select("worker", "obj_id").distinct().join(checks, ["worker", "obj_id"], "left").join(objects.select("obj_id", "seq"), "obj_id")
+    return sent.select("worker", "seq", (F.lit(object_ms) + F.coalesce("checks", F.lit(0)) * check_ms).alias("service"))
+
+
+def latency_study(spark: SparkSession, folder: str, group: str = "Q2", check_ms: float = 0.02, object_ms: float = 1.0, gap_ms: float = 1.0) -> DataFrame:
+    """Mean delay and bands of the three best partitioners: each worker serves its tuples one at a time, in the
+    time that their checks take; a tuple comes every ``gap_ms``."""
+    objects, subs, grid, freq, sample = _setting(spark, folder, group)
+    objects = settle(objects.withColumn("seq", F.col("obj_id")), "placed")
+    rows = []
+    for name in ("hybrid", "metric", "kdtree"):
+        tuples = served(objects, subs, PARTITIONERS[name](sample, M), freq, name not in BY_SPACE, check_ms, object_ms).withColumn("arrive_ms", F.col("seq") * F.lit(gap_ms))
+        delays = settle(queued(tuples, F.col("service")), "delays")
+        bands, mean = latency_bands(delays).first(), delays.agg(F.avg("ms")).first()[0]
+        rows.append((group, name, mean, bands["prompt"], bands["delayed"], bands["late"]))
+    return spark.createDataFrame(rows, "group string, partitioner string, mean_ms double, prompt double, delayed double, late double")
+
+
+def migration_delays(spark: SparkSession, folder: str, bytes_per_ms: float = 50.0) -> DataFrame:
+    """Delays while cells move, by selector: at half of the stream donor and receiver stop for as long as the chosen
+    cells' bytes take."""
+    objects, subs, grid, freq, sample = _setting(spark, folder, "Q1")
+    objects = settle(objects.withColumn("seq", F.col("obj_id")), "placed")
+    assignment = spacesplit.by_grid(sample, M)
+    parts = matching.run(objects, subs, assignment, freq)
+    loads = {r.worker: r.load for r in load.worker_load(parts["routed_objects"], parts["index"], M).collect()}
+    donor, receiver = max(loads, key=loads.get), min(loads, key=loads.get)
+    rows = [migrate.Cell(r.cell, r.load, r.size_bytes) for r in load.cell_load(parts["routed_objects"], parts["index"]).filter(F.col("worker") == donor).collect()]
+    tau, half = sum(c.load for c in rows) / 4, (objects.agg(F.max("seq")).first()[0] or 0) // 2
+    tuples = settle(served(objects, subs, assignment, freq, False, 0.002, 0.2).withColumn("arrive_ms", F.col("seq") * F.lit(1.0)), "served")
+    out = []
+    for name, selector in migrate.SELECTORS.items():
+        cells = [migrate.Cell(c.id, c.load, -(-c.size // 1024)) for c in rows] if name == "exact_dp" else rows
+        try:
+            chosen = set(selector(cells, tau).cells)
+        except MemoryError:
+            out.append((name, None, None, None, None))
+            continue
+        moved = sum(c.size for c in rows if c.id in chosen)
+        pause = spark.createDataFrame([(w, half, moved / bytes_per_ms, float(half), True) for w in {donor, receiver}], "worker int, seq long, service double, arrive_ms double, pause boolean")
+        delays = queued(tuples.withColumn("pause", F.lit(False)).unionByName(pause), F.col("service")).filter("not pause")
+        bands = latency_bands(delays).first()
+        out.append((name, moved, bands["prompt"], bands["delayed"], bands["late"]))
+    return spark.createDataFrame(out, "selector string, bytes long, prompt double, delayed double, late double")
+
+
+def stream_study(spark: SparkSession, folder: str, slices: int = 4, sigma: float = 1.5, methods: tuple[str, ...] = ("ratio_greedy",)) -> DataFrame:
+    """The timed stream of Q3 replayed with no adjustment and with each selector: per run the tuples per unit of the
+    most loaded worker's time, summed over batches, moves and bytes, mean milliseconds of a batch, late objects."""
+    objects, subs, grid, freq, _ = _setting(spark, folder, "Q3")
+    timed_subs, timed_objects = timed_mix(subs, objects, MU)
+    timed_objects, timed_subs = settle(timed_objects, "timed-objects"), settle(timed_subs, "timed-subs")
+    assignment = PARTITIONERS["hybrid"](take_sample(timed_objects, timed_subs.filter("reg_seq < 0"), grid, freq, PLANNED, PLANNED), M)
+    tuples = settle(engine.as_tuples(timed_objects, timed_subs), "tuples")
+    rows = []
+    for method in ("none", *methods):
+        place = f"{shared_folder(spark)}/study-{uuid.uuid4().hex}"
+        engine.write_slices(tuples, f"{place}/tuples", slices)
+        hook = engine.Adjuster(sigma, method, active=method != "none")
+        state = engine.Replay(spark, assignment, freq, place, hook)
+        progress = engine.replay(engine.source(spark, f"{place}/tuples"), state, f"{place}/checkpoint")
+        rate = sum(t["tuples"] for t in hook.tops) / sum(t["top"] for t in hook.tops)
+        rows.append((method, float(rate), len(hook.moves), sum(m["bytes"] for m in hook.moves), float(latency(progress)), state.late_objects()))
+    return spark.createDataFrame(rows, "selector string, tuples_per_load double, moves int, bytes long, batch_ms double, late long")

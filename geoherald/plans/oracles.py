@@ -39,7 +39,7 @@ obj as (
     return f"""
 vec as (select vec_id, embedding[1]::double as e1, embedding[2]::double as e2, count(*) over () as nv from embeddings),
 obj as (
-  select doc_id as obj_id, {place("e1", 7919)} as x, {place("e2", 104729)} as y, {_set(_slice(_text("text"), "1", "16"))} as terms
+  select doc_id as obj_id, {place("e1", 7919)} as x, {place("e2", 104729)} as y, {_set(_text("text"))} as terms
   from documents join vec on doc_id % nv = vec_id)"""
 
 
@@ -178,6 +178,19 @@ both_sides as (
   select coalesce(a.g, b.g) as g, coalesce(n, 0) as n, coalesce(m, 0) as m from (select g, term, count(*) as n from ot group by all) a
   full join (select g, term, count(*) as m from st group by all) b on a.g = b.g and a.term = b.term)
 select g::bigint as g, round(case when sum(n * n) > 0 and sum(m * m) > 0 then sum(n * m) / (sqrt(sum(n * n)) * sqrt(sum(m * m))) else 0 end, 6) as sim from both_sides group by g""",
+        "dispatcher_sends": routed("""select (obj_id % 4)::int as dispatcher, count(*) as n_obj, count(*) filter (obj_id in (select obj_id from sent))::bigint as sends from obj group by 1"""),
+        "routing_cell_maps": routed("select cell, count(distinct term) as n_terms, count(*) as n_live from posting group by cell"),
+        "owner_deliveries": f"{base('Q1')}, {PAIRS} select to_json({{'owner': owner, 'sub_id': sub_id, 'obj_id': obj_id}})::varchar as delivery from pairs join subs using (sub_id)",
+        "routed_cancels": f"{base('Q1')}, {timed()}, {ROUTE} select sub_id, cell, term from posting join tsubs using (sub_id) where cancel_seq <= (select max(seq) from tobj)",
+        "averaged_cell_subs": f"""{base('Q1')}, {timed()}, {ROUTE}, ends as (select max(seq) as e from tobj),
+spans as (select distinct cell, sub_id, greatest(least(coalesce(cancel_seq, e), e) - greatest(reg_seq, 0), 0) as span from posting join tsubs using (sub_id), ends)
+select cell, round(sum(span) / max(e)::double * 1000)::bigint as thousandths from spans, ends group by cell""",
+        "subs_small_q1": f"{base('Q1', 'small')} select * from subs",
+        "subs_small_q2": f"{base('Q2', 'small')} select * from subs",
+        "product_lexicon": """select term, count(*) as df from (
+  select unnest(list_distinct(list_concat(string_split(lower(p_name), ' '), [lower(p_type)]))) as term
+  from lineitem join orders on l_orderkey = o_orderkey join customer on o_custkey = c_custkey join nation on c_nationkey = n_nationkey join part on l_partkey = p_partkey) group by term""",
+        "conversation_terms": "select conv_id * 1000 + turn as obj_id, ((conv_id * 1000 + turn) * 48271) % 1048576 as x, ((conv_id * 1000 + turn) * 69621) % 1048576 as y, " + _set(_text("text")) + " as terms from conversations",
         "load_per_window": f"with {o} select time_bucket(interval '4 hours', ts, timestamp '1970-01-01') as start, count(*) as n from obj group by 1",
         "sliding_load": f"with {o}, starts as (select obj_id, unnest(range(0, 4)) as back, ts from obj) select time_bucket(interval '1 hour', ts, timestamp '1970-01-01') - to_hours(back) as start, count(*) as n from starts group by 1",
         "session_users": """with gaps as (select user_id, ts, case when ts - lag(ts) over (partition by user_id order by ts) < interval '6 hours' then 0 else 1 end as fresh from events),
@@ -199,33 +212,28 @@ select owner, sub_id, n, r from (select *, row_number() over (partition by owner
         "trailing_activity": "select event_id, count(*) over (partition by user_id order by epoch_us(ts) range between 14400000000 preceding and current row) as n, epoch_us(ts) - lag(epoch_us(ts)) over (partition by user_id order by ts, event_id) as gap from events",
         "pivot_types": "select user_id, count(*) filter (event_type = 'click') as click, count(*) filter (event_type = 'view') as view, count(*) as n from events group by user_id",
         "page_terms": r"""with plain as (select page_id, regexp_replace(regexp_replace(html, '(?s)<(script|style).*?</(script|style)>', ' ', 'g'), '<[^>]*>', ' ', 'g') as text from pages)
-select page_id as obj_id, (page_id * 48271) % 1048576 as x, (page_id * 69621) % 1048576 as y, """ + _set(_slice(_text("text"), "1", "16")) + " as terms from plain",
+select page_id as obj_id, (page_id * 48271) % 1048576 as x, (page_id * 69621) % 1048576 as y, """ + _set(_text("text")) + " as terms from plain",
     }
 
 
-GREEDY_CELLS = 12
-
-
 def _cells() -> str:
     return routed(f""", stored as (select cell, count(*) as n_sub, sum(bytes)::bigint as size from (
     select distinct cell, sub_id, 48 + list_sum(list_transform(flatten(dnf), lambda t: strlen(t) + 4)) as bytes from posting join subs using (sub_id)) group by cell),
   seen as (select cell, count(*) as n_obj from sent group by cell),
-  heavy as (select cell, (n_obj * n_sub)::double as load, size from stored join seen using (cell) order by load desc, cell limit {GREEDY_CELLS}),
+  heavy as (select cell, (n_obj * n_sub)::double as load, size from stored join seen using (cell)),
   goal as (select floor(sum(load) / 3) as tau from heavy)""")
 
 
 def selections() -> dict[str, str]:
-    """Selectors on the heaviest cells of one worker."""
-    subsets = """, nth as (select *, row_number() over (order by cell) - 1 as k from heavy),
-  codes as (select unnest(range(0, 4096)) as code),
-  tried as (select code, sum(load) as load, sum(size)::bigint as size from codes join nth on (code >> k) & 1 = 1 group by code)"""
+    """Selectors on all cells of one worker. The exact one is out of reach for SQL; it is tested against all subsets."""
     ratio = """, nth as (select *, row_number() over (order by size / load, cell) as k from heavy),
   scan as (
     select 1 as k, 0::double as load, 0::bigint as size union all
     select s.k + 1, s.load + case when s.load + n.load < tau then n.load else 0 end, s.size + case when s.load + n.load < tau then n.size else 0 end
     from scan s join nth n on n.k = s.k, goal)"""
     return {
-        "select_exact_dp": f"{_cells()}{subsets} select min(t.size) as size from tried t, goal where t.load >= tau",
+        "select_random": f"""{_cells()} select cell from (
+  select *, coalesce(sum(load) over (order by (cell * 48271 + 7919) % 65537, cell rows between unbounded preceding and 1 preceding), 0) as before from heavy), goal where before < tau""",
         "select_ratio_greedy": (_cells() + ratio).replace("with ", "with recursive ", 1)
         + " select min(s.size + n.size)::bigint as size from scan s join nth n on n.k = s.k, goal where s.load + n.load >= tau",
         "select_largest_first": f"""{_cells()} select cell, load, size from (

@@ -148,7 +148,7 @@ def same(spark, name, folder="/root/testdata/sf0.001"):
     assert a == b
 
 
-@pytest.mark.parametrize("name", ["wide_objects", "subs_q3", "match_hybrid_q3", "match_hypergraph_q2", "match_rtree_q1", "cell_load", "select_exact_dp", "live_counts"])
+@pytest.mark.parametrize("name", ["wide_objects", "subs_q3", "match_hybrid_q3", "match_hypergraph_q2", "match_rtree_q1", "cell_load", "select_ratio_greedy", "select_random", "sql_matches", "averaged_cell_subs", "live_counts"])
 def test_against_sql(spark, name):
     same(spark, name)
 
