@@ -39,7 +39,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from geoherald.llm.scratch import discard, store, stored
+from geoherald.llm.scratch import discard, store, stored, unused
 
 BROADCAST_ROWS = 400_000
 _LENGTHS = 1024
@@ -284,6 +284,7 @@ def near_lines(docs: DataFrame, classes: DataFrame, key: str, text: str, params:
 
 def repeated_lines(docs: DataFrame, key: str = "doc_id", text: str = "text", params: LineParams = LineParams()) -> DataFrame:
     """``key, drops``: for each document with lines to remove, their numbers from 0."""
+    docs = docs.select(F.col(f"`{key}`"), F.col(f"`{text}`"))
     occurrences = store(_lines(docs, key, text, params.counted).select("key", "pos", "h1", "h2", "id", "n"), "lines")
     classes = store(occurrences.groupBy("h1", "h2").agg(F.min(F.struct("key", "pos")).alias("first"), F.count(F.lit(1)).alias("times"), F.min("id").alias("id"), F.min("n").alias("n")), "classes")
     near = near_lines(docs, classes.filter(F.col("n") >= params.least), key, text, params).select(F.col("h1").alias("g1"), F.col("h2").alias("g2"), F.lit(True).alias("near"))
@@ -298,12 +299,13 @@ def repeated_lines(docs: DataFrame, key: str = "doc_id", text: str = "text", par
 
 def dedup_lines(docs: DataFrame, key: str = "doc_id", text: str = "text", params: LineParams = LineParams()) -> DataFrame:
     """Every row of ``docs`` with ``text`` without its repeated lines, and ``n_lines, n_removed`` added."""
-    drops = repeated_lines(docs, key, text, params).withColumnRenamed("key", "__key").withColumnRenamed("drops", "__drops")
+    k, d = unused("__key", docs.columns), unused("__drops", docs.columns)
+    drops = repeated_lines(docs, key, text, params).toDF(k, d)
     rows = docs.select(*[F.col(f"`{c}`") for c in docs.columns if c not in {"n_lines", "n_removed"}])
-    rows = rows.join(drops, rows[key] == drops["__key"], "left")
+    rows = rows.join(drops, rows[key] == drops[k], "left")
     body = F.col(f"`{text}`").cast("string")
     lines = F.split(body, "\n")
-    shorter = F.array_join(F.filter(lines, lambda x, i: ~F.array_contains(F.col("__drops"), i)), "\n")
-    counts = {"n_lines": F.when(body.isNull(), 0).otherwise(F.size(lines)), "n_removed": F.when(F.col("__drops").isNull(), 0).otherwise(F.size("__drops"))}
-    changed = F.when(F.col("__drops").isNull(), body).otherwise(shorter)
+    shorter = F.array_join(F.filter(lines, lambda x, i: ~F.array_contains(F.col(d), i)), "\n")
+    counts = {"n_lines": F.when(body.isNull(), 0).otherwise(F.size(lines)), "n_removed": F.when(F.col(d).isNull(), 0).otherwise(F.size(d))}
+    changed = F.when(F.col(d).isNull(), body).otherwise(shorter)
     return rows.withColumns(counts).withColumn(text, changed).select(*[F.col(f"`{c}`") for c in docs.columns if c not in {"n_lines", "n_removed"}], "n_lines", "n_removed")

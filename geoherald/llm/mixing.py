@@ -9,7 +9,7 @@ are used up. It is found by rounds of re-sharing on the per-source table, each a
 no source list is gathered anywhere.
 
 Results for odd rows: a null or empty text has size 0 and is taken 0 words; a null source is a source of
-its own, last in order; repeated rows are drawn as one (same key, same draw); an empty table gives an
+its own, last in order; repeated rows are drawn as one (same key, same draw), rows without a key by their text; an empty table gives an
 empty table. Only ``key``, ``text`` and ``source`` are read, so other columns can have any name.
 """
 
@@ -19,7 +19,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from geoherald.llm.scratch import store
+from geoherald.llm.scratch import store, unused
 
 WORD = r"[^\x20\x09-\x0D]+"
 WEIGHTS = (5.0, 2.0, 1.0)
@@ -88,15 +88,17 @@ def mix_sources(
     shuffling.
     """
     table = store(targets(ranked_sources(docs, text, source), weights, max_repeat), "targets")
-    table = table.withColumnRenamed("source", "__source")
+    name = unused("__source", docs.columns)
+    table = table.withColumnRenamed("source", name)
     if table.count() < 100_000:
         table = F.broadcast(table)
     added = {"size", "source_size", "target", "copies", "taken"}
     rows = docs.select(*[F.col(f"`{c}`") for c in docs.columns if c not in added])
-    rows = rows.join(table, rows[source].eqNullSafe(table["__source"]), "left").drop("__source")
+    rows = rows.join(table, rows[source].eqNullSafe(table[name]), "left").drop(name)
     rate = F.when(F.col("source_size") > 0, F.col("target") / F.col("source_size")).otherwise(F.lit(0.0))
     # 52 bits of a digest of seed and key, as a number in [0, 1); any engine with MD5 draws the same
-    digest = F.md5(F.concat(F.lit(f"{seed}:"), F.coalesce(F.col(key).cast("string"), F.lit(""))))
+    named = F.coalesce(F.col(key).cast("string"), F.concat(F.lit("~"), F.md5(F.coalesce(F.col(text), F.lit("")))))
+    digest = F.md5(F.concat(F.lit(f"{seed}:"), named))
     draw = F.conv(F.substring(digest, 1, 13), 16, 10).cast("long").cast("double") / F.lit(float(1 << 52))
     copies = (F.floor(rate) + F.when(draw < rate - F.floor(rate), 1).otherwise(0)).cast("long")
     rows = rows.withColumn("size", n_words(F.col(text))).withColumn("copies", copies)

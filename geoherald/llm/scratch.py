@@ -7,6 +7,7 @@ executor costs a re-read and nothing more. The folder is set here only where the
 from __future__ import annotations
 
 import atexit
+import re
 import tempfile
 import uuid
 
@@ -20,6 +21,8 @@ def shared_folder(spark: SparkSession) -> str:
     """The session's shared folder; a local one only where none is configured (tests, one machine)."""
     found = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not found:
+        if not re.match(r"local(\[|$)", spark.sparkContext.master):
+            raise RuntimeError("spark.checkpoint.dir must name a folder that all executors share")
         found = f"file://{tempfile.mkdtemp(prefix='geoherald-')}"
         spark.sparkContext.setCheckpointDir(found)
     return found
@@ -62,6 +65,14 @@ def discard(spark: SparkSession, *paths: str) -> None:
         _written[:] = [x for x in _written if x[1] != path]
 
 
+def unused(name: str, columns: list[str]) -> str:
+    """``name``, made longer until it is none of ``columns``, whatever their case."""
+    taken = {c.lower() for c in columns}
+    while name.lower() in taken:
+        name += "_"
+    return name
+
+
 def join_frequent(rows: DataFrame, table: DataFrame, key: str, frequent: Column) -> DataFrame:
     """``rows`` joined with ``table``, which has one row per key; the rows of ``table`` that are ``frequent``, of
     which there must be a bounded number, are broadcast, so that a hot key's rows stay where they are."""

@@ -27,6 +27,56 @@ def edited(rng, text, n):
     return " ".join(words)
 
 
+# ---------------------------------------------------------------- odd tables
+
+CLASHES = "size target copies taken source_size component_id kept n_shingles spans score __source __key __drops __k n_lines key id line digest item_id".split()
+
+
+@pytest.fixture(scope="module")
+def odd(spark):
+    """Nulls, an empty and a very long text, repeated rows, and columns named like those the operators use."""
+    long = "\n".join(" ".join(f"w{(k * j) % 4999}" for k in range(1, 60)) for j in range(1, 1200))
+    texts = [(1, long), (2, "a short text\na short text"), (2, "a short text\na short text"), (3, ""), (4, None), (None, "no id"), (None, "none either"), (5, long)]
+    df = spark.createDataFrame([(k, t, None, "s" if t else None, 0) for k, t in texts], DOCS)
+    return settled(df.select("*", *[F.lit("clash").alias(c) for c in CLASHES]))
+
+
+def settled(df):
+    from geoherald.llm.scratch import store
+
+    return store(df, "odd")
+
+
+ROWWISE = {
+    "lines": lambda docs: line_dedup.dedup_lines(docs, params=line_dedup.ALL_LINES),
+    "near": lambda docs: near_dedup.near_duplicates(docs),
+    "mix": lambda docs: mixing.mix_sources(docs),
+    "toxic": lambda docs: docs.select(toxicity.toxicity_score(toxicity.Lexicon({"idiot": 2.0}).build(), F.col("text")).alias("s")),
+    "html": lambda docs: html_text.extract_text(docs.withColumn("html", F.col("text")).withColumnRenamed("doc_id", "page_id")),
+    "urls": lambda docs: url_rules.judge_urls(docs.withColumn("url", F.concat(F.lit("http://x.com/"), "text")), registry.URL_RULES),
+}
+
+
+@pytest.mark.parametrize("name", ROWWISE)
+def test_odd_rows_keep_their_number(odd, name):
+    out = ROWWISE[name](odd)
+    assert out.count() == 8 and len(out.collect()) == 8
+    assert ROWWISE[name](odd.filter("doc_id < 0")).count() == 0
+
+
+def test_odd_rows_of_searches(spark, odd):
+    bench = spark.createDataFrame([(1, " ".join(f"w{(k * 7) % 4999}" for k in range(1, 40))), (2, None), (3, "")], "item_id long, text string")
+    assert sorted((r.doc_id, r.item_id) for r in decontaminate.find_leaks(odd.drop("item_id"), bench).collect()) == [(1, 1), (5, 1)]
+    assert decontaminate.drop_leaking(odd, bench).count() == 6
+    assert decontaminate.find_leaks(odd.drop("item_id").filter("doc_id < 0"), bench).count() == 0
+    whole = {r.doc_id: r.spans for r in suffixes.repeated_passages(odd).collect()}
+    assert set(whole) == {1, 5} and whole[1][0]["start"] == 0 and whole[1][-1]["end"] == 59 * 1199
+    lines = {r.doc_id: r.text for r in ROWWISE["lines"](odd).collect() if r.doc_id}
+    assert lines[5].strip() == "" and lines[1].count("\n") == 1198 and lines[3] == "" and lines[4] is None
+    mixed = ROWWISE["mix"](odd)
+    assert mixed.columns[: len(DOCS.split(", "))] == odd.columns[:5] and mixed.filter("doc_id = 1").first().__getitem__("__source") == "clash"
+
+
 # ---------------------------------------------------------------- near duplicates
 
 
