@@ -202,7 +202,7 @@ def migration_delays(spark: SparkSession, folder: str, bytes_per_ms: float = 50.
 
 def stream_study(spark: SparkSession, folder: str, slices: int = 4, sigma: float = 1.5, methods: tuple[str, ...] = ("ratio_greedy",)) -> DataFrame:
     """The timed stream of Q3 replayed with no adjustment and with each selector: per run the tuples per unit of the
-    most loaded worker's time, summed over batches, moves and bytes, mean milliseconds of a batch, late objects."""
+    most loaded worker's time, summed over batches, moves and bytes, mean milliseconds of a batch and of an object until its delivery, late objects."""
     objects, subs, grid, freq, _ = _setting(spark, folder, "Q3")
     timed_subs, timed_objects = timed_mix(subs, objects, MU)
     timed_objects, timed_subs = settle(timed_objects, "timed-objects"), settle(timed_subs, "timed-subs")
@@ -216,5 +216,5 @@ def stream_study(spark: SparkSession, folder: str, slices: int = 4, sigma: float
         state = engine.Replay(spark, assignment, freq, place, hook)
         progress = engine.replay(engine.source(spark, f"{place}/tuples"), state, f"{place}/checkpoint")
         rate = sum(t["tuples"] for t in hook.tops) / sum(t["top"] for t in hook.tops)
-        rows.append((method, float(rate), len(hook.moves), sum(m["bytes"] for m in hook.moves), float(latency(progress)), state.late_objects()))
-    return spark.createDataFrame(rows, "selector string, tuples_per_load double, moves int, bytes long, batch_ms double, late long")
+        rows.append((method, float(rate), len(hook.moves), sum(m["bytes"] for m in hook.moves), float(latency(progress)), float(state.wait_ms()), state.late_objects()))
+    return spark.createDataFrame(rows, "selector string, tuples_per_load double, moves int, bytes long, batch_ms double, wait_ms double, late long")

@@ -103,6 +103,7 @@ class Replay:
         return f"{name}/gen={self._generation()}"
 
     def on_batch(self, batch: DataFrame, number: int) -> None:
+        began = time.perf_counter()
         batch = batch.persist()
         payload = ["sub_id", "owner", "x0", "x1", "y0", "y1", "dnf"]
         regs = batch.filter("op = 'reg'").select(*payload, F.col("seq").alias("reg_seq"))
@@ -114,21 +115,26 @@ class Replay:
         objects = batch.filter("op = 'obj'").select("obj_id", "seq", "x", "y", "terms")
         routed = route_objects(objects, live_map(index), self.assignment.grid)
         merge(match(objects, routed, index, self.assignment.grid)).write.mode("overwrite").parquet(f"{self.folder}/matches/batch={number}")
-        self._count_late(batch, number)
+        self._clocked(batch, number, time.perf_counter() - began)
         if self.hook is not None:
             self.hook(self, number, {"batch": batch, "index": index, "routed": routed})
         batch.unpersist()
 
-    def _count_late(self, batch: DataFrame, number: int) -> None:
+    def _clocked(self, batch: DataFrame, number: int, seconds: float) -> None:
+        """One row per batch: its latest event, its late objects, and how long its tuples waited for their delivery."""
         times = batch.filter("op = 'obj' and ts is not null")
         known = self.table("clock", number - 1)
         before = known.agg(F.max("latest")).first()[0] if known is not None else None
         late = F.lit(0).cast("long") if before is None else F.coalesce(F.sum((F.col("ts") < F.lit(before) - F.make_dt_interval(secs=F.lit(self.late_s))).cast("long")), F.lit(0).cast("long"))
-        times.agg(F.max("ts").alias("latest"), late.alias("late"), F.count(F.lit(1)).alias("n")).write.mode("overwrite").parquet(f"{self.folder}/clock/batch={number}")
+        times.agg(F.max("ts").alias("latest"), late.alias("late"), F.count(F.lit(1)).alias("n"), F.lit(seconds * 1000).alias("wait_ms")).write.mode("overwrite").parquet(f"{self.folder}/clock/batch={number}")
 
     def late_objects(self) -> int:
         return self.table("clock").agg(F.sum("late")).first()[0]
 
+    def wait_ms(self) -> float:
+        """Mean milliseconds from a batch's start to the delivery of its objects, weighted by objects."""
+        return self.table("clock").agg(F.sum(F.col("wait_ms") * F.col("n")) / F.sum("n")).first()[0]
+
     def compact(self, up_to: int) -> None:
         """A next generation of the index without subscriptions that were cancelled before the tuple ``up_to``, and
         of the tombstones without theirs."""

@@ -69,6 +69,21 @@ def test_tree_and_grid_place_alike(spark, work):
     assert rows(by_grid) == rows(by_tree)
 
 
+def test_four_workers_in_space_and_text(spark):
+    """A region of one worker, one whose terms two workers share, and one whose terms three share."""
+    grid = Grid(8, 2)
+    leaves = [Leaf(0, 0, 4, 1, [0]), Leaf(0, 1, 4, 2, [0, 1], {"a": 0, "b": 1}), Leaf(0, 2, 4, 4, [1, 2, 3], {"a": 0, "b": 1, "c": 2})]
+    assignment = Assignment(grid, 4, leaves)
+    assignment.check()
+    objects = spark.createDataFrame([(1, 0, 0, ["a", "b", "c"]), (2, 0, 2, ["a", "b"]), (3, 0, 2, ["b"]), (4, 0, 6, ["a", "b", "c"]), (5, 0, 6, ["a", "c"])], "obj_id long, x long, y long, terms array<string>")
+    everywhere = spark.createDataFrame([(k, 1, [[t]], 0, 7, 0, 7) for k, t in enumerate("abc")], "sub_id long, owner long, dnf array<array<string>>, x0 long, x1 long, y0 long, y1 long")
+    objects, everywhere = settle(objects, "objects"), settle(everywhere, "subs")
+    parts = matching.run(objects, everywhere, assignment)
+    sent = {r.obj_id: sorted(r.w) for r in parts["routed_objects"].groupBy("obj_id").agg(F.collect_set("worker").alias("w")).collect()}
+    assert sent == {1: [0], 2: [0, 1], 3: [1], 4: [1, 2, 3], 5: [1, 3]}
+    assert rows(parts["matches"]) == rows(matching.match_nested_loop(objects, everywhere))
+
+
 def test_every_term_has_one_worker(spark, work):
     _, _, assignment, freq = work
     assert load.check_partition(spark, assignment, freq).isEmpty()
@@ -142,7 +157,7 @@ def test_cells_change_hands_while_the_stream_runs(spark, tmp_path):
     state = engine.Replay(spark, assignment, freq, str(tmp_path), hook, late_s=20)
     engine.replay(engine.source(spark, str(tmp_path / "t")), state, str(tmp_path / "c"))
     assert rows(state.matches()) == want
-    assert state.late_objects() == 0 and len(hook.tops) == 3
+    assert state.late_objects() == 0 and len(hook.tops) == 3 and state.wait_ms() > 0
     assert hook.moves and state.assignment.version == len(hook.moves)
     # an object from before the last batches counts as late and is matched all the same
     extra = objects.filter("obj_id = 1").withColumn("obj_id", F.lit(99).cast("long")).withColumn("seq", F.lit(20).cast("long"))
