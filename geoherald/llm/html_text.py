@@ -31,7 +31,7 @@ TAG = re.compile(
     r"<!--.*?(?:-->|\Z)|<!\[CDATA\[.*?(?:\]\]>|\Z)|<[!?][^>]*(?:>|\Z)"
     r"|<(?P<close>/?)(?P<name>[a-zA-Z][^\s/>]*)(?P<rest>(?:\"[^\"]*\"|'[^']*'|[^>\"'])*)(?:>|\Z)"
     # a quote that never closes: up to the next >
-    r"|<(?P<close2>/?)(?P<name2>[a-zA-Z][^\s/>]*)(?P<rest2>[^>]*)>"
+    r"|<(?P<shut>/?)(?P<tag>[a-zA-Z][^\s/>]*)(?P<tail>[^>]*)>"
     r"|</?[a-zA-Z][^>]*\Z",
     re.S,
 )
@@ -102,11 +102,11 @@ def blocks_of(page: str | None) -> list[Block]:
             break
         add(page[at : m.start()])
         at = m.end()
-        name, rest = m["name"] or m["name2"], m["rest"] or m["rest2"] or ""
+        name, rest = m["name"] or m["tag"], m["rest"] or m["tail"] or ""
         if name is None:
             continue
         name = name.lower()
-        if m["close"] or m["close2"]:
+        if m["close"] or m["shut"]:
             if name not in INLINE:
                 flush()
             if any(n == name for n, _ in stack):
