@@ -55,6 +55,31 @@ def test_signatures_never_lose_a_match(spark):
     assert {(r["is"], r["may"]) for r in got} >= {(True, True), (False, False)} and (True, False) not in {(r["is"], r["may"]) for r in got}
 
 
+def test_no_pair_crosses_an_exchange(spark, work):
+    """Short texts are settled where posting and probe meet; a subscription of several lists finds an object once."""
+    objects, subs, assignment, freq = work
+    plain = objects.drop("seq"), subs.drop("reg_seq", "cancel_seq")
+    for found in (matching.run(*plain, assignment, freq)["matches"], matching.match_fast(*plain, catalog.GRID)):
+        text = found.sparkSession._jvm.PythonSQLUtils.explainString(found._jdf.queryExecution(), "formatted")
+        crossing = [{re.sub(r"#\d+L?", "", c) for c in columns.split(", ")} for columns in re.findall(r"Exchange\nInput \[\d+\]: \[(.*)\]", text)]
+        assert crossing and not any({"sub_id", "obj_id"} <= columns for columns in crossing)
+        assert rows(found) == rows(matching.match_nested_loop(*plain))
+
+
+def test_codes_settle_each_pair_once(spark, monkeypatch):
+    objects = spark.createDataFrame([(1, 0, 0, ["a", "b", "c"]), (2, 0, 0, ["b"]), (3, 9, 9, ["a"])], "obj_id long, x long, y long, terms array<string>")
+    dnf = [[["a"], ["b"], ["c"]], [["a", "b"], ["b", "c"]], [["a", "b"], ["a", "z"]], [["z"], ["c"]]]
+    subs = spark.createDataFrame([(k, 1, d, 0, 5, 0, 5) for k, d in enumerate(dnf)], "sub_id long, owner long, dnf array<array<string>>, x0 long, x1 long, y0 long, y1 long")
+    objects, subs = settle(objects, "objects"), settle(subs, "subs")
+    want = [(0, 1), (0, 2), (1, 1), (2, 1), (3, 1)]
+    grid = Grid(16, 1)
+    assert matching.told_apart(objects, subs)
+    assert rows(matching.run(objects, subs, whole_world(grid, 1))["matches"]) == rows(matching.match_fast(objects, subs, grid)) == want
+    monkeypatch.setattr(matching, "CARRIED", 2)
+    assert not matching.told_apart(objects, subs)
+    assert rows(matching.run(objects, subs, whole_world(grid, 1))["matches"]) == rows(matching.match_fast(objects, subs, grid)) == want
+
+
 def test_planner_and_engine_hash_alike(spark):
     words = ["a", "été", "zebra", "日本", "x" * 50]
     df = spark.createDataFrame([(w,) for w in words], "term string")
