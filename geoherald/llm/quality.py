@@ -2,11 +2,12 @@
 
 A document of label 1 is preferred to one of label 0. The score of a document is linear in features of
 its text; the weights minimise the logistic loss on feature differences of preference pairs (Newton
-steps with a ridge). The cut is a quantile of the training scores, at the share of label 0, and the
+steps with a ridge). The cut is the quantile of all training scores at the share of label 0, and the
 score handed out is the logistic of the distance to that cut, moved so that the cut lies at
 ``threshold``.
 
-``per_class`` bounds the training rows and ``n_pairs`` the pairs. Scoring covers whole texts.
+All labelled rows that may be used are learned from: means, pairs, weights and cut are of the whole table, as sums
+over the executors. Scoring covers whole texts.
 
 Results for odd rows: a null or empty text has all features 0 and gets the score of such a text.
 Repeated rows score alike. Without training rows of both labels every score is ``threshold``. Only the
@@ -17,7 +18,7 @@ from __future__ import annotations
 
 import re
 from collections import Counter
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 from math import log, log1p
 
@@ -26,9 +27,11 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from geoherald.llm.labelled import class_weights, sample_labelled
+from geoherald.llm.scratch import store
 
 ENDS = frozenset(".,;:?!\"')»”’…-")
+#: Rows of the rarer label in a bucket of pairs, about.
+PER_BUCKET = 500
 CLOSE = re.compile(r"[.!?…]+(?:\s|$)")
 FEATURES = (
     "log_words", "upper", "letters", "digits", "signs", "odd_ends", "bare_signs", "follows_itself",
@@ -76,11 +79,8 @@ def features(text: str | None) -> list[float]:
 
 @dataclass(frozen=True)
 class QualityParams:
-    per_class: int = 8000
-    n_pairs: int = 40_000
     ridge: float = 1e-4
     threshold: float = 0.7
-    seed: int = 11
 
 
 @dataclass
@@ -119,34 +119,119 @@ def fit_bradley_terry(better: np.ndarray, worse: np.ndarray, ridge: float) -> np
     return w
 
 
-def train_ranker(docs: DataFrame, labels: DataFrame, allowed: Column, key: str = "doc_id", text: str = "text", label: str = "quality", params: QualityParams = QualityParams()) -> Ranker:
-    train = sample_labelled(docs, labels, label, allowed, params.per_class, key, text)
+def measured(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
+    """``key, x``: the features of every document, written once for training and scoring."""
+    rows = docs.select(F.col(f"`{key}`").alias("key"), F.col(f"`{text}`").cast("string").alias("text"))
 
     def measure(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             x = pa.array([features(t) for t in batch.column("text").to_pylist()], pa.list_(pa.float64()))
-            yield pa.RecordBatch.from_arrays([batch.column("key"), x, batch.column("label")], ["key", "x", "label"])
+            yield pa.RecordBatch.from_arrays([batch.column("key"), x], ["key", "x"])
+
+    return store(rows.mapInArrow(measure, f"key {rows.schema['key'].dataType.simpleString()}, x array<double>"), "features")
+
+
+def _matrix(column: pa.Array) -> np.ndarray:
+    return np.asarray(column.flatten()).reshape(len(column), -1)
+
+
+def _summed(df: DataFrame, part: Callable[[pa.RecordBatch], np.ndarray]) -> np.ndarray:
+    """Sum of what ``part`` makes of all batches; one short row per task comes to the driver."""
+
+    def add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        whole = None
+        for batch in batches:
+            if batch.num_rows:
+                whole = part(batch) if whole is None else whole + part(batch)
+        if whole is not None:
+            yield pa.RecordBatch.from_arrays([pa.array([whole.tolist()], pa.list_(pa.float64()))], ["s"])
+
+    return np.sum([r.s for r in df.mapInArrow(add, "s array<double>").collect()], axis=0)
+
+
+def paired(train: DataFrame, n: dict[int, int]) -> DataFrame:
+    """``better, worse``: every training row in at least one pair. Rows are dealt by the hash of their key to buckets
+    with hundreds of the rarer label; there each row of the more frequent label meets the next one of the other."""
+    buckets = max(1, min(n.values()) // PER_BUCKET)
+    dealt = train.withColumn("bucket", F.pmod(F.xxhash64(F.lit(1), "key"), F.lit(buckets)))
+
+    def pair(table: pa.Table) -> pa.Table:
+        table = table.sort_by([("key", "ascending")]).combine_chunks()
+        y = np.asarray(table["label"])
+        one, zero = np.flatnonzero(y == 1), np.flatnonzero(y == 0)
+        most = max(len(one), len(zero)) if len(one) and len(zero) else 0
+        x = table["x"]
+        return pa.table({"better": x.take(pa.array(np.resize(one, most))), "worse": x.take(pa.array(np.resize(zero, most)))})
+
+    return dealt.groupBy("bucket").applyInArrow(pair, "better array<double>, worse array<double>")
+
+
+def fit_on_all(pairs: DataFrame, mean: np.ndarray, scale: np.ndarray, ridge: float) -> np.ndarray:
+    """As :func:`fit_bradley_terry`, its sums taken over all pairs by the executors."""
+    width = len(mean)
+    w = np.zeros(width)
+    for _ in range(60):
+
+        def part(batch: pa.RecordBatch, w: np.ndarray = w) -> np.ndarray:
+            d = (Ranker.widened(_matrix(batch.column("better"))) - Ranker.widened(_matrix(batch.column("worse")))) / scale
+            p = 1 / (1 + np.exp(np.clip(d @ w, -30, 30)))
+            return np.concatenate([[len(d)], -(d * p[:, None]).sum(axis=0), ((d * (p * (1 - p))[:, None]).T @ d).ravel()])
+
+        sums = _summed(pairs, part)
+        grad = sums[1 : width + 1] / sums[0] + ridge * w
+        step = np.linalg.solve(sums[width + 1 :].reshape(width, width) / sums[0] + ridge * np.eye(width), grad)
+        w = w - step
+        if np.abs(step).max() < 1e-6:
+            break
+    return w
+
+
+def kth_smallest(values: DataFrame, n: int, k: int) -> float:
+    """The exact value of rank ``k``, from 1, of ``n``: the values near it come to the driver, about 200,000 at most."""
+    name, eps = values.columns[0], min(0.005, 50_000 / n)
+    low, high = values.approxQuantile(name, [max(0.0, k / n - 2 * eps), min(1.0, k / n + 2 * eps)], eps)
+    low, high = low if k / n > 2 * eps else -np.inf, high if k / n < 1 - 2 * eps else np.inf
+    below = values.filter(F.col(name) < low).count()
+    return sorted(r[0] for r in values.filter(F.col(name).between(low, high)).collect())[k - 1 - below]
+
+
+def train_ranker(docs: DataFrame, labels: DataFrame, allowed: Column, key: str = "doc_id", text: str = "text", label: str = "quality", params: QualityParams = QualityParams()) -> Ranker:
+    return train_measured(measured(docs, key, text), labels, allowed, key, label, params)
+
 
-    kind = train.schema["key"].dataType.simpleString()
-    seen = train.mapInArrow(measure, f"key {kind}, x array<double>, label int").toPandas().sort_values("key")
+def train_measured(docs: DataFrame, labels: DataFrame, allowed: Column, key: str = "doc_id", label: str = "quality", params: QualityParams = QualityParams()) -> Ranker:
+    """The ranker of all labelled rows of :func:`measured`."""
+    usable = labels.filter(F.col(label).isin(0, 1) & F.col(key).isNotNull() & allowed)
+    usable = usable.groupBy(F.col(key).alias("key")).agg(F.max(label).cast("int").alias("label"))
+    train = store(docs.join(usable, "key"), "train")
+    n = {r.label: r["count"] for r in train.groupBy("label").count().collect()}
     width = 3 * len(FEATURES)
-    if seen["label"].nunique() < 2:
+    if len(n) < 2:
         return Ranker(np.zeros(width), np.ones(width), np.zeros(width), 0.0, params.threshold)
-    x = Ranker.widened(np.array(seen["x"].tolist()))
-    y = seen["label"].to_numpy()
-    mean, scale = x.mean(axis=0), np.maximum(x.std(axis=0), 1e-6)
-    z = (x - mean) / scale
-    rng = np.random.default_rng(params.seed)
-    better, worse = rng.choice(np.flatnonzero(y == 1), params.n_pairs), rng.choice(np.flatnonzero(y == 0), params.n_pairs)
-    weights = fit_bradley_terry(z[better], z[worse], params.ridge)
-    raw = z @ weights
-    # the quantile of the whole table's scores, of which the sample may hold the labels in other shares
-    held = class_weights({0: int((y == 0).sum()), 1: int((y == 1).sum())}, labels, label, allowed, key)
-    order = np.argsort(raw)
-    mass = np.cumsum(np.where(y == 1, held[1], held[0])[order])
-    share = held[0] * (y == 0).sum() / mass[-1]
-    cut = float(np.interp(share, mass / mass[-1], raw[order]))
-    return Ranker(mean, scale, weights, cut, params.threshold)
+    whole = n[0] + n[1]
+    mean = _summed(train.select("x"), lambda batch: Ranker.widened(_matrix(batch.column("x"))).sum(axis=0)) / whole
+    square = _summed(train.select("x"), lambda batch: ((Ranker.widened(_matrix(batch.column("x"))) - mean) ** 2).sum(axis=0))
+    scale = np.maximum(np.sqrt(square / whole), 1e-6)
+    ranker = Ranker(mean, scale, fit_on_all(store(paired(train, n), "pairs"), mean, scale, params.ridge), 0.0, params.threshold)
+
+    def rate(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            if batch.num_rows:
+                yield pa.RecordBatch.from_arrays([pa.array(ranker.raw(_matrix(batch.column("x"))))], ["raw"])
+
+    ranker.cut = kth_smallest(train.select("x").mapInArrow(rate, "raw double"), whole, n[0])
+    return ranker
+
+
+def measured_score(ranker: Ranker, x: Column) -> Column:
+    """Score of the features of :func:`measured`, as a column."""
+
+    @F.arrow_udf("double")
+    def score(batches: Iterator[pa.Array]) -> Iterator[pa.Array]:
+        for rows in batches:
+            yield pa.array(ranker.score(_matrix(rows)) if len(rows) else [], pa.float64())
+
+    return score(x)
 
 
 def quality_score(ranker: Ranker, text: Column) -> Column:
