@@ -150,12 +150,19 @@ def sample_study(spark: SparkSession, folder: str, group: str = "Q3", sizes: tup
     return spark.createDataFrame(rows, "sample int, total double, top double, ratio double")
 
 
-def served(objects: DataFrame, subs: DataFrame, assignment: Assignment, freq: DataFrame, drop_unmatched: bool, check_ms: float, object_ms: float) -> DataFrame:
-    """``worker, seq, service``: what each tuple costs its workers, by the entries of the lists that it goes through."""
-    parts = matching.run(objects, subs, assignment, freq, drop_unmatched)
-    checks = matching.candidates(objects, parts["routed_objects"], parts["index"], assignment.grid).groupBy("worker", "obj_id").agg(F.count(F.lit(1)).alias("checks"))
-    sent = parts["routed_objects"].select("worker", "obj_id").distinct().join(checks, ["worker", "obj_id"], "left").join(objects.select("obj_id", "seq"), "obj_id")
-    return sent.select("worker", "seq", (F.lit(object_ms) + F.coalesce("checks", F.lit(0)) * check_ms).alias("service"))
+def served(objects: DataFrame, posted: DataFrame, assignment: Assignment, drop_unmatched: bool, check_ms: float, object_ms: float) -> DataFrame:
+    """``worker, seq, service``: what each tuple costs its workers, by the entries of the lists that it goes through.
+
+    The lists' lengths (``posted``: :func:`routing.posted`) give that number; no entry is looked at.
+    """
+    probes = routing.object_terms(objects.select("obj_id", "seq", "x", "y", "terms"), assignment.grid).select("obj_id", "seq", "cell", "term")
+    lists = posted.select("cell", "term", "n_live")
+    if drop_unmatched:
+        sent = probes.join(assignment.place(lists), ["cell", "term"])
+    else:
+        sent = assignment.place(probes).join(lists, ["cell", "term"], "left")
+    checks = sent.groupBy("worker", "obj_id", "seq").agg(F.coalesce(F.sum("n_live"), F.lit(0)).alias("checks"))
+    return checks.select("worker", "seq", (F.lit(object_ms) + F.col("checks") * check_ms).alias("service"))
 
 
 def latency_study(spark: SparkSession, folder: str, group: str = "Q2", check_ms: float = 0.02, object_ms: float = 1.0, gap_ms: float = 1.0) -> DataFrame:
@@ -163,9 +170,10 @@ def latency_study(spark: SparkSession, folder: str, group: str = "Q2", check_ms:
     time that their checks take; a tuple comes every ``gap_ms``."""
     objects, subs, grid, freq, sample = _setting(spark, folder, group)
     objects = settle(objects.withColumn("seq", F.col("obj_id")), "placed")
+    posted = settle(routing.posted(subs, freq, grid), "posted")
     rows = []
     for name in ("hybrid", "metric", "kdtree"):
-        tuples = served(objects, subs, PARTITIONERS[name](sample, M), freq, name not in BY_SPACE, check_ms, object_ms).withColumn("arrive_ms", F.col("seq") * F.lit(gap_ms))
+        tuples = served(objects, posted, PARTITIONERS[name](sample, M), name not in BY_SPACE, check_ms, object_ms).withColumn("arrive_ms", F.col("seq") * F.lit(gap_ms))
         delays = settle(queued(tuples, F.col("service")), "delays")
         bands, mean = latency_bands(delays).first(), delays.agg(F.avg("ms")).first()[0]
         rows.append((group, name, mean, bands["prompt"], bands["delayed"], bands["late"]))
@@ -183,7 +191,7 @@ def migration_delays(spark: SparkSession, folder: str, bytes_per_ms: float = 50.
     donor, receiver = max(loads, key=loads.get), min(loads, key=loads.get)
     rows = [migrate.Cell(r.cell, r.load, r.size_bytes) for r in load.cell_load(parts["routed_objects"], parts["index"]).filter(F.col("worker") == donor).collect()]
     tau, half = sum(c.load for c in rows) / 4, (objects.agg(F.max("seq")).first()[0] or 0) // 2
-    tuples = settle(served(objects, subs, assignment, freq, False, 0.002, 0.2).withColumn("arrive_ms", F.col("seq") * F.lit(1.0)), "served")
+    tuples = settle(served(objects, routing.posted(subs, freq, grid), assignment, False, 0.002, 0.2).withColumn("arrive_ms", F.col("seq") * F.lit(1.0)), "served")
     out = []
     for name, selector in migrate.SELECTORS.items():
         cells = [migrate.Cell(c.id, c.load, -(-c.size // 1024)) for c in rows] if name == "exact_dp" else rows

@@ -9,7 +9,7 @@ from geoherald.functions.expr import can_match, matches, signature
 from geoherald.functions.geometry import Grid
 from geoherald.operators import adjust, load, matching, measures, migrate, routing
 from geoherald.operators.assignment import Assignment, Leaf, hashed_part, part_of, whole_world
-from geoherald.plans import catalog, surface
+from geoherald.plans import catalog, experiments, surface
 from geoherald.sources import tables
 from geoherald.sources.shared import settle
 from geoherald.streaming import engine
@@ -154,6 +154,16 @@ def test_measures_around_a_run(spark, work):
     assert sum(r.n_obj for r in sends) == objects.count() and sum(r.sends for r in sends) == parts["routed_objects"].select("obj_id", "worker").distinct().count()
 
 
+def test_service_counts_the_entries_of_the_lists(spark, work):
+    """The lengths of the lists give what going through them gave, without looking at an entry."""
+    objects, subs, assignment, freq = work
+    plain = subs.drop("reg_seq", "cancel_seq")
+    parts = matching.run(objects, plain, assignment, freq)
+    want = matching.candidates(objects, parts["routed_objects"], parts["index"], catalog.GRID).groupBy("worker", "seq").agg(F.count(F.lit(1)).alias("n"))
+    got = experiments.served(objects, routing.posted(plain, freq, catalog.GRID), assignment, True, 1.0, 0.0)
+    assert rows(got.select("worker", "seq", F.col("service").cast("long"))) == rows(want)
+
+
 def test_index_grows_and_is_written_by_worker(spark, work, tmp_path):
     objects, subs, assignment, freq = work
     odd, even = (matching.build_index(routing.route_subs(subs.filter(f"sub_id % 2 = {k}"), assignment, freq)) for k in (1, 0))
