@@ -3,15 +3,16 @@
 from __future__ import annotations
 
 import uuid
+from dataclasses import dataclass
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from geoherald.functions.geometry import Grid
 from geoherald.operators import adjust, hybrid, load, matching, migrate, routing, spacesplit
 from geoherald.operators.assignment import Assignment
-from geoherald.operators.measures import dispatcher_bytes, latency, latency_bands, queued, timed, worker_bytes
-from geoherald.operators.measures import model_throughput as load_rate
-from geoherald.operators.sample import take_sample
+from geoherald.operators.measures import dispatcher_bytes, latency, latency_bands, queued, timed
+from geoherald.operators.sample import Costs, take_sample
 from geoherald.plans.settings import BY_SPACE, GRID, MU, PARTITIONERS, PLANNED, SMALL_GRID
 from geoherald.plans.settings import WORKERS as M
 from geoherald.sources.shared import settle, shared_folder
@@ -32,18 +33,42 @@ def _setting(spark: SparkSession, folder: str, group: str, world: str = "wide",
     return objects, subs, grid, freq, take_sample(objects, subs, grid, freq, PLANNED, PLANNED)
 
 
-def measured(objects: DataFrame, subs: DataFrame, assignment: Assignment, freq: DataFrame, drop_unmatched: bool) -> dict[str, float]:
-    """Total load, balance, replication and memory of an assignment, counted on all rows."""
-    parts = matching.run(objects, subs, assignment, freq, drop_unmatched)
-    routed, index = settle(parts["routed_objects"], "routed"), settle(parts["index"], "index")
-    loads = settle(load.worker_load(routed, index, assignment.m), "loads")
-    total, ratio = load.total(loads).first()[0], load.balance(loads).first()["ratio"]
-    rep = routing.replication(objects, routed, subs, index).first()
-    dispatcher = dispatcher_bytes(routing.live_map(index), assignment.head_terms(objects.sparkSession)).first()["bytes"]
-    worker = worker_bytes(index).agg(F.sum("bytes") / assignment.m).first()[0] or 0.0
-    top = loads.agg(F.max("load")).first()[0]
-    rate = load_rate(loads, objects.count() + subs.count()).first()[0]
-    return {"total": total, "ratio": ratio, "top": top, "tuples_per_load": rate, "sends": rep["sends_per_object"], "copies": rep["copies_per_sub"], "dispatcher_bytes": float(dispatcher), "worker_bytes": float(worker)}
+@dataclass
+class Laid:
+    """What an assignment is measured on, laid down once for all: ``keyed`` the subscriptions by cell and term,
+    ``posted`` the lengths of the lists, ``reached`` for each object the terms that somebody waits for."""
+
+    objects: DataFrame
+    grid: Grid
+    n_objects: int
+    n_subs: int
+    keyed: DataFrame
+    posted: DataFrame
+    reached: DataFrame
+
+    @classmethod
+    def of(cls, objects: DataFrame, subs: DataFrame, freq: DataFrame, grid: Grid) -> "Laid":
+        keyed = settle(routing.subs_at_cells(subs, freq, grid).select("cell", "term", "sub_id", load.sub_bytes(F.col("dnf")).alias("bytes")), "keyed")
+        posted = settle(keyed.groupBy("cell", "term").agg(F.count(F.lit(1)).alias("n_live")), "posted")
+        probes = routing.object_terms(objects.select("obj_id", "x", "y", "terms"), grid).select("obj_id", "cell", "term")
+        reached = probes.join(posted.select("cell", "term"), ["cell", "term"]).groupBy("obj_id", "cell").agg(F.collect_list("term").alias("terms"))
+        return cls(objects, grid, objects.count(), subs.count(), keyed, posted, settle(reached, "reached"))
+
+
+def measured(laid: Laid, assignment: Assignment, drop_unmatched: bool, costs: Costs = Costs()) -> dict[str, float]:
+    """Total load, balance, replication and memory of an assignment, counted on all rows: a worker gets an object
+    or a subscription once."""
+    probes = laid.reached.select("obj_id", "cell", F.explode("terms").alias("term")) if drop_unmatched else routing.object_terms(laid.objects.select("obj_id", "x", "y", "terms"), laid.grid).select("obj_id", "cell", "term")
+    sent = assignment.place(probes).select("worker", "obj_id").distinct().groupBy("worker").agg(F.count(F.lit(1)).alias("n")).collect()
+    stored = assignment.place(laid.keyed).groupBy("worker", "sub_id").agg(F.max("bytes").alias("bytes"), F.sum(F.octet_length("term") + 16).alias("entries"))
+    stored = stored.groupBy("worker").agg(F.count(F.lit(1)).alias("n"), F.sum(F.col("bytes") + F.col("entries")).alias("bytes")).collect()
+    n_obj, n_reg = {r.worker: r.n for r in sent}, {r.worker: r.n for r in stored}
+    loads = [costs.load(n_obj.get(w, 0), n_reg.get(w, 0)) for w in range(assignment.m)]
+    top, low = max(loads), min(loads)
+    dispatcher = dispatcher_bytes(laid.posted, assignment.head_terms(laid.objects.sparkSession)).first()["bytes"]
+    rate = (laid.n_objects + laid.n_subs) / top if top else 0.0
+    share = lambda n, of: n / of if of else 0.0
+    return {"total": sum(loads), "ratio": top / low if low > 0 else float("inf"), "top": top, "tuples_per_load": rate, "sends": share(sum(n_obj.values()), laid.n_objects), "copies": share(sum(n_reg.values()), laid.n_subs), "dispatcher_bytes": float(dispatcher), "worker_bytes": sum(r.bytes for r in stored) / assignment.m}
 
 
 MEASURES = ("total", "ratio", "top", "tuples_per_load", "sends", "copies", "dispatcher_bytes", "worker_bytes")
@@ -55,10 +80,11 @@ def loads_by_partitioner(spark: SparkSession, folder: str, groups: tuple[str, ..
     rows = []
     for group in groups:
         objects, subs, grid, freq, sample = _setting(spark, folder, group, world, live, all_rare)
+        laid = Laid.of(objects, subs, freq, grid)
         for name, builder in PARTITIONERS.items():
             assignment = builder(sample, m)
             for drop in (True, False) if name in BY_SPACE else (True,):
-                got = measured(objects, subs, assignment, freq, drop)
+                got = measured(laid, assignment, drop)
                 rows.append((group, name, drop, m, *[float(got[k] or 0.0) for k in MEASURES]))
     return spark.createDataFrame(rows, "group string, partitioner string, drop boolean, m int, " + ", ".join(f"{k} double" for k in MEASURES))
 
@@ -67,9 +93,10 @@ def scalability(spark: SparkSession, folder: str, group: str = "Q3", ms: tuple[i
     """Load of the most loaded worker by the number of workers, on the small world."""
     rows = []
     objects, subs, grid, freq, sample = _setting(spark, folder, group, "small")
+    laid = Laid.of(objects, subs, freq, grid)
     for m in ms:
         for name in ("hybrid", "metric", "kdtree"):
-            got = measured(objects, subs, PARTITIONERS[name](sample, m), freq, name != "kdtree")
+            got = measured(laid, PARTITIONERS[name](sample, m), name != "kdtree")
             rows.append((m, name, got["top"], got["total"]))
     return spark.createDataFrame(rows, "m int, partitioner string, top double, total double")
 
@@ -143,9 +170,10 @@ def sample_study(spark: SparkSession, folder: str, group: str = "Q3", sizes: tup
     """The hybrid partition planned on samples of growing size, its loads counted on all rows: what planning on a
     sample costs."""
     objects, subs, grid, freq, _ = _setting(spark, folder, group)
+    laid = Laid.of(objects, subs, freq, grid)
     rows = []
     for size in sizes:
-        got = measured(objects, subs, hybrid.build(take_sample(objects, subs, grid, freq, size, size), M), freq, True)
+        got = measured(laid, hybrid.build(take_sample(objects, subs, grid, freq, size, size), M), True)
         rows.append((size, got["total"], got["top"], got["ratio"]))
     return spark.createDataFrame(rows, "sample int, total double, top double, ratio double")
 

@@ -164,6 +164,16 @@ def test_service_counts_the_entries_of_the_lists(spark, work):
     assert rows(got.select("worker", "seq", F.col("service").cast("long"))) == rows(want)
 
 
+def test_measures_are_those_of_the_routed_tables(spark, work):
+    objects, subs, assignment, freq = work
+    got = experiments.measured(experiments.Laid.of(objects, subs, freq, catalog.GRID), assignment, True)
+    parts = matching.run(objects, subs, assignment, freq)
+    loads = load.worker_load(parts["routed_objects"], parts["index"], assignment.m).collect()
+    assert got["total"] == sum(r.load for r in loads) and got["top"] == max(r.load for r in loads)
+    rep = routing.replication(objects, parts["routed_objects"], subs, parts["index"]).first()
+    assert (got["sends"], got["copies"]) == (rep["sends_per_object"], rep["copies_per_sub"])
+
+
 def test_index_grows_and_is_written_by_worker(spark, work, tmp_path):
     objects, subs, assignment, freq = work
     odd, even = (matching.build_index(routing.route_subs(subs.filter(f"sub_id % 2 = {k}"), assignment, freq)) for k in (1, 0))
