@@ -80,6 +80,43 @@ def test_codes_settle_each_pair_once(spark, monkeypatch):
     assert rows(matching.run(objects, subs, whole_world(grid, 1))["matches"]) == rows(matching.match_fast(objects, subs, grid)) == want
 
 
+def test_many_objects_meet_subscriptions_by_cell(spark, work, monkeypatch):
+    """An object goes through the exchange once for its cell, not for each term; cut cells, steps and workers lose no pair and repeat none."""
+    monkeypatch.setattr(matching, "GATHERED", 0)
+    monkeypatch.setattr(matching, "SHARES", 5000)
+    monkeypatch.setattr(matching.cellmatch, "TOGETHER", 50)
+    monkeypatch.setattr(matching.cellmatch, "TABLE", 50_000)
+    objects, subs, assignment, freq = work
+    plain = objects.drop("seq"), subs.drop("reg_seq", "cancel_seq")
+    want = rows(matching.match_nested_loop(*plain))
+    by_text = whole_world(catalog.GRID, 3, [0, 1, 2], {r.term: r.df % 3 for r in freq.limit(500).collect()})
+    for found in (*(matching.run(*plain, a, freq)["matches"] for a in (assignment, by_text)), matching.match_fast(*plain, catalog.GRID)):
+        text = found.sparkSession._jvm.PythonSQLUtils.explainString(found._jdf.queryExecution(), "formatted")
+        crossing = [{re.sub(r"#\d+L?", "", c) for c in columns.split(", ")} for columns in re.findall(r"Exchange\nInput \[\d+\]: \[(.*)\]", text)]
+        met = [c for c in crossing if "cell" in c]
+        assert met and not any("term" in c or "terms" in c or {"sub_id", "obj_id"} <= c for c in met)
+        assert rows(found) == want
+    living = rows(matching.match_once(objects, assignment, matching.build_index(routing.route_subs(subs, assignment, freq)), catalog.GRID).select("sub_id", "obj_id"))
+    assert 0 < len(living) < len(want) and rows(matching.run(objects, subs, assignment, freq)["matches"]) == living
+    keyed = routing.subs_at_cells(plain[1], freq, catalog.GRID).select("cell", "term").distinct()
+    for a in (assignment, by_text):
+        chart = matching.cellmatch.Chart(*a.chart())
+        placed = a.place(keyed).select("cell", F.xxhash64("term").alias("code"), "worker").collect()
+        assert all(chart.worker(r.cell, matching.cellmatch.np.array([r.code]))[0] == r.worker for r in placed)
+
+
+def test_cells_settle_each_pair_once(spark, monkeypatch):
+    """Clauses that overlap, and a place that is not known, which no rectangle has."""
+    monkeypatch.setattr(matching, "GATHERED", 0)
+    objects = spark.createDataFrame([(1, 0, 0, ["a", "b", "c"]), (2, 0, 0, ["b"]), (3, 9, 9, ["a"]), (4, None, 0, ["a"]), (5, 1, 5, []), (6, 5, 5, ["c"])], "obj_id long, x long, y long, terms array<string>")
+    dnf = [[["a"], ["b"], ["c"]], [["a", "b"], ["b", "c"]], [["a", "b"], ["a", "z"]], [["z"], ["c"]]]
+    subs = spark.createDataFrame([(k, 1, d, -3, 5, 0, 5) for k, d in enumerate(dnf)], "sub_id long, owner long, dnf array<array<string>>, x0 long, x1 long, y0 long, y1 long")
+    objects, subs = settle(objects, "objects"), settle(subs, "subs")
+    want = [(0, 1), (0, 2), (0, 6), (1, 1), (2, 1), (3, 1), (3, 6)]
+    grid = Grid(16, 1)
+    assert rows(matching.run(objects, subs, whole_world(grid, 1))["matches"]) == rows(matching.match_fast(objects, subs, grid)) == want
+
+
 def test_planner_and_engine_hash_alike(spark):
     words = ["a", "été", "zebra", "日本", "x" * 50]
     df = spark.createDataFrame([(w,) for w in words], "term string")
