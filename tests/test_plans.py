@@ -1,6 +1,8 @@
 """What crosses the exchanges, who places what, and the functions around the studies."""
 
+import os
 import re
+import time
 
 import pytest
 from pyspark.sql import functions as F
@@ -10,8 +12,9 @@ from geoherald.functions.geometry import Grid
 from geoherald.operators import adjust, load, matching, measures, migrate, routing
 from geoherald.operators.assignment import Assignment, Leaf, hashed_part, part_of, whole_world
 from geoherald.plans import catalog, experiments, surface
-from geoherald.sources import tables
+from geoherald.sources import shared, tables, workload
 from geoherald.sources.shared import settle
+from geoherald.sources.world import wide_objects
 from geoherald.streaming import engine
 
 FOLDER = "/root/testdata/sf0.001"
@@ -117,6 +120,57 @@ def test_cells_settle_each_pair_once(spark, monkeypatch):
     assert rows(matching.run(objects, subs, whole_world(grid, 1))["matches"]) == rows(matching.match_fast(objects, subs, grid)) == want
 
 
+def test_rows_go_to_their_cells_in_blocks(spark, work, monkeypatch):
+    """No row of an object or a subscription crosses the exchange by itself; with cells cut, few rows to a block and words that the table lacks, the pairs are the same."""
+    monkeypatch.setattr(matching, "GATHERED", 0)
+    monkeypatch.setattr(matching, "SHARES", 5000)
+    monkeypatch.setattr(matching, "LIGHT", 0)
+    monkeypatch.setattr(matching.cellmatch, "PACKED", 100)
+    objects, subs, assignment, freq = work
+    want = rows(matching.match_once(objects, assignment, matching.build_index(routing.route_subs(subs, assignment, freq)), catalog.GRID).select("sub_id", "obj_id"))
+    for words in (0, 50, 1_000_000):
+        monkeypatch.setattr(matching, "WORDS", words)
+        found = matching.match_by_cell(objects, subs, freq, catalog.GRID, assignment)
+        assert exchanged(found, ("cell", "salt")) == [{"cell", "salt", "kind", "block"}]
+        assert rows(found) == want
+    turned = subs.limit(1).select("sub_id", "owner", F.col("x1").alias("x0"), F.col("x0").alias("x1"), "y0", "y1", "dnf")
+    assert matching.match_by_cell(objects.drop("seq"), turned, freq, catalog.GRID).isEmpty()
+
+
+def test_blocks_give_back_their_columns():
+    np, low, high = matching.cellmatch.np, -(1 << 63), (1 << 63) - 1
+    columns = [np.array(c, dtype=np.int64) for c in ([], [7], [low, high, 0, -1], [5, 5, 5], [300, -2, 70000])]
+    back = matching.cellmatch.spread(matching.cellmatch.squeeze(columns))
+    assert [c.tolist() for c in back] == [c.tolist() for c in columns]
+    same = np.full(10_000, 12_345_678_901, dtype=np.int64)
+    assert len(matching.cellmatch.squeeze([same])) < 100
+
+
+def test_settled_tables_leave_no_shuffle_files(spark):
+    folders = list(spark._jvm.org.apache.spark.SparkEnv.get().blockManager().diskBlockManager().localDirsString())
+    shuffled = lambda: {f for top in folders for _, _, names in os.walk(top) for f in names if f.startswith("shuffle_")}
+    before, setting = shuffled(), spark.conf.get(shared.CLEANUP)
+    counted = settle(spark.range(1000).groupBy((F.col("id") % 7).alias("k")).count(), "counted")
+    for _ in range(50):
+        if not (left := shuffled() - before):
+            break
+        time.sleep(0.1)
+    assert not left and spark.conf.get(shared.CLEANUP) == setting
+    assert sorted(r["count"] for r in counted.collect()) == [142] + [143] * 6
+
+
+def test_rarest_terms_are_found_where_the_text_is(spark, monkeypatch):
+    """The subscriptions' rarest terms cross no exchange term by term, and are those that shuffling finds."""
+    objects = settle(wide_objects(spark, FOLDER), "objects")
+    found = workload.subscriptions(spark, FOLDER, "Q2", objects=objects)
+    text = spark._jvm.PythonSQLUtils.explainString(found._jdf.queryExecution(), "formatted")
+    crossing = [{re.sub(r"#\d+L?", "", c) for c in columns.split(", ")} for columns in re.findall(r"Exchange\nInput \[\d+\]: \[(.*)\]", text)]
+    assert crossing and not any({"term", "kt", "terms"} & columns for columns in crossing)
+    held = rows(found)
+    monkeypatch.setattr(workload, "HELD_TERMS", 0)
+    assert held and rows(workload.subscriptions(spark, FOLDER, "Q2", objects=objects)) == held
+
+
 def test_planner_and_engine_hash_alike(spark):
     words = ["a", "été", "zebra", "日本", "x" * 50]
     df = spark.createDataFrame([(w,) for w in words], "term string")
