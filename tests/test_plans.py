@@ -171,6 +171,18 @@ def test_rarest_terms_are_found_where_the_text_is(spark, monkeypatch):
     assert held and rows(workload.subscriptions(spark, FOLDER, "Q2", objects=objects)) == held
 
 
+def test_subscriptions_are_written_in_parts(spark):
+    """Parts have no text in common, put no table down in between, and are all rows together."""
+    objects = settle(wide_objects(spark, FOLDER), "objects")
+    tables = lambda: {t for t in os.listdir(shared.shared_folder(spark).removeprefix("file:")) if t.startswith("centred")}
+    for group in ("Q1", "Q3"):
+        whole, before = rows(workload.subscriptions(spark, FOLDER, group, objects=objects)), tables()
+        parts = list(workload.subscription_parts(spark, FOLDER, group, objects=objects, texts_at_once=-(-objects.count() // 3)))
+        found = [rows(p) for p in parts]
+        assert len(found) == 3 and all(found) and sorted(r for f in found for r in f) == sorted(whole) and tables() == before
+        assert rows(shared.settle_parts(parts, "parts")) == whole
+
+
 def test_planner_and_engine_hash_alike(spark):
     words = ["a", "été", "zebra", "日本", "x" * 50]
     df = spark.createDataFrame([(w,) for w in words], "term string")
