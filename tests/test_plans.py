@@ -146,6 +146,28 @@ def test_blocks_give_back_their_columns():
     assert len(matching.cellmatch.squeeze([same])) < 100
 
 
+def test_a_subscription_goes_once_to_each_tile():
+    """Over four cells of one tile it is in one block; over the borders of four tiles in four; objects keep their cell."""
+    cm = matching.cellmatch
+    pa, np = cm.pa, cm.np
+    names = ("id", "x0", "x1", "y0", "y1", "cx0", "cx1", "cy0", "cy1", "since", "until")
+
+    def sent(kind, at, keys):
+        x0, x1, y0, y1 = at
+        row = [7, x0 * 10, x1 * 10, y0 * 10, y1 * 10, x0, x1, y0, y1, 0, 9]
+        batch = pa.RecordBatch.from_arrays([pa.array([v], pa.int64()) for v in row] + [pa.array([keys], pa.list_(pa.list_(pa.int64())))], [*names, "keys"])
+        empty = np.zeros(0, dtype=np.int64)
+        return [r for out in cm.packed(iter([batch]), kind, 8, np.array([30, 20, 10]), (empty, empty, empty)) for r in out.to_pylist()]
+
+    keys = [[10, 5, 30], [], [20]]
+    whole, over = sent(0, (2, 3, 2, 3), keys), sent(0, (1, 2, 1, 2), keys)
+    assert [(r["cell"], r["kind"]) for r in whole] == [(18, 0)] and [r["cell"] for r in over] == [0, 2, 16, 18]
+    near = cm.Rows.of(whole[0]["block"], np.array([30, 20, 10]))
+    assert near.n_words.tolist() == [3, 0, 1] and sorted(near.codes[:3]) == [5, 10, 30] and near.codes[3:].tolist() == [20]
+    assert [len(near.within(cell, 8, 10).id) for cell in (18, 19, 26, 27, 17, 20, 34)] == [1, 1, 1, 1, 0, 0, 0]
+    assert [(r["cell"], r["kind"]) for r in sent(1, (3, 3, 2, 2), [[10]])] == [(18, 2)]
+
+
 def test_settled_tables_leave_no_shuffle_files(spark):
     folders = list(spark._jvm.org.apache.spark.SparkEnv.get().blockManager().diskBlockManager().localDirsString())
     shuffled = lambda: {f for top in folders for _, _, names in os.walk(top) for f in names if f.startswith("shuffle_")}
