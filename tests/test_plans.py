@@ -108,6 +108,30 @@ def test_many_objects_meet_subscriptions_by_cell(spark, work, monkeypatch):
         assert all(chart.worker(r.cell, matching.cellmatch.np.array([r.code]))[0] == r.worker for r in placed)
 
 
+def test_matches_are_made_of_what_was_routed(spark, work, monkeypatch):
+    """Postings and objects go to the worker that the kd-tree gives them: what a worker does not get, it does not find."""
+    monkeypatch.setattr(matching, "GATHERED", 0)
+    objects, subs, _, freq = work
+    plain = objects.drop("seq"), subs.drop("reg_seq", "cancel_seq")
+    tree, _ = catalog.planned("kdtree", *plain, catalog.GRID)
+    whole = matching.run(*plain, tree, freq, drop_unmatched=False)
+    want = rows(matching.match_nested_loop(*plain))
+    assert rows(whole["matches"]) == want
+    at = {r.obj_id: r.worker for r in whole["routed_objects"].collect()}
+    some = [(q, o) for q, o in want if at[o] != at[want[0][1]]]
+    assert 0 < len(some) < len(want)
+    for table in ("sent", "index"):
+        less = matching.run(*plain, tree, freq, drop_unmatched=False)
+        less[table] = less[table].filter(F.col("worker") != at[want[0][1]])
+        assert rows(less["matches"]) == some
+    # a place has one worker, and so have the rows of a block
+    cm, places = matching.cellmatch, tree.places()
+    assert places.tolist() == tree.place(spark.range(4096).select(F.col("id").cast("int").alias("cell"))).orderBy("cell").toPandas()["worker"].tolist()
+    empty = cm.np.zeros(0, dtype=cm.np.int64)
+    seen = matching._seen(whole["sent"], False, "cell", "worker").mapInArrow(lambda b: cm.placed(b, 1, 64, empty, (empty, empty, empty), places), "cell int, salt int, kind int, block binary").collect()
+    assert all(places[r.cell + (r.kind - 1) // 2 * 64 + (r.kind - 1) % 2] == r.salt // cm.PIECES for r in seen) and len({r.salt // cm.PIECES for r in seen}) > 1
+
+
 def test_cells_settle_each_pair_once(spark, monkeypatch):
     """Clauses that overlap, and a place that is not known, which no rectangle has."""
     monkeypatch.setattr(matching, "GATHERED", 0)
