@@ -364,3 +364,22 @@ def test_cells_change_hands_while_the_stream_runs(spark, tmp_path):
     held = state.table(state._held("index"), 3).select("sub_id").distinct()
     assert rows(held) == [(k,) for k in range(1, 6)] and before == 6
     assert state.table(state._held("tombstones")).isEmpty()
+
+
+def test_loads_are_counted_from_blocks(spark, work):
+    """No row of a posting or an object crosses an exchange by itself when loads are counted, and the counts are those of the rows."""
+    objects, subs, assignment, freq = work
+    parts = matching.run(objects, subs, assignment, freq)
+    routed, index = settle(parts["routed_objects"], "routed"), settle(parts["index"], "index")
+    for found in (load.worker_load(routed, index, assignment.m), load.cell_load(routed, index)):
+        text = spark._jvm.PythonSQLUtils.explainString(found._jdf.queryExecution(), "formatted")
+        crossing = [{re.sub(r"#\d+L?", "", c) for c in columns.split(", ")} for columns in re.findall(r"Exchange\nInput \[\d+\]: \[(.*)\]", text)]
+        assert crossing and not any({"obj_id", "sub_id", "id"} & columns for columns in crossing)
+    counted = {r.worker: (r.n_obj, r.n_reg) for r in load.worker_load(routed, index, assignment.m).collect()}
+    per = lambda df, key: {r.worker: r.n for r in df.groupBy("worker").agg(F.countDistinct(key).alias("n")).collect()}
+    n_obj, n_reg = per(routed, "obj_id"), per(index, "sub_id")
+    assert counted == {w: (n_obj.get(w, 0), n_reg.get(w, 0)) for w in range(assignment.m)}
+    cells = rows(load.cell_load(routed.union(routed), index.union(index)).select("worker", "cell", "n_obj", "avg_subs", "size_bytes"))
+    stored = index.select("worker", "cell", "sub_id", load.sub_bytes(F.col("dnf")).alias("b")).distinct().groupBy("worker", "cell").agg(F.count(F.lit(1)).cast("double").alias("n"), F.sum("b").alias("b"))
+    there = routed.distinct().groupBy("worker", "cell").agg(F.count(F.lit(1)).alias("o"))
+    assert cells == rows(stored.join(there, ["worker", "cell"], "full").select("worker", "cell", F.coalesce("o", F.lit(0)), F.coalesce("n", F.lit(0.0)), F.coalesce("b", F.lit(0))))
